@@ -7,9 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from topicgrid.llm.common import read
+from topicgrid.llm.common import held_out, read
 from topicgrid.llm.exact_dedup import exact_dedup
 from topicgrid.llm.line_dedup import line_dedup
+from topicgrid.llm.mixing import mix
+from topicgrid.llm.packing import pack_documents
+from topicgrid.llm.quality import score_quality, train_quality
+from topicgrid.llm.topk import top_k
+from topicgrid.llm.toxicity import score_toxicity, train_toxicity
 from topicgrid.llm.url_filter import filter_urls
 
 
@@ -22,18 +27,44 @@ def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 OP1_SQL = r"""
 WITH lines AS (
-  SELECT doc_id, unnest(l) AS line, generate_subscripts(l, 1) AS at
+  SELECT doc_id, unnest(l) AS line, generate_subscripts(l, 1) AS pos
   FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS l FROM documents)),
 keyed AS (
-  SELECT doc_id, line, at, translate(regexp_replace(regexp_replace(line, '^[\x20\x09-\x0D]+', ''), '[\x20\x09-\x0D]+$', ''),
+  SELECT doc_id, line, pos, translate(regexp_replace(regexp_replace(line, '^[\x20\x09-\x0D]+', ''), '[\x20\x09-\x0D]+$', ''),
     'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS key FROM lines),
 frequent AS (SELECT key FROM keyed WHERE length(key) >= 1 GROUP BY key HAVING count(DISTINCT doc_id) >= 10)
 SELECT doc_id, count(*)::BIGINT AS n_lines, (count(f.key))::BIGINT AS n_dropped,
-  sha256(coalesce(string_agg(line, chr(10) ORDER BY at) FILTER (WHERE f.key IS NULL), '')) AS kept_sha256
+  sha256(coalesce(string_agg(line, chr(10) ORDER BY pos) FILTER (WHERE f.key IS NULL), '')) AS kept_sha256
 FROM keyed LEFT JOIN frequent f USING (key) GROUP BY doc_id
 """
 
 
+def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
+    net = train_quality(docs, read(spark, sf_dir, "labels"))
+    return score_quality(docs, net).select("doc_id", held_out().alias("held_out"), "score", "predicted")
+
+
+def op3_topk_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = read(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    return top_k(vectors, vectors.filter(F.col("vec_id") % 50 == 0), 5).select("query_id", "rank", F.col("id").alias("vec_id"), "score")
+
+
+OP3_SQL = """
+WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)::BIGINT) AS q FROM embeddings
+  WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+s AS (SELECT a.vec_id AS query_id, b.vec_id, list_sum(list_transform(list_zip(a.q, b.q), lambda z: z[1] * z[2]))::BIGINT AS score
+  FROM v a JOIN v b ON a.vec_id % 50 = 0 AND a.vec_id <> b.vec_id),
+r AS (SELECT query_id, vec_id, score, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM s)
+SELECT query_id, rank::INTEGER AS rank, vec_id, score FROM r WHERE rank <= 5
+"""
+
+
+def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = mix(read(spark, sf_dir, "documents"), weights=(5, 2, 1), cap=3)
+    return out.select("doc_id", "size", "source_size", "target", "taken", "shards")
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup(read(spark, sf_dir, "documents")).select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
 
@@ -45,6 +76,17 @@ SELECT doc_id, keep_id, group_size::BIGINT AS group_size, doc_id = keep_id AS ke
 """
 
 
+def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = pack_documents(read(spark, sf_dir, "documents"), with_ids=False)
+    return out.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
+
+
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
+    grammar = train_toxicity(docs, read(spark, sf_dir, "labels"))
+    return score_toxicity(docs, grammar).select("doc_id", held_out().alias("held_out"), "score", "predicted", "n_matches")
+
+
 def op9_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return filter_urls(read(spark, sf_dir, "pages").select("page_id", "url")).select("page_id", "host", "path", "rule", "verdict")
 
@@ -64,11 +106,17 @@ FROM u LEFT JOIN fit USING (page_id)
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_line_dedup": op1_line_dedup,
+    "op2_quality": op2_quality,
+    "op3_topk_search": op3_topk_search,
+    "op4_mixing": op4_mixing,
     "op5_exact_dedup": op5_exact_dedup,
+    "op7_packing": op7_packing,
+    "op8_toxicity": op8_toxicity,
     "op9_url_filter": op9_url_filter,
 }
 ORACLES: dict[str, str] = {
     "op1_line_dedup": OP1_SQL,
+    "op3_topk_search": OP3_SQL,
     "op5_exact_dedup": OP5_SQL,
     "op9_url_filter": OP9_SQL,
 }
