@@ -9,6 +9,7 @@ words alone, are what is scored. The weight of each kind of match and of each wo
 from __future__ import annotations
 
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -16,10 +17,11 @@ import ahocorasick
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import blocks
+from topicgrid.llm.common import blocks, mix64
 from topicgrid.llm.quality import labelled_sample
 
 #: Words of each class (lower case).
@@ -112,64 +114,117 @@ def _insulted(seen: int, symbol):
 MACHINE = Transducer(0, _negated).then(Transducer(0, _reported)).then(Transducer(0, _aimed)).then(Transducer(0, _insulted))
 PATTERNS = 16  # insult or threat, by negated, reported, aimed
 ROWS, _ = MACHINE.compiled([(k, 0) for k in range(7)])
-N_FEATURES = PATTERNS + len(TRIGGERS)
-TRIGGER_AT = {w: PATTERNS + k for k, w in enumerate(TRIGGERS)}
-
-
-def matcher() -> ahocorasick.Automaton:
-    found = ahocorasick.Automaton()
-    for w in TRIGGERS:
-        found.add_word(w, len(w))
-    found.make_automaton()
-    return found
-
-
-def features(text: str, triggers: ahocorasick.Automaton) -> dict[int, float] | None:
-    """Matched patterns and their words, each counted up to 3; nothing where no clause matches.
-
-    Only clauses that hold a trigger word run through the machine; each clause does so once, whatever its length.
-    """
-    low = text.lower()
-    done, out = 0, {}
-    for end, n in triggers.iter(low):
-        at = end - n + 1
-        if at < done or (at and low[at - 1].isalnum()) or (end + 1 < len(low) and low[end + 1].isalnum()):
-            continue
-        begin = max((m for m in (low.rfind(c, done, at) for c in ".!?;\n")), default=-1) + 1
-        begin = max(begin, done)
-        stop = CLAUSE_END.search(low, end)
-        done = stop.end() if stop else len(low)
-        state = 0
-        for w in WORD.findall(low, begin, done):
-            state, match = ROWS[state][(CLASS.get(w, OTHER), 0)]
-            if match is not None:
-                out[match] = min(3.0, out.get(match, 0.0) + 1)
-                k = TRIGGER_AT[w]
-                out[k] = min(3.0, out.get(k, 0.0) + 1)
-    return out or None
+STEM = range(3, 11)
+
+
+class Lexicon:
+    """Listed words, and insult stems learned from labels: a word that starts with a stem is read as an insult."""
+
+    def __init__(self, stems: tuple[str, ...] = ()):
+        self.stems = tuple(sorted(stems))
+        self.at = {w: PATTERNS + k for k, w in enumerate([*TRIGGERS, *self.stems])}
+        self.more = PATTERNS + len(self.at)  # two, and three or more words of learned stems
+        self.n_features = self.more + 2
+
+    def matcher(self) -> ahocorasick.Automaton:
+        found = ahocorasick.Automaton()
+        for w in TRIGGERS:
+            found.add_word(w, (len(w), True))
+        for w in self.stems:
+            if w not in CLASS:
+                found.add_word(w, (len(w), False))
+        found.make_automaton()
+        return found
+
+    def read(self, word: str) -> tuple[int, str]:
+        """Class of a word, and the entry that gave it."""
+        if (c := CLASS.get(word)) is not None:
+            return c, word
+        if self.stems:
+            for n in STEM:
+                if word[:n] in self.at and len(word) >= n and word[:n] not in CLASS:
+                    return INSULT, word[:n]
+        return OTHER, word
+
+    def features(self, text: str, triggers: ahocorasick.Automaton) -> dict[int, float] | None:
+        """Matched patterns and their words, each counted up to 3; nothing where no clause matches.
+
+        Only clauses that hold a trigger run through the machine; each clause does so once, whatever its length.
+        """
+        low = text.lower()
+        done, out, learned = 0, {}, 0
+        for end, (n, whole) in triggers.iter(low):
+            at = end - n + 1
+            if at < done or (at and low[at - 1].isalnum()) or (whole and end + 1 < len(low) and low[end + 1].isalnum()):
+                continue
+            begin = max(done, *(low.rfind(c, done, at) + 1 for c in ".!?;\n"))
+            stop = CLAUSE_END.search(low, end)
+            done = stop.end() if stop else len(low)
+            state = 0
+            for w in WORD.findall(low, begin, done):
+                kind, entry = self.read(w)
+                state, match = ROWS[state][(kind, 0)]
+                if match is not None:
+                    k = self.at[entry]
+                    learned += k >= PATTERNS + len(TRIGGERS)
+                    out[match] = min(3.0, out.get(match, 0.0) + 1)
+                    out[k] = min(3.0, out.get(k, 0.0) + 1)
+        if learned > 1:
+            out[self.more + (learned > 2)] = 1.0
+        return out or None
+
+
+def distinct_texts(texts: list[bytes]) -> list[int]:
+    """Rows without near copies of earlier ones: five bands of three minima of word hashes, none shared."""
+    seen: set = set()
+    out = []
+    salts = np.random.default_rng(3).integers(1, 2**63, 15, dtype=np.uint64) | np.uint64(1)
+    for k, t in enumerate(texts):
+        words = np.array([xxhash.xxh3_64_intdigest(w) for w in set(t.split())] or [0], np.uint64)
+        mins = [mix64(words * s).min() for s in salts]
+        bands = {(j, *mins[j : j + 3]) for j in range(0, 15, 3)}
+        if not bands & seen:
+            out.append(k)
+        seen |= bands
+    return out
+
+
+def learned_stems(texts: list[bytes], labels: np.ndarray, support: int = 8, precision: float = 0.8, most: int = 200) -> tuple[str, ...]:
+    """Beginnings of words that nearly only toxic texts have: the shortest of each family, at most ``most`` by support."""
+    has: list[Counter[str]] = [Counter(), Counter()]
+    for t, y in zip(texts, labels.tolist(), strict=True):
+        has[y].update({w[:n] for w in set(WORD.findall(t.decode().lower())) for n in STEM if n <= len(w)})
+    good = {s for s, n in has[1].items() if n >= support and n / (n + has[0][s]) >= precision and s not in CLASS}
+    shortest = [s for s in good if not any(s[:n] in good for n in range(STEM.start, len(s)))]
+    listed = tuple(TRIGGERS)
+    new = [s for s in shortest if not any(w.startswith(s) or s.startswith(w) for w in listed)]
+    return tuple(sorted(new, key=lambda s: (-has[1][s], s))[:most])
 
 
 class ToxicityGrammar:
-    """Weights of patterns and words, and the base rate."""
+    """The lexicon, and weights of patterns and words and the base rate."""
 
-    def __init__(self):
-        # before any label: a match counts for toxicity, less if negated or reported, more if aimed; a threat only if aimed
-        self.prior = np.zeros(N_FEATURES)
+    def __init__(self, lexicon: Lexicon | None = None):
+        self.lexicon = lexicon or Lexicon()
+        # before any label: a match counts for toxicity, less if negated or reported, more if aimed
+        self.prior = np.zeros(self.lexicon.n_features)
         for k in range(PATTERNS):
             threat, flags = divmod(k, 8)
             self.prior[k] = (1.5 if threat else 4.0) - 2.5 * (flags & 1) - 1.5 * bool(flags & 2) + 1.5 * bool(flags & 4)
         self.weights, self.base = self.prior.copy(), -3.0
 
     def fit(self, texts: list[bytes], labels: np.ndarray, ridge: float = 0.05, rounds: int = 25) -> ToxicityGrammar:
-        """Logistic regression by Newton steps, drawn towards the prior weights."""
-        triggers = matcher()
-        x = np.zeros((len(texts), N_FEATURES + 1))
+        """Stems from texts that aren't near copies; weights by Newton steps of a logistic regression, drawn towards the prior."""
+        own = distinct_texts(texts)
+        self.__init__(Lexicon(learned_stems([texts[k] for k in own], labels[own])))
+        triggers = self.lexicon.matcher()
+        x = np.zeros((len(texts), self.lexicon.n_features + 1))
         x[:, -1] = 1
         for r, t in enumerate(texts):
-            for k, v in (features(t.decode(), triggers) or {}).items():
+            for k, v in (self.lexicon.features(t.decode(), triggers) or {}).items():
                 x[r, k] = v
         start = np.append(self.prior, self.base)
-        w, pull = start.copy(), np.append(np.full(N_FEATURES, ridge * 20), ridge)
+        w, pull = start.copy(), np.append(np.full(len(self.prior), ridge * 20), ridge)
         for _ in range(rounds):
             p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
             g = x.T @ (p - labels) + pull * (w - start)
@@ -183,7 +238,7 @@ class ToxicityGrammar:
         return float(1 / (1 + np.exp(-np.clip(z, -40, 40))))
 
 
-def train_toxicity(docs: DataFrame, labels: DataFrame, most: int = 5000) -> ToxicityGrammar:
+def train_toxicity(docs: DataFrame, labels: DataFrame, most: int = 8000) -> ToxicityGrammar:
     """Weights learned from at most ``most`` labelled rows of the training folds; none: the prior."""
     t, y = labelled_sample(docs, labels, "toxic", most)
     return ToxicityGrammar().fit(t, y) if len(t) else ToxicityGrammar()
@@ -198,9 +253,10 @@ def score_toxicity(docs: DataFrame, grammar: ToxicityGrammar, text_col: str = "t
     held = docs.sparkSession.sparkContext.broadcast(grammar)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        triggers = matcher()
+        lexicon = held.value.lexicon
+        triggers = lexicon.matcher()
         for batch in blocks(batches, text_col):
-            found = [features(t, triggers) for t in pc.fill_null(batch.column(text_col), "").to_pylist()]
+            found = [lexicon.features(t, triggers) for t in pc.fill_null(batch.column(text_col), "").to_pylist()]
             p = np.array([held.value.score(x) for x in found])
             n = pa.array([sum(k < PATTERNS for k in x or ()) for x in found], pa.int32())
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p), pa.array((p >= threshold).astype(np.int32)), n], names=[*names, "score", "predicted", "n_matches"])
