@@ -11,6 +11,7 @@ from topicgrid.llm.common import held_out, read
 from topicgrid.llm.exact_dedup import exact_dedup
 from topicgrid.llm.line_dedup import line_dedup
 from topicgrid.llm.mixing import mix
+from topicgrid.llm.near_dedup import near_dedup
 from topicgrid.llm.packing import pack_documents
 from topicgrid.llm.quality import score_quality, train_quality
 from topicgrid.llm.topk import top_k
@@ -76,6 +77,10 @@ SELECT doc_id, keep_id, group_size::BIGINT AS group_size, doc_id = keep_id AS ke
 """
 
 
+def op6_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dedup(read(spark, sf_dir, "documents"))
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = pack_documents(read(spark, sf_dir, "documents"), with_ids=False)
     return out.select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
@@ -110,6 +115,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_topk_search": op3_topk_search,
     "op4_mixing": op4_mixing,
     "op5_exact_dedup": op5_exact_dedup,
+    "op6_near_dedup": op6_near_dedup,
     "op7_packing": op7_packing,
     "op8_toxicity": op8_toxicity,
     "op9_url_filter": op9_url_filter,
