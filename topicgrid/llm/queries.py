@@ -14,6 +14,7 @@ from topicgrid.llm.mixing import mix
 from topicgrid.llm.near_dedup import near_dedup
 from topicgrid.llm.packing import pack_documents
 from topicgrid.llm.quality import score_quality, train_quality
+from topicgrid.llm.suffix_dedup import suffix_dedup
 from topicgrid.llm.topk import top_k
 from topicgrid.llm.toxicity import score_toxicity, train_toxicity
 from topicgrid.llm.url_filter import filter_urls
@@ -109,6 +110,12 @@ SELECT page_id, host, path, rule, coalesce(fit.verdict, CASE WHEN len(list_inter
 FROM u LEFT JOIN fit USING (page_id)
 """
 
+
+def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = suffix_dedup(read(spark, sf_dir, "documents").select("doc_id", "text"))
+    return out.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_line_dedup": op1_line_dedup,
     "op2_quality": op2_quality,
@@ -119,6 +126,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_packing": op7_packing,
     "op8_toxicity": op8_toxicity,
     "op9_url_filter": op9_url_filter,
+    "op10_suffix_dedup": op10_suffix_dedup,
 }
 ORACLES: dict[str, str] = {
     "op1_line_dedup": OP1_SQL,
