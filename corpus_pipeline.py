@@ -1,12 +1,80 @@
-"""The corpus pipeline; its stages follow."""
+"""The corpus pipeline: from ``documents`` to packed training sequences, one operator a stage.
+
+Each stage works on all that the one before kept. Null and empty texts pass the filters only if the quality
+network accepts them; texts that line dedup empties stay as empty documents. Sizes and copies are those of the mix, so the
+last stage packs a document as often as the mix takes it.
+"""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from topicgrid.llm.common import Scratch, read, small_enough
+from topicgrid.llm.line_dedup import line_dedup
+from topicgrid.llm.mixing import mixed_documents
+from topicgrid.llm.near_dedup import BROADCAST_IDS, near_dedup
+from topicgrid.llm.packing import pack_documents
+from topicgrid.llm.quality import score_quality, train_quality
+
+
+def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier rejects go."""
+    net = train_quality(docs, read(spark, sf_dir, "labels"))
+    return score_quality(docs, net).filter("predicted = 1").select(*docs.columns)
+
+
+def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of a line that 10 documents or more have, only the first document keeps it, once."""
+    out = line_dedup(docs, min_docs=10, min_points=1, keep="first")
+    return out.withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
+
+
+def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near copies stays, the one with the smallest doc_id."""
+    found = Scratch(spark, "pipeline-near").table(near_dedup(docs), "found")
+    gone = found.filter(~F.col("kept")).select("doc_id").filter("doc_id IS NOT NULL").distinct()
+    if small_enough(gone, BROADCAST_IDS):
+        gone = F.broadcast(gone)
+    left = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    twice = found.filter("kept AND doc_id IS NOT NULL").groupBy("doc_id").count().filter("count > 1").select("doc_id")
+    if not twice.isEmpty():  # rows that share the id that stays: the least by text
+        order = Window.partitionBy("doc_id").orderBy("text", *[c for c in docs.columns if c not in ("doc_id", "text")])
+        one = left.join(twice, "doc_id").withColumn("at__", F.row_number().over(order)).filter("at__ = 1").select(*docs.columns)
+        left = left.join(twice, "doc_id", "left_anti").select(*docs.columns).unionByName(one)
+    return left
+
+
+def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Sources in the proportions 5, 2, 1, repeating, each at most 3 times; a row for each copy taken."""
+    return mixed_documents(docs, weights=(5, 2, 1), cap=3).select(*docs.columns)
+
+
+def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces and their places in sequences of 2,048 tokens."""
+    return pack_documents(docs, with_ids=False).select("doc_id", "row_no", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
+
+
+STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
+    ("quality", quality),
+    ("line_dedup", lines),
+    ("near_dedup", near_copies),
+    ("mixing", mixture),
+    ("packing", packing),
+]
 
-STAGES: list = []
+#: A trained network, hashes of shingles and a tokenizer are beyond SQL; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """All stages over ``documents``; each is written as Parquet and read again."""
+    scratch = Scratch(spark, "pipeline")
+    docs = read(spark, sf_dir, "documents")
+    for k, (name, stage) in enumerate(STAGES):
+        docs = scratch.table(stage(spark, docs, sf_dir), f"{k}_{name}")
+        if k > 1:
+            scratch.drop(f"{k - 2}_{STAGES[k - 2][0]}")
+    return docs

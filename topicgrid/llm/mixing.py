@@ -22,6 +22,7 @@ from pyspark.sql.types import StructType
 from topicgrid.llm.common import Scratch, blocks, utf8_view
 
 BLOCK_BITS = 12
+SHARD_WORDS = 20_000_000
 IS_WHITE = np.zeros(256, bool)
 IS_WHITE[[9, 10, 11, 12, 13, 32]] = True
 
@@ -94,15 +95,16 @@ class MixPlan:
     def __init__(self, sizes: dict, targets: dict, passes: dict, cut: dict, shards: int, seed: int):
         self.sizes, self.targets, self.passes, self.cut, self.shards, self.seed = sizes, targets, passes, cut, shards, seed
         self.order = in_order(sizes)
-        n = 1 << BLOCK_BITS
-        self.quota = [passes[s] * n + ((cut[s] - 1 >> (64 - BLOCK_BITS)) + 1 if cut[s] else 0) for s in self.order]
+        self.bits = max(BLOCK_BITS, shards.bit_length() + 6)  # a source's blocks: at least 64 a shard
+        n = 1 << self.bits
+        self.quota = [passes[s] * n + ((cut[s] - 1 >> (64 - self.bits)) + 1 if cut[s] else 0) for s in self.order]
         tree = split_quotas(self.quota, shards, seed) if self.order else np.zeros((shards, 0), np.int64)
         self.ends = {s: np.cumsum(tree[:, k]) for k, s in enumerate(self.order)}
         self.tree = tree
 
     def shards_of(self, source, h: int) -> list[int]:
         """The shard of each copy of a document with this hash."""
-        n, b = 1 << BLOCK_BITS, h >> (64 - BLOCK_BITS)
+        n, b = 1 << self.bits, h >> (64 - self.bits)
         at = [j * n + ((b * (2 * (self.seed + 97 * j) + 1) + 31 * j) & (n - 1)) for j in range(self.passes[source])]
         if h < self.cut[source]:
             at.append(self.passes[source] * n + b)
@@ -125,7 +127,7 @@ def measure(docs: DataFrame, text_col: str, source_col: str, seed: int) -> DataF
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id bigint, source string, size bigint, hash bigint")
 
 
-def plan_mix(measured: DataFrame, weights=(5, 2, 1), cap: int = 3, shards: int = 16, seed: int = 11) -> MixPlan:
+def plan_mix(measured: DataFrame, weights=(5, 2, 1), cap: int = 3, shards: int | None = None, seed: int = 11) -> MixPlan:
     """Targets, passes and cuts of a measured corpus.
 
     The driver gets one row a source, then 4,096 a source with a cut (the words of each block), then 4,096 for
@@ -134,6 +136,7 @@ def plan_mix(measured: DataFrame, weights=(5, 2, 1), cap: int = 3, shards: int =
     """
     sizes = {r.source: int(r.n or 0) for r in measured.groupBy("source").agg(F.sum("size").alias("n")).collect()}
     order = in_order(sizes)
+    shards = shards or max(16, -(-sum(sizes.values()) // SHARD_WORDS))
     targets = water_fill(sizes, {s: weights[k % len(weights)] for k, s in enumerate(order)}, cap)
     passes = {s: int(targets[s] // sizes[s]) if sizes[s] else 0 for s in order}
     want = {s: targets[s] - passes[s] * sizes[s] for s in order}
@@ -193,7 +196,7 @@ def mix_rows(measured: DataFrame, plan: MixPlan) -> DataFrame:
     return measured.mapInArrow(run, "doc_id bigint, source string, size bigint, source_size bigint, target double, copies bigint, taken bigint, shards array<int>")
 
 
-def mix(docs: DataFrame, text_col: str = "text", source_col: str = "source", weights=(5, 2, 1), cap: int = 3, shards: int = 16, seed: int = 11) -> DataFrame:
+def mix(docs: DataFrame, text_col: str = "text", source_col: str = "source", weights=(5, 2, 1), cap: int = 3, shards: int | None = None, seed: int = 11) -> DataFrame:
     """One row per row of ``docs``: doc_id, source, size, source_size, target, copies, taken, shards.
 
     Sources in code-point order, null last, weigh ``weights`` in turn. Null texts have size 0. Texts without words get as many
@@ -204,8 +207,8 @@ def mix(docs: DataFrame, text_col: str = "text", source_col: str = "source", wei
     return mix_rows(measured, plan_mix(measured, weights, cap, shards, seed))
 
 
-def mixed_documents(docs: DataFrame, text_col: str = "text", source_col: str = "source", weights=(5, 2, 1), cap: int = 3, shards: int = 16, seed: int = 11) -> DataFrame:
-    """The mix itself: a row of ``docs`` for each copy taken, with mix_shard and mix_rank (order by it within a shard)."""
+def mixed_documents(docs: DataFrame, text_col: str = "text", source_col: str = "source", weights=(5, 2, 1), cap: int = 3, shards: int | None = None, seed: int = 11) -> DataFrame:
+    """The mix itself: a row of ``docs`` for each copy taken, with mix_shard and mix_rank; each shard is one partition, in order of rank."""
     measured = Scratch(docs.sparkSession, "mixed").table(measure(docs, text_col, source_col, seed), "measured")
     plan = plan_mix(measured, weights, cap, shards, seed)
     held = docs.sparkSession.sparkContext.broadcast(plan)
@@ -224,4 +227,4 @@ def mixed_documents(docs: DataFrame, text_col: str = "text", source_col: str = "
             cols = [c.take(pa.array(take)) for c in batch.columns[: len(names)]]
             yield pa.RecordBatch.from_arrays([*cols, pa.array([k for w in where for k in w], pa.int32()), pa.array(rank, pa.int64())], names=[*names, "mix_shard", "mix_rank"])
 
-    return docs.select(*names).mapInArrow(run, schema)
+    return docs.select(*names).mapInArrow(run, schema).repartitionById(plan.shards, F.col("mix_shard")).sortWithinPartitions("mix_shard", "mix_rank")
