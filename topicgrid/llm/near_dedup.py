@@ -18,9 +18,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from topicgrid.llm.common import Scratch, mix64, small_enough, texts
+from topicgrid.llm.common import Scratch, blocks, mix64, small_enough, utf8_view
 from topicgrid.llm.components import components
 from topicgrid.llm.line_dedup import filter_bits, probe, twice_seen
+from topicgrid.llm.mixing import IS_WHITE
 
 HASHES, ROWS = 128, 4  # 32 bands of 4: a pair at 0.75 shares no band in one case of 200,000
 BROADCAST_IDS = 500_000
@@ -29,35 +30,80 @@ LEAST_AGREEMENT = 66  # of 128; at similarity 0.75 six standard deviations below
 _G = np.random.default_rng(20_061)
 _A = (_G.integers(0, 2**32, HASHES, dtype=np.uint64) | 1).astype(np.uint32)
 _B = _G.integers(0, 2**32, HASHES, dtype=np.uint64).astype(np.uint32)
+LOWER = np.arange(256, dtype=np.uint8)
+LOWER[65:91] += 32
+BYTE = mix64(np.arange(1, 257, dtype=np.uint64) << np.uint64(20))
 _PLACE = np.array([mix64(np.array([k + 1], np.uint64))[0] | np.uint64(1) for k in range(64)], np.uint64)
 
 
 class Shingler:
-    """Sorted distinct 64-bit hashes of a text's word shingles."""
+    """Sorted distinct 64-bit hashes of texts' word shingles, whole blocks of texts at a time.
+
+    A word's hash comes from prefix sums of byte values times powers of an odd number, divided by the power at the word's
+    place; words over 256 bytes, where such sums are weak, are hashed on their own.
+    """
+
+    BASE = 0x9E3779B97F4A7C15
+    powers = inverse = np.ones(1, np.uint64)
 
     def __init__(self, words: int = 5):
-        self.words, self.known = words, {}
+        self.words = words
+
+    @classmethod
+    def _powers(cls, n: int) -> None:
+        if len(cls.powers) <= n:
+            with np.errstate(over="ignore"):
+                for name, base in (("powers", cls.BASE), ("inverse", pow(cls.BASE, -1, 1 << 64))):
+                    x = np.full(n + 1, base, np.uint64)
+                    x[0] = 1
+                    setattr(cls, name, np.cumprod(x))
+
+    def word_hashes(self, data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Hash of each word, and how many words each text has."""
+        low = LOWER[data]
+        black = np.concatenate([[False], ~IS_WHITE[low], [False]])
+        before = black[:-2].copy()
+        after = black[2:].copy()
+        inner = off[1:-1]
+        inner = inner[(inner > 0) & (inner < len(data))]
+        before[inner] = False
+        after[inner - 1] = False
+        begin = np.flatnonzero(black[1:-1] & ~before)
+        end = np.flatnonzero(black[1:-1] & ~after) + 1
+        self._powers(max(1 << 20, len(data)))
+        with np.errstate(over="ignore"):
+            sums = np.concatenate([[np.uint64(0)], np.cumsum(BYTE[low] * self.powers[: len(low)], dtype=np.uint64)])
+            h = (sums[end] - sums[begin]) * self.inverse[begin] + (end - begin).astype(np.uint64) * _PLACE[60]
+        h = mix64(h)
+        for k in np.flatnonzero(end - begin > 256):
+            h[k] = xxhash.xxh3_64_intdigest(low[begin[k] : end[k]].tobytes())
+        return h, np.diff(np.searchsorted(begin, off))
+
+    def sets(self, data: np.ndarray, off: np.ndarray) -> Iterator[np.ndarray]:
+        h, counts = self.word_hashes(data, off)
+        m = max(0, len(h) - self.words + 1)
+        with np.errstate(over="ignore"):
+            s = np.zeros(m, np.uint64)
+            for k in range(self.words):
+                s += h[k : k + m] * _PLACE[k]
+        s = mix64(s)
+        at = 0
+        for n in counts.tolist():
+            if n >= self.words:
+                yield np.unique(s[at : at + n - self.words + 1])
+            elif n:
+                with np.errstate(over="ignore"):
+                    yield mix64((h[at : at + n] * _PLACE[20 : 20 + n]).sum(keepdims=True) + np.uint64(n))
+            else:
+                yield np.empty(0, np.uint64)
+            at += n
+
+    def column(self, batch: pa.RecordBatch, name: str) -> Iterator[np.ndarray]:
+        for part in blocks(iter([batch]), name, 1 << 20):
+            yield from self.sets(*utf8_view(part.column(name)))
 
     def __call__(self, text: bytes) -> np.ndarray:
-        ws = text.lower().split()
-        n = len(ws)
-        if n < self.words:
-            return np.array([xxhash.xxh3_64_intdigest(b" ".join(ws), 1 + n)] if n else [], np.uint64)
-        known = self.known
-        if len(known) > 1_000_000:
-            known.clear()
-        try:
-            h = np.array([known[w] for w in ws], np.uint64)
-        except KeyError:
-            for w in set(ws) - known.keys():
-                known[w] = xxhash.xxh3_64_intdigest(w)
-            h = np.array([known[w] for w in ws], np.uint64)
-        m = n - self.words + 1
-        with np.errstate(over="ignore"):
-            s = h[:m] * _PLACE[0]
-            for k in range(1, self.words):
-                s = s + h[k : k + m] * _PLACE[k]
-        return np.unique(mix64(s))
+        return next(self.sets(np.frombuffer(text, np.uint8), np.array([0, len(text)])))
 
 
 def minima(shingles: np.ndarray) -> np.ndarray:
@@ -85,8 +131,7 @@ def signatures(docs: DataFrame, text_col: str = "text", words: int = 5) -> DataF
         shingle = Shingler(words)
         for batch in batches:
             n, keys, sigs = [], [], []
-            for t in texts(batch.column(1)):
-                s = shingle(t)
+            for s in shingle.column(batch, "text"):
                 n.append(len(s))
                 keys.append(xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None)
                 sigs.append(minima(s).tobytes() if len(s) else None)
@@ -133,8 +178,7 @@ def with_shared_counts(cards: DataFrame, words: int) -> DataFrame:
     def hashes(batches: Iterator[pa.RecordBatch]) -> Iterator[np.ndarray]:
         shingle = Shingler(words)
         for b in batches:
-            for t in texts(b.column(0)):
-                yield shingle(t)
+            yield from shingle.column(b, "text")
 
     bitmap = spark.sparkContext.broadcast(twice_seen(cards.select("text"), hashes, bits))
 
@@ -142,8 +186,7 @@ def with_shared_counts(cards: DataFrame, words: int) -> DataFrame:
         shingle = Shingler(words)
         for b in batches:
             n, shared = [], []
-            for t in texts(b.column(1)):
-                s = shingle(t)
+            for s in shingle.column(b, "text"):
                 n.append(len(s))
                 shared.append(int(probe(bitmap.value, s, bits).sum()) if len(s) else 0)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(shared, pa.int64())], names=["rep", "n", "shared"])
