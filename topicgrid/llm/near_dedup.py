@@ -5,7 +5,7 @@ twice-seen filter drops band keys that only one class has, so only shared ones s
 buckets the number of shingles that any other such document may have is found; it bounds the similarity of every
 pair they are in, so heavily edited copies drop out without being compared. In each bucket the document with the
 smallest share of own shingles is compared with all others; what that leaves apart is compared across
-components. Links are confirmed on full sets, components found by large-star and small-star.
+components, block by block. Links are confirmed on full sets, components found by large-star and small-star.
 """
 
 from __future__ import annotations
@@ -25,6 +25,7 @@ from topicgrid.llm.mixing import IS_WHITE
 
 HASHES, ROWS = 128, 4  # 32 bands of 4: a pair at 0.75 shares no band in one case of 200,000
 BROADCAST_IDS = 500_000
+CHUNK_LEAST, CHUNK_MOST, CHUNK_SHINGLES = 64, 1024, 60_000  # documents and shingles of a block's side
 LEAST_AGREEMENT = 66  # of 128; at similarity 0.75 six standard deviations below what is expected
 
 _G = np.random.default_rng(20_061)
@@ -269,18 +270,83 @@ def _links(spark, scratch: Scratch, docs: DataFrame, text_col: str, classes: Dat
     pairs = star.select(F.col("h.rep").alias("a"), F.col("x.rep").alias("b")).distinct()
     first = scratch.table(verified(pairs, cards, words, percent), "first")
 
-    # what lies in one bucket but in different components: those apart from the head against all
+    return first.unionByName(_apart(scratch, held, first, cards, facts, words, percent))
+
+
+def _apart(scratch: Scratch, held: DataFrame, first: DataFrame, cards: DataFrame, facts: DataFrame, words: int, percent: int) -> DataFrame:
+    """Links between documents of one bucket that the stars left in different components.
+
+    Buckets that hold several components are gathered into clusters. Of a cluster, the documents outside its largest
+    component are compared with all others, exactly and block by block: each task gets two chunks of texts and returns links
+    that join components, at most one a document, so no pair that fails is ever written.
+    """
     comp = components(first, "near-first").withColumnRenamed("node", "rep")
-    placed = held.join(comp.hint("merge"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    placed = scratch.table(placed, "placed")
-    mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.max(F.struct((F.col("shared") / F.col("n")).alias("share"), (-F.col("rep")).alias("less"), "component")).alias("h")).filter("lo <> hi")
-    mixed = placed.join(mixed.select("key", F.col("h.component").alias("main"), (-F.col("h.less")).alias("head")).hint("merge"), "key").filter(F.col("rep") != F.col("head"))
-    apart = mixed.filter("component <> main").alias("x")
-    rest = mixed.alias("y")
-    order = (F.col("y.component") == F.col("y.main")) | (F.col("x.rep") < F.col("y.rep"))
-    cross = apart.join(rest.hint("merge"), (F.col("x.key") == F.col("y.key")) & (F.col("x.component") != F.col("y.component")) & order & possible("x", "y", percent))
-    second = verified(cross.select(F.col("y.rep").alias("a"), F.col("x.rep").alias("b")).distinct(), cards, words, percent)
-    return first.unionByName(second)
+    placed = scratch.table(held.select("key", "rep").join(comp.hint("merge"), "rep", "left").withColumn("component", F.coalesce("component", "rep")), "placed")
+    mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.min("rep").alias("head")).filter("lo <> hi").select("key", "head")
+    touching = placed.join(mixed.hint("merge"), "key").select(F.col("head").alias("a"), F.col("rep").alias("b"))
+    cluster = components(touching, "near-clusters").select(F.col("node").alias("rep"), F.col("component").alias("cluster"))
+    own = placed.select("rep", "component").distinct()
+    members = scratch.table(cluster.join(own.hint("merge"), "rep").join(facts.select("rep", "n").hint("merge"), "rep"), "members")
+    sizes = members.groupBy("cluster", "component").agg(F.count(F.lit(1)).alias("c"), F.sum("n").alias("s"))
+    top = F.max(F.struct("c", (-F.col("component")).alias("less"), "s")).alias("top")
+    stat = sizes.groupBy("cluster").agg(top, F.sum("c").alias("c"), F.sum("s").alias("s"))
+    chunk = F.least(F.lit(CHUNK_MOST), F.greatest(F.lit(CHUNK_LEAST), F.col("c") / 32))
+    chunks = lambda c, s: F.greatest(F.ceil(c / chunk), F.ceil(s / CHUNK_SHINGLES)).cast("int")
+    stat = stat.select("cluster", (-F.col("top.less")).alias("main"), chunks(F.col("c") - F.col("top.c"), F.col("s") - F.col("top.s")).alias("k_out"), chunks(F.col("top.c"), F.col("top.s")).alias("k_main"))
+    dealt = members.join(stat.hint("merge"), "cluster").withColumn("out", F.col("component") != F.col("main"))
+    dealt = dealt.withColumn("own", F.pmod(F.xxhash64("rep"), F.when(F.col("out"), F.col("k_out")).otherwise(F.col("k_main"))).cast("int"))
+    each = lambda k, f: F.transform(F.sequence(F.lit(0), F.col(k) - 1), f)
+    task = lambda kind, i, j: F.struct(F.lit(kind).alias("kind"), i.cast("int").alias("i"), j.cast("int").alias("j"))
+    inside = each("k_out", lambda j: task(0, F.least("own", j), F.greatest("own", j)))
+    against = each("k_main", lambda j: task(1, F.col("own"), j))
+    tasks = F.when(F.col("out"), F.concat(inside, against)).otherwise(each("k_out", lambda i: task(1, i, F.col("own"))))
+    with_text = dealt.select("rep", "component", "cluster", "out", "own", tasks.alias("tasks")).join(cards.select("rep", "text").hint("merge"), "rep")
+    rows = with_text.withColumn("task", F.explode("tasks")).select("cluster", "task.kind", "task.i", "task.j", "rep", "component", "out", "own", "text")
+
+    def compare(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks()
+        sets = [s for b in table.to_batches() for s in Shingler(words).column(b, "text")]
+        kind, i, j = (table.column(c)[0].as_py() for c in ("kind", "i", "j"))
+        rep, component, out, chunk_of = (table.column(c).to_numpy() for c in ("rep", "component", "out", "own"))
+        left, right = (out, ~out) if kind else (chunk_of == i, chunk_of == j)
+        links = linked(sets, np.flatnonzero(left), np.flatnonzero(right), component, percent)
+        return pa.table({"a": pa.array([int(rep[x]) for x, _ in links], pa.int64()), "b": pa.array([int(rep[y]) for _, y in links], pa.int64())})
+
+    return rows.groupBy("cluster", "kind", "i", "j").applyInArrow(compare, "a bigint, b bigint").distinct()
+
+
+def linked(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray, component: np.ndarray, percent: int) -> list[tuple[int, int]]:
+    """Links of rows ``left`` with rows ``right`` that join components not joined before, by exact intersections."""
+    if not len(left) or not len(right):
+        return []
+    size = np.array([len(s) for s in sets])
+    _, number = np.unique(np.concatenate(sets), return_inverse=True)
+    part = np.split(number, np.cumsum(size)[:-1])
+    right = right[size[right] > 0]
+    if not len(right):
+        return []
+    flat = np.concatenate([part[r] for r in right])
+    begins = np.concatenate([[0], np.cumsum(size[right])[:-1]])
+    has = np.zeros(number.max(initial=0) + 1, np.int32)
+    parent: dict[int, int] = {}
+
+    def root(c: int) -> int:
+        while (up := parent.get(c, c)) != c:
+            c = up
+        return c
+
+    found = []
+    for x in left.tolist():
+        has[part[x]] = 1
+        both = np.add.reduceat(has[flat], begins)
+        has[part[x]] = 0
+        for k in np.flatnonzero((100 * both >= percent * (size[x] + size[right] - both)) & (component[right] != component[x])):
+            y = int(right[k])
+            c, d = root(int(component[x])), root(int(component[y]))
+            if c != d:
+                parent[max(c, d)] = min(c, d)
+                found.append((x, y))
+    return found
 
 
 def _repeats(classes: DataFrame) -> bool:
