@@ -1,0 +1,37 @@
+"""SQL functions and table functions."""
+
+from __future__ import annotations
+
+from pyspark.sql import SparkSession
+from pyspark.sql.functions import udtf
+from pyspark.sql.types import LongType, StringType, StructType
+
+from topicgrid.functions.positions import INTERLEAVE_SQL, MIRROR_SQL
+
+
+@udtf(returnType=StructType().add("scheme", StringType()).add("pos", LongType()).add("rank", LongType()))
+class GridPositions:
+    """grid_positions(d, scheme): which rank stands at each position of a list of d items."""
+
+    def eval(self, d: int, scheme: str):
+        order = {}
+        for k in range(1, d + 1):
+            q = d + 1 - k
+            if scheme == "interleave":
+                pos = 2 * k - 1 if 2 * k <= d + 1 else 2 * (d - k + 1)
+            elif scheme == "mirror":
+                pos = q if (k % 2 == 0 and 2 * k < d) or (q % 2 == 0 and 2 * q < d) else k
+            else:
+                pos = k
+            order[pos] = k
+        for pos in sorted(order):
+            yield scheme, pos, order[pos]
+
+
+def register(spark: SparkSession) -> None:
+    """diag_of, interleave_pos, mirror_pos and cut_group as SQL expressions, which Catalyst inlines; grid_positions as a UDTF."""
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION diag_of(m INT, n INT, p INT) RETURNS INT RETURN pmod(n - m, p)")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION interleave_pos(k BIGINT, d BIGINT) RETURNS BIGINT RETURN {INTERLEAVE_SQL}")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION mirror_pos(k BIGINT, d BIGINT) RETURNS BIGINT RETURN {MIRROR_SQL}")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION cut_group(x BIGINT, a BIGINT, n BIGINT, p INT) RETURNS INT RETURN cast(least(p - 1, (2 * x + a) * p div (2 * n)) AS INT)")
+    spark.udtf.register("grid_positions", GridPositions)
