@@ -16,7 +16,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from topicgrid.llm.common import WHITE, Scratch, texts
+from topicgrid.llm.common import WHITE, Scratch, texts, tidy
 
 
 def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -31,7 +31,7 @@ def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.arange(at, at + len(raw))), pa.array(sha, pa.binary()), pa.array(points, pa.int64())], names=["doc_id", "row_no", "digest", "n_points"])
             at += len(raw)
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id bigint, row_no bigint, digest binary, n_points bigint")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), "doc_id bigint, row_no bigint, digest binary, n_points bigint")
 
 
 def misra_gries(items: Iterator, k: int) -> dict:
@@ -59,7 +59,7 @@ def frequent(hashed: DataFrame, counters: int) -> DataFrame:
         pairs = [(d, c) for d, c in held.items() if c > 1]
         yield pa.RecordBatch.from_pydict({"digest": pa.array([d for d, _ in pairs], pa.binary()), "n": pa.array([c for _, c in pairs], pa.int64())})
 
-    found = hashed.select("digest").mapInArrow(run, "digest binary, n bigint")
+    found = hashed.select("digest").mapInArrow(tidy(run), "digest binary, n bigint")
     return found.groupBy("digest").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "digest").limit(counters).select("digest")
 
 

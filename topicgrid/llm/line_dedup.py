@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import WHITE, Scratch, shuffle_width, texts
+from topicgrid.llm.common import WHITE, Scratch, shuffle_width, texts, tidy
 
 SEGMENT = 22  # bits of a position within a segment
 LIST_ROWS = 2_000_000
@@ -102,8 +102,8 @@ def twice_seen(items: DataFrame, task, bits: int) -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array([s for s, _ in done], pa.int32()), pa.array([zstandard.compress(np.packbits(x).tobytes(), 1) for _, x in done], pa.binary())], names=["seg", "bits"])
 
     width = max(1, 1 << max(0, bits - SEGMENT))
-    marked = items.mapInArrow(mark, "seg int, kind int, bits binary")
-    merged = marked.repartition(min(width, 2 * shuffle_width(items.sparkSession)), "seg").mapInArrow(merge, "seg int, bits binary")
+    marked = items.mapInArrow(tidy(mark), "seg int, kind int, bits binary")
+    merged = marked.repartition(min(width, 2 * shuffle_width(items.sparkSession)), "seg").mapInArrow(tidy(merge), "seg int, bits binary")
     out = np.zeros(max(1, (1 << bits) >> 3), np.uint8)
     for r in merged.toLocalIterator():
         part = np.frombuffer(zstandard.decompress(bytes(r.bits)), np.uint8)
@@ -183,7 +183,7 @@ def repeated_lines(docs: DataFrame, text_col: str = "text", min_docs: int = 2, m
                 yield flush()
         yield flush()
 
-    found = docs.select("doc_id", F.col(text_col).alias("text")).mapInArrow(suspects, "key binary, n_docs bigint, first_id bigint")
+    found = docs.select("doc_id", F.col(text_col).alias("text")).mapInArrow(tidy(suspects), "key binary, n_docs bigint, first_id bigint")
     return found.groupBy("key").agg(F.sum("n_docs").alias("n_docs"), F.min("first_id").alias("first_id")).filter(F.col("n_docs") >= min_docs)
 
 
@@ -243,7 +243,7 @@ def line_dedup(docs: DataFrame, text_col: str = "text", min_docs: int = 2, min_p
             for batch in batches:
                 yield rebuilt(batch, batch.column(at_id).to_pylist(), lambda i, keys: {k: listed[k] for k in keys if k in listed})
 
-        return docs.mapInArrow(run, schema)
+        return docs.mapInArrow(tidy(run), schema)
 
     def occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -256,9 +256,9 @@ def line_dedup(docs: DataFrame, text_col: str = "text", min_docs: int = 2, min_p
         for batch in batches:
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([xxhash.xxh3_128_digest(t) for t in texts(batch.column(at_text))], pa.binary())], names=[*names, "mark__"])
 
-    held = docs.select("doc_id", F.col(text_col).alias("text")).mapInArrow(occurrences, "doc_id bigint, mark binary, key binary").distinct()
+    held = docs.select("doc_id", F.col(text_col).alias("text")).mapInArrow(tidy(occurrences), "doc_id bigint, mark binary, key binary").distinct()
     lists = held.join(rep.hint("merge"), "key").groupBy("doc_id", "mark").agg(F.collect_list(F.struct("key", "first_id")).alias("listed__")).withColumnRenamed("doc_id", "id__").withColumnRenamed("mark", "m__")
-    marked = docs.mapInArrow(with_mark, StructType(list(docs.schema)).add("mark__", "binary"))
+    marked = docs.mapInArrow(tidy(with_mark), StructType(list(docs.schema)).add("mark__", "binary"))
     joined = marked.join(lists.hint("merge"), marked["doc_id"].eqNullSafe(lists["id__"]) & (F.col("mark__") == F.col("m__")), "left").select(*names, "listed__")
 
     def run_joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -266,4 +266,4 @@ def line_dedup(docs: DataFrame, text_col: str = "text", min_docs: int = 2, min_p
             listed = iter(batch.column(len(names)).to_pylist())
             yield rebuilt(batch, batch.column(at_id).to_pylist(), lambda i, keys: {bytes(x["key"]): x["first_id"] for x in next(listed) or ()})
 
-    return joined.mapInArrow(run_joined, schema)
+    return joined.mapInArrow(tidy(run_joined), schema)

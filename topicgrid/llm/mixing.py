@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import Scratch, blocks, utf8_view
+from topicgrid.llm.common import Scratch, blocks, tidy, utf8_view
 
 BLOCK_BITS = 12
 SHARD_WORDS = 20_000_000
@@ -124,7 +124,7 @@ def measure(docs: DataFrame, text_col: str, source_col: str, seed: int) -> DataF
             h = np.array(_hashes(batch.column(0).to_pylist(), n, seed), np.uint64)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(n), pa.array((h ^ np.uint64(1 << 63)).view(np.int64))], names=["doc_id", "source", "size", "hash"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id bigint, source string, size bigint, hash bigint")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), "doc_id bigint, source string, size bigint, hash bigint")
 
 
 def plan_mix(measured: DataFrame, weights=(5, 2, 1), cap: int = 3, shards: int | None = None, seed: int = 11) -> MixPlan:
@@ -193,7 +193,7 @@ def mix_rows(measured: DataFrame, plan: MixPlan) -> DataFrame:
             size = batch.column(2).to_numpy()
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array([p.sizes[s] for s in src], pa.int64()), pa.array([float(p.targets[s]) for s in src], pa.float64()), pa.array(n), pa.array(n * size), pa.array(where, pa.list_(pa.int32()))], names=["doc_id", "source", "size", "source_size", "target", "copies", "taken", "shards"])
 
-    return measured.mapInArrow(run, "doc_id bigint, source string, size bigint, source_size bigint, target double, copies bigint, taken bigint, shards array<int>")
+    return measured.mapInArrow(tidy(run), "doc_id bigint, source string, size bigint, source_size bigint, target double, copies bigint, taken bigint, shards array<int>")
 
 
 def mix(docs: DataFrame, text_col: str = "text", source_col: str = "source", weights=(5, 2, 1), cap: int = 3, shards: int | None = None, seed: int = 11) -> DataFrame:
@@ -227,4 +227,4 @@ def mixed_documents(docs: DataFrame, text_col: str = "text", source_col: str = "
             cols = [c.take(pa.array(take)) for c in batch.columns[: len(names)]]
             yield pa.RecordBatch.from_arrays([*cols, pa.array([k for w in where for k in w], pa.int32()), pa.array(rank, pa.int64())], names=[*names, "mix_shard", "mix_rank"])
 
-    return docs.select(*names).mapInArrow(run, schema).repartitionById(plan.shards, F.col("mix_shard")).sortWithinPartitions("mix_shard", "mix_rank")
+    return docs.select(*names).mapInArrow(tidy(run), schema).repartitionById(plan.shards, F.col("mix_shard")).sortWithinPartitions("mix_shard", "mix_rank")

@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from topicgrid.llm.common import Scratch, blocks, mix64, small_enough, utf8_view
+from topicgrid.llm.common import Scratch, blocks, mix64, release, small_enough, tidy, utf8_view
 from topicgrid.llm.components import components
 from topicgrid.llm.line_dedup import filter_bits, probe, twice_seen
 from topicgrid.llm.mixing import IS_WHITE
@@ -138,7 +138,7 @@ def signatures(docs: DataFrame, text_col: str = "text", words: int = 5) -> DataF
                 sigs.append(minima(s).tobytes() if len(s) else None)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(keys, pa.binary()), pa.array(sigs, pa.binary())], names=["doc_id", "n_shingles", "set_key", "sig"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id bigint, n_shingles bigint, set_key binary, sig binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), "doc_id bigint, n_shingles bigint, set_key binary, sig binary")
 
 
 def _sig_rows(arr: pa.Array) -> np.ndarray:
@@ -167,7 +167,7 @@ def shared_bands(classes: DataFrame) -> DataFrame:
             hit = probe(bitmap.value, k, bits)
             yield pa.RecordBatch.from_arrays([pa.array(k[hit].view(np.int64)), pa.array(rep[hit])], names=["key", "rep"])
 
-    return classes.select("rep", "sig").mapInArrow(emit, "key bigint, rep bigint")
+    return classes.select("rep", "sig").mapInArrow(tidy(emit), "key bigint, rep bigint")
 
 
 def with_shared_counts(cards: DataFrame, words: int) -> DataFrame:
@@ -192,7 +192,7 @@ def with_shared_counts(cards: DataFrame, words: int) -> DataFrame:
                 shared.append(int(probe(bitmap.value, s, bits).sum()) if len(s) else 0)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(shared, pa.int64())], names=["rep", "n", "shared"])
 
-    found = cards.select("rep", "text").mapInArrow(count, "rep bigint, n bigint, shared bigint")
+    found = cards.select("rep", "text").mapInArrow(tidy(count), "rep bigint, n bigint, shared bigint")
     # rows that repeat a doc_id with other texts: the widest bound of them
     return found.groupBy("rep").agg(F.min("n").alias("n"), F.max("shared").alias("shared"))
 
@@ -227,7 +227,7 @@ def verified(pairs: DataFrame, cards: DataFrame, words: int, percent: int) -> Da
                     out_b.append(batch.column(1)[k].as_py())
             yield pa.RecordBatch.from_arrays([pa.array(out_a, pa.int64()), pa.array(out_b, pa.int64())], names=["a", "b"])
 
-    return rows.mapInArrow(run, "a bigint, b bigint").distinct()
+    return rows.mapInArrow(tidy(run), "a bigint, b bigint").distinct()
 
 
 def near_dedup(docs: DataFrame, text_col: str = "text", words: int = 5, percent: int = 75) -> DataFrame:
@@ -310,6 +310,7 @@ def _apart(scratch: Scratch, held: DataFrame, first: DataFrame, cards: DataFrame
         rep, component, out, chunk_of = (table.column(c).to_numpy() for c in ("rep", "component", "out", "own"))
         left, right = (out, ~out) if kind else (chunk_of == i, chunk_of == j)
         links = linked(sets, np.flatnonzero(left), np.flatnonzero(right), component, percent)
+        release()
         return pa.table({"a": pa.array([int(rep[x]) for x, _ in links], pa.int64()), "b": pa.array([int(rep[y]) for _, y in links], pa.int64())})
 
     return rows.groupBy("cluster", "kind", "i", "j").applyInArrow(compare, "a bigint, b bigint").distinct()

@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import blocks, held_out, utf8_view
+from topicgrid.llm.common import blocks, held_out, tidy, utf8_view
 
 CELL = 128  # a chunk is two neighbouring cells
 WIDTH = 6
@@ -177,4 +177,4 @@ def score_quality(docs: DataFrame, net: ByteConvNet, text_col: str = "text", thr
             p = held.value.probabilities(*utf8_view(batch.column(text_col)))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p), pa.array((p >= threshold).astype(np.int32))], names=[*names, "score", "predicted"])
 
-    return docs.select(*names).mapInArrow(run, StructType([docs.schema[c] for c in names]).add("score", "double").add("predicted", "integer"))
+    return docs.select(*names).mapInArrow(tidy(run), StructType([docs.schema[c] for c in names]).add("score", "double").add("predicted", "integer"))

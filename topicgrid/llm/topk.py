@@ -17,6 +17,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from topicgrid.llm.common import tidy
+
 LEVELS = 16
 BLOCK_ROWS = 8_192
 QUERY_ROWS = 20_000  # in one broadcast
@@ -144,4 +146,4 @@ def _search(dealt: DataFrame, spark, asked: list, chunk: int, k: int) -> DataFra
         kinds = (pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
         yield pa.RecordBatch.from_arrays([pa.array([f[c] for f in flat], t) for c, t in enumerate(kinds)], names=["chunk", "number", "query_id", "id", "score"])
 
-    return dealt.mapInArrow(run, "chunk int, number int, query_id bigint, id bigint, score bigint")
+    return dealt.mapInArrow(tidy(run), "chunk int, number int, query_id bigint, id bigint, score bigint")

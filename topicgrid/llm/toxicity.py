@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import blocks, mix64
+from topicgrid.llm.common import blocks, mix64, tidy
 from topicgrid.llm.quality import labelled_sample
 
 #: Words of each class (lower case).
@@ -262,4 +262,4 @@ def score_toxicity(docs: DataFrame, grammar: ToxicityGrammar, text_col: str = "t
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p), pa.array((p >= threshold).astype(np.int32)), n], names=[*names, "score", "predicted", "n_matches"])
 
     schema = StructType([docs.schema[c] for c in names]).add("score", "double").add("predicted", "integer").add("n_matches", "integer")
-    return docs.select(*names).mapInArrow(run, schema)
+    return docs.select(*names).mapInArrow(tidy(run), schema)
