@@ -10,6 +10,8 @@ from __future__ import annotations
 
 import base64
 import bisect
+import functools
+import json
 from collections import defaultdict
 from collections.abc import Iterator
 
@@ -20,7 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import Scratch, blocks
+from topicgrid.llm.common import Scratch, blocks, tidy
 
 SEQUENCE = 2048
 
@@ -35,25 +37,37 @@ class Encoder:
     def __init__(self, tokenizer: str = "byte_bpe_50k.json"):
         import public_tokenizers
         import tiktoken
-        from tokenizers import Tokenizer
 
-        path = tokenizer if "/" in tokenizer else public_tokenizers.path(tokenizer)
-        self.whole = Tokenizer.from_file(path)
-        self.special = [t.content for t in self.whole.get_added_tokens_decoder().values()]
+        self.path = tokenizer if "/" in tokenizer else public_tokenizers.path(tokenizer)
+        text = open(self.path, encoding="utf-8").read()
+        added = text.find('"added_tokens"')
+        self.special = [t["content"] for t in json.JSONDecoder().raw_decode(text, text.index("[", added))[0]] if added >= 0 else []
         try:
-            lines = open(path.removesuffix(".json") + ".tiktoken").read().splitlines()
+            lines = open(self.path.removesuffix(".json") + ".tiktoken").read().splitlines()
         except OSError:
             self.fast = None
         else:
             ranks = {base64.b64decode(a): int(b) for a, b in map(str.split, lines)}
             self.fast = tiktoken.Encoding("ranks", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
 
+    @functools.cached_property
+    def whole(self):
+        from tokenizers import Tokenizer
+
+        return Tokenizer.from_file(self.path)
+
     def ids(self, text: str) -> np.ndarray:
         if self.fast is None or any(s in text for s in self.special):
             return np.array(self.whole.encode(text, add_special_tokens=False).ids, np.uint32)
         return np.array(self.fast.encode_ordinary(text), np.uint32)
 
 
+@functools.lru_cache(maxsize=1)
+def encoder(tokenizer: str) -> Encoder:
+    """One for all tasks of a worker."""
+    return Encoder(tokenizer)
+
+
 def token_pieces(docs: DataFrame, text_col: str = "text", tokenizer: str = "byte_bpe_50k.json", most: int = SEQUENCE, end: int = 0) -> DataFrame:
     """doc_id, row_no, piece, start, length, ids (little-endian 32-bit words).
 
@@ -62,9 +76,9 @@ def token_pieces(docs: DataFrame, text_col: str = "text", tokenizer: str = "byte
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = Encoder(tokenizer)
+        enc = encoder(tokenizer)
         row = TaskContext.get().partitionId() << 33
-        for batch in blocks(batches, "text"):
+        for batch in blocks(batches, "text", 1 << 20):
             out: list[list] = [[], [], [], [], [], []]
             for i, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 ids = np.append(enc.ids(t or ""), np.uint32(end)).astype("<u4")
@@ -76,7 +90,7 @@ def token_pieces(docs: DataFrame, text_col: str = "text", tokenizer: str = "byte
             kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(out, kinds, strict=True)], names=["doc_id", "row_no", "piece", "start", "length", "ids"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id bigint, row_no bigint, piece int, start bigint, length bigint, ids binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), "doc_id bigint, row_no bigint, piece int, start bigint, length bigint, ids binary")
 
 
 class Plan:
@@ -156,7 +170,7 @@ def pack(pieces: DataFrame, most: int = SEQUENCE) -> DataFrame:
             seq, off = held.value.slots(batch.column("length").to_numpy(), batch.column("rank").to_numpy())
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in names), pa.array(seq), pa.array(off)], names=[*names, "sequence_id", "offset"])
 
-    return ranked.mapInArrow(run, StructType([ranked.schema[c] for c in names]).add("sequence_id", "long").add("offset", "long"))
+    return ranked.mapInArrow(tidy(run), StructType([ranked.schema[c] for c in names]).add("sequence_id", "long").add("offset", "long"))
 
 
 def pack_documents(docs: DataFrame, text_col: str = "text", tokenizer: str = "byte_bpe_50k.json", most: int = SEQUENCE, with_ids: bool = True) -> DataFrame:
