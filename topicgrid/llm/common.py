@@ -43,7 +43,10 @@ class Scratch:
         self.root = f"{shared_root(spark)}/topicgrid-{name}-{uuid.uuid4().hex}"
         atexit.register(self._remove, "")
 
-    def table(self, df: DataFrame, name: str) -> DataFrame:
+    def table(self, df: DataFrame, name: str, few: bool = False) -> DataFrame:
+        """Write and read again; ``few``: small rows after a shuffle, in at most four files a core."""
+        if few:
+            df = df.coalesce(4 * self.spark.sparkContext.defaultParallelism)
         path = f"{self.root}/{name}"
         df.write.mode("overwrite").option("compression", "zstd").parquet(path)
         return self.spark.read.schema(df.schema).parquet(path)
@@ -138,6 +141,15 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def unplaced(df: DataFrame, key: str) -> DataFrame:
+    """The same rows, with a BIGINT key that the optimiser takes for a new one.
+
+    A side that was aggregated by a join's key is already placed by it, and then a hot key of the other side can't be
+    split. Placed anew for the join, both sides can be split at run time.
+    """
+    return df.withColumn(key, F.col(key).bitwiseXOR(F.lit(0).cast("bigint")))
+
+
 def small_enough(df: DataFrame, most: int) -> bool:
     """Whether a frame has at most that many rows; counts no further than one beyond."""
     return df.limit(most + 1).count() <= most

@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from topicgrid.llm.common import Scratch, blocks, mix64, release, small_enough, tidy, utf8_view
+from topicgrid.llm.common import Scratch, blocks, mix64, release, small_enough, tidy, unplaced, utf8_view
 from topicgrid.llm.components import components
 from topicgrid.llm.line_dedup import filter_bits, probe, twice_seen
 from topicgrid.llm.mixing import IS_WHITE
@@ -243,7 +243,7 @@ def near_dedup(docs: DataFrame, text_col: str = "text", words: int = 5, percent:
     sigs = scratch.table(signatures(docs, text_col, words), "sigs")
     own = F.col("doc_id").isNotNull() & F.col("set_key").isNotNull()
     classes = scratch.table(sigs.filter(own).groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.min_by("sig", "doc_id").alias("sig")), "classes")
-    edges = scratch.table(_links(spark, scratch, docs, text_col, classes, words, percent), "links")
+    edges = scratch.table(_links(spark, scratch, docs, text_col, classes, words, percent), "links", few=True)
     found = components(edges, "near-components")
     # rows that repeat an id with other sets are one node, whichever class they are in
     named = classes.select("set_key", "rep").join(found.withColumnRenamed("node", "rep").hint("merge"), "rep", "left").select("set_key", F.coalesce("component", "rep").alias("component"))
@@ -254,21 +254,21 @@ def near_dedup(docs: DataFrame, text_col: str = "text", words: int = 5, percent:
 def _links(spark, scratch: Scratch, docs: DataFrame, text_col: str, classes: DataFrame, words: int, percent: int) -> DataFrame:
     bands = scratch.table(shared_bands(classes), "suspects")
     real = bands.groupBy("key").agg(F.count(F.lit(1)).alias("k")).filter("k > 1").select("key")
-    bands = scratch.table(bands.join(real.hint("merge"), "key"), "bands")
-    needed = scratch.table(bands.select("rep").distinct(), "needed")
+    bands = scratch.table(bands.join(unplaced(real, "key").hint("merge"), "key"), "bands", few=True)
+    needed = scratch.table(bands.select("rep").distinct(), "needed", few=True)
     ids = F.broadcast(needed) if small_enough(needed, BROADCAST_IDS) else needed
     cards = docs.select(F.col("doc_id").cast("long").alias("rep"), F.col(text_col).cast("string").alias("text")).join(ids, "rep").join(classes.select("rep", "sig").join(ids, "rep").hint("merge"), "rep")
     cards = scratch.table(cards.dropDuplicates(["rep", "text", "sig"]) if _repeats(classes) else cards, "cards")
-    facts = scratch.table(with_shared_counts(cards, words), "facts")
+    facts = scratch.table(with_shared_counts(cards, words), "facts", few=True)
     # a document that can't be linked with one of its own size or smaller ends here
     alone = F.col("shared") * 100 < F.col("n") * percent
-    held = scratch.table(bands.join(facts.filter(~alone).hint("merge"), "rep").select("key", "rep", "n", "shared"), "held")
+    held = scratch.table(bands.join(facts.filter(~alone).hint("merge"), "rep").select("key", "rep", "n", "shared"), "held", few=True)
 
     head = held.groupBy("key").agg(F.max(F.struct((F.col("shared") / F.col("n")).alias("share"), (-F.col("rep")).alias("less"), "n", "shared")).alias("h"))
     head = head.select(F.col("key"), (-F.col("h.less")).alias("rep"), F.col("h.n").alias("n"), F.col("h.shared").alias("shared"))
-    star = held.alias("x").join(head.alias("h").hint("merge"), (F.col("x.key") == F.col("h.key")) & (F.col("x.rep") != F.col("h.rep")) & possible("x", "h", percent))
+    star = held.alias("x").join(unplaced(head, "key").alias("h").hint("merge"), (F.col("x.key") == F.col("h.key")) & (F.col("x.rep") != F.col("h.rep")) & possible("x", "h", percent))
     pairs = star.select(F.col("h.rep").alias("a"), F.col("x.rep").alias("b")).distinct()
-    first = scratch.table(verified(pairs, cards, words, percent), "first")
+    first = scratch.table(verified(pairs, cards, words, percent), "first", few=True)
 
     return first.unionByName(_apart(scratch, held, first, cards, facts, words, percent))
 
@@ -281,19 +281,19 @@ def _apart(scratch: Scratch, held: DataFrame, first: DataFrame, cards: DataFrame
     that join components, at most one a document, so no pair that fails is ever written.
     """
     comp = components(first, "near-first").withColumnRenamed("node", "rep")
-    placed = scratch.table(held.select("key", "rep").join(comp.hint("merge"), "rep", "left").withColumn("component", F.coalesce("component", "rep")), "placed")
+    placed = scratch.table(held.select("key", "rep").join(comp.hint("merge"), "rep", "left").withColumn("component", F.coalesce("component", "rep")), "placed", few=True)
     mixed = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.min("rep").alias("head")).filter("lo <> hi").select("key", "head")
-    touching = placed.join(mixed.hint("merge"), "key").select(F.col("head").alias("a"), F.col("rep").alias("b"))
+    touching = placed.join(unplaced(mixed, "key").hint("merge"), "key").select(F.col("head").alias("a"), F.col("rep").alias("b"))
     cluster = components(touching, "near-clusters").select(F.col("node").alias("rep"), F.col("component").alias("cluster"))
     own = placed.select("rep", "component").distinct()
-    members = scratch.table(cluster.join(own.hint("merge"), "rep").join(facts.select("rep", "n").hint("merge"), "rep"), "members")
+    members = scratch.table(cluster.join(own.hint("merge"), "rep").join(facts.select("rep", "n").hint("merge"), "rep"), "members", few=True)
     sizes = members.groupBy("cluster", "component").agg(F.count(F.lit(1)).alias("c"), F.sum("n").alias("s"))
     top = F.max(F.struct("c", (-F.col("component")).alias("less"), "s")).alias("top")
     stat = sizes.groupBy("cluster").agg(top, F.sum("c").alias("c"), F.sum("s").alias("s"))
     chunk = F.least(F.lit(CHUNK_MOST), F.greatest(F.lit(CHUNK_LEAST), F.col("c") / 32))
     chunks = lambda c, s: F.greatest(F.ceil(c / chunk), F.ceil(s / CHUNK_SHINGLES)).cast("int")
     stat = stat.select("cluster", (-F.col("top.less")).alias("main"), chunks(F.col("c") - F.col("top.c"), F.col("s") - F.col("top.s")).alias("k_out"), chunks(F.col("top.c"), F.col("top.s")).alias("k_main"))
-    dealt = members.join(stat.hint("merge"), "cluster").withColumn("out", F.col("component") != F.col("main"))
+    dealt = members.join(unplaced(stat, "cluster").hint("merge"), "cluster").withColumn("out", F.col("component") != F.col("main"))
     dealt = dealt.withColumn("own", F.pmod(F.xxhash64("rep"), F.when(F.col("out"), F.col("k_out")).otherwise(F.col("k_main"))).cast("int"))
     each = lambda k, f: F.transform(F.sequence(F.lit(0), F.col(k) - 1), f)
     task = lambda kind, i, j: F.struct(F.lit(kind).alias("kind"), i.cast("int").alias("i"), j.cast("int").alias("j"))
