@@ -596,7 +596,7 @@ def grouping_diff(spark, sf):
     return a.join(b, "id", "full").filter(~F.col("first_grp").eqNullSafe(F.col("second_grp")))
 
 
-@query("SELECT event_id, user_id, o_orderkey FROM (SELECT event_id, user_id, CAST(epoch(ts) AS BIGINT) % 1000000 AS x FROM events WHERE user_id IS NOT NULL) e ASOF LEFT JOIN (SELECT o_custkey, o_orderkey FROM orders) o ON e.user_id = o.o_custkey AND e.x >= o.o_orderkey")
+@query("SELECT event_id, user_id, o_orderkey FROM (SELECT event_id, user_id, floor(epoch(ts))::BIGINT % 1000000 AS x FROM events WHERE user_id IS NOT NULL) e ASOF LEFT JOIN (SELECT o_custkey, o_orderkey FROM orders) o ON e.user_id = o.o_custkey AND e.x >= o.o_orderkey")
 def asof_stamp(spark, sf):
     """Each event with its user's last order at or before a point, by a union and a running last value."""
     e = table(spark, sf, "events").filter("user_id IS NOT NULL").select("user_id", (F.unix_timestamp(F.col("ts").cast("timestamp")) % 1_000_000).alias("at"), "event_id", F.lit(None).cast("bigint").alias("o_orderkey"))
@@ -646,10 +646,10 @@ for _op, _sql in (("union", "UNION"), ("intersect", "INTERSECT"), ("except", "EX
     query(f"{HALVES} SELECT word FROM a {_sql} SELECT word FROM b", f"vocab_{_op}")(_sets)
 
 
-@query(f"SELECT o_orderkey, year(o_orderdate)::INT AS y, quarter(o_orderdate)::INT AS q, {M}::INT AS m, date_diff('day', DATE '1970-01-01', o_orderdate::DATE)::INT AS d, date_trunc('month', o_orderdate)::DATE AS first_day FROM orders")
+@query(f"SELECT o_orderkey, year(o_orderdate)::INT AS y, quarter(o_orderdate)::INT AS q, {M}::INT AS m, date_diff('day', DATE '1970-01-01', o_orderdate::DATE)::INT AS d, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS first_day FROM orders")
 def date_functions(spark, sf):
     d = F.col("o_orderdate")
-    return table(spark, sf, "orders").select("o_orderkey", stamps.stamp_number(d, "year").alias("y"), F.quarter(d).alias("q"), stamps.stamp_number(d, "month").alias("m"), stamps.stamp_number(d, "day").alias("d"), F.trunc(d.cast("date"), "month").alias("first_day"))
+    return table(spark, sf, "orders").select("o_orderkey", stamps.stamp_number(d, "year").alias("y"), F.quarter(d).alias("q"), stamps.stamp_number(d, "month").alias("m"), stamps.stamp_number(d, "day").alias("d"), F.date_format(F.trunc(d.cast("date"), "month"), "yyyy-MM-dd").alias("first_day"))
 
 
 @query(f"WITH {PROPORTIONAL}, a AS (SELECT row_id, list(s ORDER BY s) AS l FROM (SELECT row_id, s, unnest(range(k)) FROM k) GROUP BY 1) SELECT row_id, len(l)::INT AS slots, l[1]::INT AS first, l[-1]::INT AS last, len(list_distinct(l))::INT AS kinds, list_sum(l[1:4])::BIGINT AS early FROM a")
