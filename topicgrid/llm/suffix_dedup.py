@@ -14,16 +14,19 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import Scratch, blocks, mix64, shuffle_width, utf8_view
+from topicgrid.llm.common import Scratch, blocks, mix64, shuffle_width, tidy, utf8_view
 from topicgrid.llm.line_dedup import filter_bits, probe, twice_seen
 
 MATCH, SEED = 50, 24
 REACH = MATCH - SEED + 1  # anchors to choose from in a window
-LONGEST = 1 << 22  # bytes of a document laid out at once
+LONGEST = 1 << 17  # bytes laid out at once
+PLACE_BITS = 20
+PACKED = 1 << 22  # bytes of text whose runs are packed together
 STEP = 1 << 21  # windows compared at once
 LIST_BYTES, LIST_ROWS = 32 << 20, 400_000
 LAST = np.iinfo(np.int64).max  # stands for a null doc_id
@@ -53,11 +56,12 @@ class Anchored:
             h += words_at(self.data, slice(8, n + 8)) * _C[1]
             h += words_at(self.data, slice(16, n + 16)) * _C[2]
         h = mix64(h)
-        least, place = h, np.arange(n, dtype=np.int32)
-        for d in (1, 2, 4, 8, REACH - 16):  # the left one of equals wins
-            lower = least[d:] < least[:-d]
-            least = np.where(lower, least[d:], least[:-d])
-            place = np.where(lower, place[d:], place[:-d])
+        # the place in the low bits: of equal hashes the left one is least
+        low = U((1 << PLACE_BITS) - 1)
+        least = (h & ~low) | np.arange(n, dtype=np.uint64)
+        for d in (1, 2, 4, 8, REACH - 16):
+            least = np.minimum(least[d:], least[:-d])
+        place = (least & low).astype(np.int32)
         windows = n - MATCH + 1
         place = place[:windows]
         valid = np.zeros(windows + 1, bool)
@@ -133,56 +137,98 @@ class Splitters:
         return (lo + (rest % (hi - lo + 1).astype(np.uint64)).astype(np.int64)).astype(np.int32)
 
 
-def _list(values: np.ndarray, counts: np.ndarray) -> pa.Array:
-    return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), pa.array(values))
+def _gather(data: np.ndarray, begin: np.ndarray, size: np.ndarray) -> np.ndarray:
+    return data[_ragged(begin, size)]
 
 
-def _gather(data: np.ndarray, begin: np.ndarray, size: np.ndarray) -> pa.Array:
-    off = np.concatenate([[0], np.cumsum(size)])
-    flat = np.repeat(begin - off[:-1], size) + np.arange(off[-1])
-    return pa.Array.from_buffers(pa.binary(), len(size), [None, pa.py_buffer(off.astype(np.int32).tobytes()), pa.py_buffer(data[flat].tobytes())])
+#: Columns of a pack and their types: of documents, of runs, of the documents that hold them.
+COLUMNS = (("id", "<i8"), ("mark", "<i8"), ("anchor", "u1"), ("size", "u1"), ("held", "<u4"), ("content", "u1"), ("doc", "<u4"), ("start", "<i8"))
+
+
+def pack(columns: dict[str, np.ndarray]) -> bytes:
+    raw = [np.ascontiguousarray(columns[name].astype(kind)).tobytes() for name, kind in COLUMNS]
+    head = np.array([len(r) for r in raw], "<i8").tobytes()
+    return zstandard.compress(head + b"".join(raw), 1)
+
+
+def unpack(blob: bytes) -> dict[str, np.ndarray]:
+    raw = zstandard.decompress(blob)
+    size = np.frombuffer(raw, "<i8", len(COLUMNS))
+    ends = 8 * len(COLUMNS) + np.cumsum(size)
+    return {name: np.frombuffer(raw[e - n : e], kind) for (name, kind), n, e in zip(COLUMNS, size.tolist(), ends.tolist(), strict=True)}
+
 
+class Held:
+    """Suspect runs of some blocks, until they are packed by bucket."""
 
-SUSPECT = "bucket int, anchor int, content binary, docs array<bigint>, marks array<bigint>, starts array<bigint>"
+    def __init__(self):
+        self.clear()
+
+    def clear(self) -> None:
+        self.size, self.parts, self.ids, self.marks, self.docs = 0, [], [], [], 0
+
+    def add(self, runs: Anchored, hit: np.ndarray, ids: np.ndarray, marks: np.ndarray, first: np.ndarray) -> None:
+        """``ids``, ``marks`` and ``first`` (place of its first byte, less its place here) of each document of a block."""
+        row, begin, end, anchor = runs.row[hit], runs.begin[hit], runs.end[hit], runs.anchor[hit]
+        lead = words_at(runs.data, anchor).byteswap()
+        self.parts.append((runs.contents()[hit], lead, runs.hash[hit], anchor - begin, end - begin, self.docs + row, begin + first[row], _gather(runs.data, begin, end - begin)))
+        self.ids.append(ids)
+        self.marks.append(marks)
+        self.docs += len(ids)
+
+    def packs(self, splitters: Splitters) -> Iterator[tuple[int, bytes]]:
+        """Bucket and pack; equal runs are one row with all documents that hold them."""
+        if not self.parts:
+            return
+        content, lead, seed, anchor, size, doc_of, starts, raw = (np.concatenate(c) for c in zip(*self.parts, strict=True))
+        ids, marks = np.concatenate(self.ids), np.concatenate(self.marks)
+        self.clear()
+        at = np.cumsum(size) - size
+        order = np.argsort(content, kind="stable")
+        first = np.flatnonzero(np.concatenate([[True], content[order[1:]] != content[order[:-1]]]))
+        held = np.diff(np.append(first, len(order)))
+        rep = order[first]
+        bucket = splitters.bucket(lead[rep], seed[rep])
+        by = np.lexsort((rep, bucket))  # in a bucket by place, which packs better
+        cuts = np.flatnonzero(np.concatenate([[True], np.diff(bucket[by]) != 0, [True]]))
+        for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+            g = by[a:b]
+            occ = order[_ragged(first[g], held[g])]
+            used, doc = np.unique(doc_of[occ], return_inverse=True)
+            r = rep[g]
+            yield int(bucket[g[0]]), pack({"id": ids[used], "mark": marks[used], "anchor": anchor[r], "size": size[r], "held": held[g], "content": _gather(raw, at[r], size[r]), "doc": doc, "start": starts[occ]})
+
+
+SUSPECT = "bucket int, pack binary"
 
 
 def _suspects(bitmap, bits: int, splitters: Splitters | None):
-    """Runs whose anchor two documents seem to have, equal ones of a block together; without splitters only their leading tokens."""
+    """Runs whose anchor two documents seem to have, packed by bucket; without splitters only their leading tokens."""
 
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches, "text", LONGEST // 2):
+        held = Held()
+
+        def flush() -> pa.RecordBatch:
+            rows = list(held.packs(splitters))
+            return pa.RecordBatch.from_arrays([pa.array([b for b, _ in rows], pa.int32()), pa.array([p for _, p in rows], pa.binary())], names=["bucket", "pack"])
+
+        for batch in blocks(batches, "text", LONGEST):
             ids, marks = (batch.column(c).to_numpy() for c in ("doc_id", "mark"))
             for data, off, rows, base in laid_out(batch, "text"):
                 runs = Anchored(data, off)
                 if not len(runs.begin):
                     continue
                 hit = probe(bitmap.value, runs.hash, bits)
-                for name in ("row", "begin", "end", "anchor", "hash"):
-                    setattr(runs, name, getattr(runs, name)[hit])
-                if not len(runs.begin):
-                    continue
-                lead = words_at(runs.data, runs.anchor).byteswap()
                 if splitters is None:
+                    lead = words_at(runs.data, runs.anchor[hit]).byteswap()
                     yield pa.RecordBatch.from_arrays([pa.array((lead ^ U(1 << 63)).view(np.int64))], names=["lead"])
                     continue
-                content = runs.contents()
-                order = np.argsort(content, kind="stable")
-                first = np.flatnonzero(np.concatenate([[True], content[order[1:]] != content[order[:-1]]]))
-                counts = np.diff(np.append(first, len(order)))
-                rep = order[first]
-                of = rows[runs.row[order]]
-                starts = runs.begin[order] - off[runs.row[order]] + base[runs.row[order]]
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(splitters.bucket(lead[rep], runs.hash[rep])),
-                        pa.array((runs.anchor - runs.begin)[rep].astype(np.int32)),
-                        _gather(runs.data, runs.begin[rep], (runs.end - runs.begin)[rep]),
-                        _list(ids[of], counts),
-                        _list(marks[of], counts),
-                        _list(starts.astype(np.int64), counts),
-                    ],
-                    names=["bucket", "anchor", "content", "docs", "marks", "starts"],
-                )
+                held.add(runs, hit, ids[rows], marks[rows], base - off[:-1])
+                held.size += len(data)
+                if held.size >= PACKED:
+                    yield flush()
+        if splitters is not None:
+            yield flush()
 
     return emit
 
@@ -223,38 +269,73 @@ def equal_windows(data: np.ndarray, begin: np.ndarray, relative: np.ndarray, val
     return out
 
 
+def _joined(packs: Iterator[dict[str, np.ndarray]]) -> dict[str, np.ndarray]:
+    """All packs of a bucket in one, documents numbered through."""
+    parts: dict[str, list[np.ndarray]] = {name: [] for name, _ in COLUMNS}
+    docs = 0
+    for p in packs:
+        for name, _ in COLUMNS:
+            parts[name].append(p[name].astype(np.int64) + docs if name == "doc" else p[name])
+        docs += len(p["id"])
+    return {name: np.concatenate(x) if x else np.empty(0, np.int64) for name, x in parts.items()}
+
+
 def _bucket(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Spans to remove, packed by document: the windows of a bucket that an earlier document has too."""
-    held = [b for b in batches if b.num_rows]
-    if not held:
+    """Spans to remove, packed by document: what a bucket's windows have in common with an earlier document."""
+    whole = _joined(unpack(blob) for b in batches for blob in b.column("pack").to_pylist())
+    if not len(whole["size"]):
         return
-    whole = pa.Table.from_batches(held).combine_chunks().to_batches()[0]
-    del held
-    data, off = _binary(whole.column("content"))
-    anchor = whole.column("anchor").to_numpy().astype(np.int64)
-    loff = np.concatenate([[0], np.cumsum(whole.column("docs").value_lengths().to_numpy())])
-    docs, marks, starts = (whole.column(c).flatten().to_numpy() for c in ("docs", "marks", "starts"))
+    data = np.concatenate([whole["content"], np.zeros(96, np.uint8)])
+    size, anchor = whole["size"].astype(np.int64), whole["anchor"].astype(np.int64)
+    at = np.cumsum(size) - size
+    held = whole["held"].astype(np.int64)
+    loff = np.concatenate([[0], np.cumsum(held)])
+    docs = whole["id"][whole["doc"]]
+    starts = whole["start"]
     least, most = np.minimum.reduceat(docs, loff[:-1]), np.maximum.reduceat(docs, loff[:-1])
-    at = off[:-1] + anchor
-    order, first = multikey_sort([words_at(data, at + 8 * t).byteswap() for t in range(SEED // 8)])
-    # an anchor that a single document has is alone
+    order, first = multikey_sort([words_at(data, at + anchor + 8 * t).byteswap() for t in range(SEED // 8)])
     heads = np.flatnonzero(first)
-    size = np.diff(np.append(heads, len(order)))
-    alone = np.maximum.reduceat(most[order], heads) == np.minimum.reduceat(least[order], heads)
-    order, size = order[np.repeat(~alone, size)], size[~alone]
-    group_end = np.cumsum(size)
-    n_windows = np.diff(off) - MATCH + 1
+    rows_in = np.diff(np.append(heads, len(order)))
+    group_least = np.minimum.reduceat(least[order], heads)
+    alone = np.maximum.reduceat(most[order], heads) == group_least  # an anchor of one document
+    # groups whose runs are all the same go as a whole, without a look at their windows
+    head_of = np.repeat(order[heads], rows_in)
+    same = (size[order] == size[head_of]) & (anchor[order] == anchor[head_of])
+    last = size[order] - 8
+    for t in range(10):
+        step = np.minimum(8 * t, last)
+        same &= words_at(data, at[order] + step) == words_at(data, at[head_of] + np.minimum(8 * t, size[head_of] - 8))
+    uniform = np.logical_and.reduceat(same, heads) & ~alone
     out: list[tuple[np.ndarray, ...]] = []
-    per_group = np.add.reduceat(n_windows[order], group_end - size) if len(order) else np.empty(0, np.int64)
+    rows = order[np.repeat(uniform, rows_in)]
+    if len(rows):
+        o = _ragged(loff[rows], held[rows])
+        gone = docs[o] > np.repeat(np.repeat(group_least[uniform], rows_in[uniform]), held[rows])
+        long = np.repeat(size[rows], held[rows])[gone]
+        o = o[gone]
+        out.append((whole["doc"][o], starts[o], starts[o] + long))
+    mixed = ~uniform & ~alone
+    order, rows_in = order[np.repeat(mixed, rows_in)], rows_in[mixed]
+    out += _window_spans(data, at, anchor, size, held, loff, docs, whole["doc"], starts, least, order, rows_in)
+    if out:
+        doc, a, b = (np.concatenate(c) for c in zip(*out, strict=True))
+        if len(doc):
+            yield _packed(whole["id"][doc], whole["mark"][doc], a, b)
+
+
+def _window_spans(data, at, anchor, size, held, loff, docs, doc, starts, least, order, rows_in) -> Iterator[tuple[np.ndarray, ...]]:
+    """Spans of groups whose runs differ: every window is compared with those of the same anchor."""
+    group_end = np.cumsum(rows_in)
+    n_windows = size - MATCH + 1
+    per_group = np.add.reduceat(n_windows[order], group_end - rows_in) if len(order) else np.empty(0, np.int64)
     for part in _slices(per_group, STEP):
-        rows = order[group_end[part.start] - size[part.start] : group_end[part.stop - 1]]
+        rows = order[group_end[part.start] - rows_in[part.start] : group_end[part.stop - 1]]
         nw = n_windows[rows]
         woff = np.concatenate([[0], np.cumsum(nw)])
-        begin = _ragged(off[rows], nw)
-        relative = np.repeat(anchor[rows] + off[rows], nw) - begin
+        begin = _ragged(at[rows], nw)
+        relative = np.repeat(anchor[rows] + at[rows], nw) - begin
         least_of = equal_windows(data, begin, relative, np.repeat(least[rows], nw))
-        held_by = loff[rows + 1] - loff[rows]
-        occ, of = _ragged(loff[rows], held_by), np.repeat(np.arange(len(rows)), held_by)
+        occ, of = _ragged(loff[rows], held[rows]), np.repeat(np.arange(len(rows)), held[rows])
         for some in _slices(nw[of], 2 * STEP):
             o, r = occ[some], of[some]
             window = _ragged(woff[r], nw[r])
@@ -266,18 +347,7 @@ def _bucket(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             b = np.flatnonzero(gone & (ends | ~np.append(gone[1:], False)))
             which = np.repeat(np.arange(len(o)), nw[r])[a]
             shift = starts[o[which]] - woff[r[which]]
-            out.append((docs[o[which]], marks[o[which]], window[a] + shift, window[b] + shift + MATCH))
-    if out:
-        d, m, a, b = (np.concatenate(c) for c in zip(*out, strict=True))
-        if len(d):
-            yield _packed(d, m, a, b)
-
-
-def _binary(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    _, off, data = arr.buffers()
-    off = np.frombuffer(off, np.int32)[arr.offset : arr.offset + len(arr) + 1].astype(np.int64)
-    raw = np.frombuffer(data, np.uint8)[off[0] : off[-1]]
-    return np.concatenate([raw, np.zeros(96, np.uint8)]), off - off[0]
+            yield doc[o[which]], window[a] + shift, window[b] + shift + MATCH
 
 
 def merged(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -315,18 +385,18 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     bits = filter_bits(n_bytes, 14, most=29)
 
     def anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[np.ndarray]:
-        for batch in blocks(batches, "text", LONGEST // 2):
+        for batch in blocks(batches, "text", LONGEST):
             for data, off, _, _ in laid_out(batch, "text"):
                 yield Anchored(data, off).hash
 
     bitmap = spark.sparkContext.broadcast(twice_seen(docs.select("text"), anchors, bits))
     few = F.pmod(F.xxhash64("doc_id", "mark"), F.lit(max(1, min(256, n_bytes >> 22)))) == 0  # for the splitters only
-    sample = docs.filter(few).mapInArrow(_suspects(bitmap, bits, None), "lead bigint").orderBy(F.xxhash64("lead")).limit(20_000)
+    sample = docs.filter(few).mapInArrow(tidy(_suspects(bitmap, bits, None)), "lead bigint").orderBy(F.xxhash64("lead")).limit(20_000)
     lead = np.array([r.lead for r in sample.collect()], np.int64).view(np.uint64) ^ U(1 << 63)
     ranges = max(shuffle_width(spark), n_bytes // (24 << 20))
-    found = docs.mapInArrow(_suspects(bitmap, bits, Splitters(lead, ranges)), SUSPECT)
-    spans = found.repartitionById(ranges, F.col("bucket")).mapInArrow(_bucket, "doc_id bigint, mark bigint, spans binary")
-    return spans.groupBy("doc_id", "mark").agg(F.collect_list("spans").alias("spans")).mapInArrow(_merge_lists, "doc_id bigint, mark bigint, spans binary")
+    found = docs.mapInArrow(tidy(_suspects(bitmap, bits, Splitters(lead, ranges))), SUSPECT)
+    spans = found.repartitionById(ranges, F.col("bucket")).mapInArrow(tidy(_bucket), "doc_id bigint, mark bigint, spans binary")
+    return spans.groupBy("doc_id", "mark").agg(F.collect_list("spans").alias("spans")).mapInArrow(tidy(_merge_lists), "doc_id bigint, mark bigint, spans binary")
 
 
 def suffix_dedup(docs: DataFrame, text_col: str = "text", list_bytes: int = LIST_BYTES) -> DataFrame:
@@ -376,11 +446,11 @@ def suffix_dedup(docs: DataFrame, text_col: str = "text", list_bytes: int = LIST
                 ids, marks = (batch.column(c).to_pylist() for c in ("key__", "mark__"))
                 yield rebuilt(batch, [listed.value.get(k) for k in zip(ids, marks, strict=True)])
 
-        return marked.mapInArrow(run, schema)
+        return marked.mapInArrow(tidy(run), schema)
 
     def run_joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             yield rebuilt(batch, batch.column(len(names)).to_pylist())
 
     right = spans.select(F.col("doc_id").alias("key__"), F.col("mark").alias("mark__"), F.col("spans").alias("spans__"))
-    return marked.join(right.hint("merge"), ["key__", "mark__"], "left").select(*names, "spans__").mapInArrow(run_joined, schema)
+    return marked.join(right.hint("merge"), ["key__", "mark__"], "left").select(*names, "spans__").mapInArrow(tidy(run_joined), schema)
