@@ -2,7 +2,7 @@
 
 The suffix array is sparse. Each 50-byte window is filed under its anchor, the place in it where the hash of 24
 bytes is least; equal windows have equal anchors, so only suffixes at anchors, one in fourteen bytes, need sorting. A
-twice-seen filter drops anchors that one document alone has. The rest is range-partitioned by sampled splitters on the suffixes'
+twice-seen filter drops anchors that one document alone has, and whole copies of an earlier text are settled by their hash (128 bits). The rest is range-partitioned by sampled splitters on the suffixes'
 leading 8-byte tokens (a token that fills several ranges is spread over them by its next tokens, so that equal
 suffixes always meet and nothing is lost at a boundary), sorted in each bucket by multikey quicksort, and the
 windows of suffixes that agree at their anchor are compared whole. What is equal takes the smallest doc_id.
@@ -19,14 +19,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import Scratch, blocks, mix64, shuffle_width, tidy, utf8_view
+from topicgrid.llm.common import Scratch, blocks, mix64, shuffle_width, small_enough, tidy, utf8_view
 from topicgrid.llm.line_dedup import filter_bits, probe, twice_seen
 
 MATCH, SEED = 50, 24
 REACH = MATCH - SEED + 1  # anchors to choose from in a window
 LONGEST = 1 << 17  # bytes laid out at once
 PLACE_BITS = 20
-PACKED = 1 << 22  # bytes of text whose runs are packed together
+PACK_ROWS = 96 << 10  # bytes of text for each bucket, up to 16 MB, whose runs are packed together
+MOST_PACKED = 16 << 20
+COPY_ROWS = 1_000_000
 STEP = 1 << 21  # windows compared at once
 LIST_BYTES, LIST_ROWS = 32 << 20, 400_000
 LAST = np.iinfo(np.int64).max  # stands for a null doc_id
@@ -202,9 +204,11 @@ class Held:
 SUSPECT = "bucket int, pack binary"
 
 
-def _suspects(bitmap, bits: int, splitters: Splitters | None):
+def _suspects(bitmap, bits: int, splitters: Splitters | None, ranges: int = 1):
     """Runs whose anchor two documents seem to have, packed by bucket; without splitters only their leading tokens."""
 
+    packed = min(MOST_PACKED, ranges * PACK_ROWS)
+
     def emit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = Held()
 
@@ -225,7 +229,7 @@ def _suspects(bitmap, bits: int, splitters: Splitters | None):
                     continue
                 held.add(runs, hit, ids[rows], marks[rows], base - off[:-1])
                 held.size += len(data)
-                if held.size >= PACKED:
+                if held.size >= packed:
                     yield flush()
         if splitters is not None:
             yield flush()
@@ -394,7 +398,7 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     sample = docs.filter(few).mapInArrow(tidy(_suspects(bitmap, bits, None)), "lead bigint").orderBy(F.xxhash64("lead")).limit(20_000)
     lead = np.array([r.lead for r in sample.collect()], np.int64).view(np.uint64) ^ U(1 << 63)
     ranges = max(shuffle_width(spark), n_bytes // (24 << 20))
-    found = docs.mapInArrow(tidy(_suspects(bitmap, bits, Splitters(lead, ranges))), SUSPECT)
+    found = docs.mapInArrow(tidy(_suspects(bitmap, bits, Splitters(lead, ranges), ranges)), SUSPECT)
     spans = found.repartitionById(ranges, F.col("bucket")).mapInArrow(tidy(_bucket), "doc_id bigint, mark bigint, spans binary")
     return spans.groupBy("doc_id", "mark").agg(F.collect_list("spans").alias("spans")).mapInArrow(tidy(_merge_lists), "doc_id bigint, mark bigint, spans binary")
 
@@ -412,9 +416,18 @@ def suffix_dedup(docs: DataFrame, text_col: str = "text", list_bytes: int = LIST
     added = ("kept", "n_bytes", "n_removed", "n_spans")
     names = [c for c in docs.columns if c not in added]
     key, mark = F.coalesce(F.col("doc_id").cast("long"), F.lit(int(LAST))), F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
-    marked = docs.select(*names, key.alias("key__"), mark.alias("mark__"))
-    slim = docs.select(key.alias("doc_id"), mark.alias("mark"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    spans = scratch.table(repeated_spans(slim), "spans")
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    second = F.xxhash64(F.lit(1), text)
+    # whole copies of an earlier document go as they are: they need no suffixes, and neither are they a source of their own
+    copies = docs.select(key.alias("k"), mark.alias("mark__"), second.alias("second__")).groupBy("mark__", "second__").agg(F.min("k").alias("first__"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
+    copies = scratch.table(copies, "copies", few=True)
+    few_copies = small_enough(copies, COPY_ROWS)
+    if not few_copies:  # then copies are found like anything else
+        copies = copies.limit(0)
+    with_first = docs.withColumns({"key__": key, "mark__": mark, "second__": second}).join(F.broadcast(copies), ["mark__", "second__"], "left")
+    marked = with_first.select(*names, "key__", "mark__", F.coalesce(F.col("first__") < F.col("key__"), F.lit(False)).alias("copy__"))
+    slim = marked.filter(~F.col("copy__")).select(F.col("key__").alias("doc_id"), F.col("mark__").alias("mark"), text.alias("text"))
+    spans = scratch.table(repeated_spans(slim), "spans", few=True)
     stat = spans.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.octet_length("spans")), F.lit(0)).alias("b")).first()
     schema = StructType([docs.schema[c] for c in names]).add("kept", "binary").add("n_bytes", "long").add("n_removed", "long").add("n_spans", "long")
     at_text = names.index(text_col)
@@ -422,8 +435,13 @@ def suffix_dedup(docs: DataFrame, text_col: str = "text", list_bytes: int = LIST
     def rebuilt(batch: pa.RecordBatch, own: list) -> pa.RecordBatch:
         data, off = utf8_view(batch.column(at_text))
         kept, gone, n_spans = [], [], []
-        for k, s in enumerate(own):
+        for k, (s, copy) in enumerate(zip(own, batch.column("copy__").to_pylist(), strict=True)):
             t = data[off[k] : off[k + 1]]
+            if copy and len(t) >= MATCH:
+                kept.append(b"")
+                gone.append(len(t))
+                n_spans.append(1)
+                continue
             if s is None:
                 kept.append(t.tobytes())
                 gone.append(0)
@@ -450,7 +468,7 @@ def suffix_dedup(docs: DataFrame, text_col: str = "text", list_bytes: int = LIST
 
     def run_joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield rebuilt(batch, batch.column(len(names)).to_pylist())
+            yield rebuilt(batch, batch.column("spans__").to_pylist())
 
     right = spans.select(F.col("doc_id").alias("key__"), F.col("mark").alias("mark__"), F.col("spans").alias("spans__"))
-    return marked.join(right.hint("merge"), ["key__", "mark__"], "left").select(*names, "spans__").mapInArrow(tidy(run_joined), schema)
+    return marked.join(right.hint("merge"), ["key__", "mark__"], "left").select(*names, "copy__", "spans__").mapInArrow(tidy(run_joined), schema)
