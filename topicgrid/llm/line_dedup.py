@@ -48,8 +48,24 @@ def _spread(pos: np.ndarray, kind: int) -> Iterator[tuple[int, int, bytes]]:
             yield int(part[0] >> np.uint64(SEGMENT)), kind, pack.compress(np.diff(low, prepend=np.uint32(0)).tobytes())
 
 
-def twice_seen(items: DataFrame, task, bits: int) -> np.ndarray:
-    """The twice-seen filter as packed bits. ``task(batches)`` yields arrays of hashes, each once per document."""
+class Filter:
+    """A Bloom filter's bits; they travel compressed and are unpacked once a worker."""
+
+    def __init__(self, packed_bits: np.ndarray):
+        self.blob = zstandard.compress(packed_bits.tobytes(), 1)
+        self.unpacked: np.ndarray | None = None
+
+    def __getstate__(self) -> dict:
+        return {"blob": self.blob, "unpacked": None}
+
+    def bytes(self) -> np.ndarray:
+        if self.unpacked is None:
+            self.unpacked = np.frombuffer(zstandard.decompress(self.blob), np.uint8)
+        return self.unpacked
+
+
+def twice_seen(items: DataFrame, task, bits: int) -> Filter:
+    """The twice-seen filter. ``task(batches)`` yields arrays of hashes, each once per document."""
 
     def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         once = np.empty(0, np.uint64)
@@ -110,12 +126,12 @@ def twice_seen(items: DataFrame, task, bits: int) -> np.ndarray:
         at = r.seg << (SEGMENT - 3)
         n = min(len(part), len(out) - at)
         out[at : at + n] = part[:n]
-    return out
+    return Filter(out)
 
 
-def probe(bitmap: np.ndarray, h: np.ndarray, bits: int) -> np.ndarray:
+def probe(held: Filter, h: np.ndarray, bits: int) -> np.ndarray:
     """Whether the filter has both positions of each hash."""
-    pos = positions(h, bits)
+    pos, bitmap = positions(h, bits), held.bytes()
     hit = (bitmap[(pos >> np.uint64(3)).astype(np.int64)] >> (7 - (pos & np.uint64(7))).astype(np.uint8)) & 1
     return (hit[: len(h)] & hit[len(h) :]).astype(bool)
 

@@ -150,7 +150,7 @@ COLUMNS = (("id", "<i8"), ("mark", "<i8"), ("anchor", "u1"), ("size", "u1"), ("h
 def pack(columns: dict[str, np.ndarray]) -> bytes:
     raw = [np.ascontiguousarray(columns[name].astype(kind)).tobytes() for name, kind in COLUMNS]
     head = np.array([len(r) for r in raw], "<i8").tobytes()
-    return zstandard.compress(head + b"".join(raw), 1)
+    return zstandard.compress(head + b"".join(raw), 3)
 
 
 def unpack(blob: bytes) -> dict[str, np.ndarray]:
