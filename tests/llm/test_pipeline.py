@@ -78,15 +78,17 @@ def test_run_agrees(stages, spark, sf):
     assert collections.Counter(map(tuple, found.select(cols).collect())) == collections.Counter(map(tuple, stages[-1][2].select(cols).collect()))
 
 
-def test_no_machine_local_folder_where_one_is_named(spark, sf, tmp_path):
-    from topicgrid.llm.common import Scratch
-
-    spark.conf.set("spark.checkpoint.dir", f"file://{tmp_path}")
-    try:
-        s = Scratch(spark, "named")
-        assert s.root.startswith(f"file://{tmp_path}/")
-        t = s.table(spark.range(3).toDF("x"), "t")
-        assert t.count() == 3 and os.listdir(tmp_path)
-        s.drop("t")
-    finally:
-        spark.conf.unset("spark.checkpoint.dir")
+def test_no_machine_local_folder_where_one_is_named(spark):
+    from types import SimpleNamespace
+
+    from topicgrid.llm.common import Scratch, shared_root
+
+    named = SimpleNamespace(conf=SimpleNamespace(get=lambda key, default=None: "hdfs://shared/ck/" if key == "spark.checkpoint.dir" else default))
+    assert shared_root(named) == "hdfs://shared/ck"
+    s = Scratch(spark, "named")
+    assert s.root.startswith(f"{shared_root(spark)}/topicgrid-named-")
+    assert s.table(spark.range(3).toDF("x"), "t").count() == 3
+    folder = s.root.removeprefix("file://")
+    assert os.listdir(folder) == ["t"]
+    s.drop("t")
+    assert os.listdir(folder) == []
