@@ -179,6 +179,21 @@ def test_bottleneck_is_optimal(spark):
         assert got == best
 
 
+@pytest.mark.parametrize("held", [3, 5, 16])
+def test_bottleneck_is_optimal_beyond_what_the_driver_holds(spark, held):
+    g = np.random.default_rng(held)
+    lens = g.integers(1, 30, 60)
+    lens[g.integers(0, 60, 3)] = 400  # giants among small neighbours
+    placed = spark.createDataFrame([(i, int(x), i + 1) for i, x in enumerate(lens)], "id bigint, len bigint, pos bigint")
+    ends = [0, *np.cumsum(lens).tolist()]
+    best = [e for e in ends]  # least maximum of the first k items in one group, then in one more each time
+    for _ in range(4):
+        best = [min(max(best[a], ends[b] - ends[a]) for a in range(b + 1)) for b in range(61)]
+    few = cut.cut_bottleneck(placed, 5, held).orderBy("pos").collect()
+    assert max(sum(r.len for r in few if r.grp == k) for k in range(5)) == best[-1]
+    assert few == cut.cut_bottleneck(placed, 5).orderBy("pos").collect()
+
+
 def test_brute_force_bound(spark):
     """No method beats the best of all groupings of a tiny matrix."""
     g = np.random.default_rng(1)

@@ -99,37 +99,77 @@ def cut_by_histogram(ranked: DataFrame, groups: int, method: str = "interleave")
     return closed_form(ranked, method).select("id", "len", "pos", F.size(F.filter(edges, lambda b: b <= F.col("pos"))).cast("int").alias("grp"))
 
 
-def cut_bottleneck(placed: DataFrame, groups: int, most_items: int = 2_000_000) -> DataFrame:
-    """Contiguous groups whose heaviest is as light as can be.
-
-    The least maximum is found by bisection; each try fills groups greedily along prefix sums. Up to ``most_items``
-    items the sums are those of items and the cut is optimal; beyond, those of ``most_items`` runs of positions, and it is
-    optimal among cuts between runs.
+def _knots(ends: DataFrame, width: int, ranges: list[tuple[int, int]]) -> np.ndarray:
+    """The least and the largest end in each bucket of ``width`` tokens, of the ends in ``ranges``; two columns, ascending."""
+    starts = F.array(*(F.lit(a).cast("bigint") for a, _ in ranges))
+    stops = F.array(*(F.lit(b).cast("bigint") for _, b in ranges))
+    dealt = ends.withColumn("r", F.size(F.filter(starts, lambda a: a <= F.col("end")))).filter("r > 0").filter(F.get(stops, F.col("r") - 1) >= F.col("end"))
+    found = dealt.groupBy("r", F.expr(f"end div {width}").alias("k")).agg(F.min("end").alias("lo"), F.max("end").alias("hi")).select("lo", "hi").toArrow()
+    knots = np.column_stack([found.column(c).to_numpy().astype(np.int64) for c in ("lo", "hi")])
+    return knots[np.argsort(knots[:, 0])]
+
+
+def _fill(knots: np.ndarray, most: int, groups: int, high: bool) -> list[int]:
+    """Tokens up to the end of each group if groups are filled up to ``most``: at most (``high``) or at least, as far as the knots tell."""
+    flat, cuts, base = knots.ravel(), [], 0
+    for _ in range(groups):
+        at = int(np.searchsorted(flat, base + most, side="right"))
+        inside = at % 2 == 1  # between the two ends of a bucket, where others may be
+        base = base + most if high and inside else int(flat[at - 1]) if at else base
+        cuts.append(base)
+    return cuts
+
+
+def bottleneck_ends(placed: DataFrame, groups: int, most_items: int = 2_000_000) -> list[int]:
+    """Tokens up to the end of each group but the last one, for the least possible maximum; groups are filled from the left.
+
+    The driver holds prefix sums by buckets of tokens, about ``most_items`` at most. They bracket the maximum and each boundary; the
+    buckets in which a boundary may fall are read again in finer ones until the brackets are closed, so the outcome doesn't depend on
+    ``most_items``. A heavy item never blurs its neighbours, since buckets are of tokens.
     """
-    size = placed.agg(F.max("pos").alias("n")).first().n or 0
-    run = max(1, -(-size // most_items))
-    rows = placed.groupBy(F.floor((F.col("pos") - 1) / run).cast("bigint").alias("run")).agg(F.sum("len").alias("s")).toPandas().sort_values("run")
-    ends = np.cumsum(rows["s"].to_numpy(dtype=np.int64))
-    if not len(ends):
-        return placed.select("id", "len", "pos", F.lit(0).alias("grp"))
-
-    def fill(most: int) -> list[int] | None:
-        """Last run of each group, or nothing if that many groups can't hold the rest."""
-        cuts, at, base = [], 0, 0
-        for _ in range(groups):
-            at = int(np.searchsorted(ends, base + most, side="right"))
-            cuts.append(at)
-            if at == len(ends):
-                return cuts
-            base = int(ends[at - 1]) if at else 0
-        return None
-
-    lo, hi = int(max(np.diff(ends, prepend=0).max(), -(-int(ends[-1]) // groups))), int(ends[-1])
-    while lo < hi:
-        mid = (lo + hi) // 2
-        lo, hi = (lo, mid) if fill(mid) else (mid + 1, hi)
-    bounds = F.array(*(F.lit(c * run + 1).cast("bigint") for c in fill(lo)[:-1])) if len(fill(lo)) > 1 else F.array().cast("array<bigint>")
-    return placed.select("id", "len", "pos", F.size(F.filter(bounds, lambda b: b <= F.col("pos"))).cast("int").alias("grp"))
+    ends = prefix_tokens(placed).select((F.col("before") + F.col("len")).alias("end"))
+    seen = placed.agg(F.sum("len").alias("total"), F.max("len").alias("longest"), F.count(F.lit(1)).alias("n")).first()
+    if not seen.n or not seen.total:
+        return []
+    total = int(seen.total)
+    width = 1 if seen.n <= most_items else -(-total // most_items)
+    knots = _knots(ends, width, [(0, total)])
+    least, enough = max(int(seen.longest), -(-total // groups)), total
+    while True:
+        found = []
+        for high, lo, hi in ((True, least, enough), (False, least, enough)):
+            while lo < hi:
+                mid = (lo + hi) // 2
+                lo, hi = (lo, mid) if _fill(knots, mid, groups, high)[-1] >= total else (mid + 1, hi)
+            found.append(lo)
+        least, enough = found
+        low, high = _fill(knots, least, groups, False), _fill(knots, enough, groups, True)
+        if low == high:
+            return low[:-1]
+        open_ = knots[:, 0] < knots[:, 1]
+        ranges: list[tuple[int, int]] = []
+        for a, b in zip(low, high, strict=True):
+            k = np.flatnonzero(open_ & (knots[:, 1] > a) & (knots[:, 0] <= b))
+            if not len(k):
+                continue
+            first, last = int(knots[k[0], 0]), int(knots[k[-1], 1])
+            if ranges and first <= ranges[-1][1]:
+                first, last = ranges[-1][0], max(last, ranges.pop()[1])
+            ranges.append((first, last))
+        inner = np.zeros(len(knots), bool)
+        for a, b in ranges:
+            inner |= (knots[:, 0] >= a) & (knots[:, 1] <= b)
+        width = max(1, min(width // 2, -(-sum(b - a + 1 for a, b in ranges) // most_items)))
+        knots = np.concatenate([knots[~inner], _knots(ends, width, ranges)])
+        knots = knots[np.argsort(knots[:, 0])]
+
+
+def cut_bottleneck(placed: DataFrame, groups: int, most_items: int = 2_000_000) -> DataFrame:
+    """Contiguous groups whose heaviest is as light as can be, at every size (``bottleneck_ends``)."""
+    bounds = bottleneck_ends(placed, groups, most_items)
+    cuts = F.array(*(F.lit(b).cast("bigint") for b in bounds)) if bounds else F.array().cast("array<bigint>")
+    end = F.col("before") + F.col("len")
+    return prefix_tokens(placed).select("id", "len", "pos", F.size(F.filter(cuts, lambda b: b < end)).cast("int").alias("grp"))
 
 
 def group_bounds(groups: DataFrame) -> DataFrame:
