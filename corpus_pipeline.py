@@ -32,19 +32,41 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return out.withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
 
 
+def with_row_keys(scratch: Scratch, docs: DataFrame) -> DataFrame:
+    """``docs`` with row__: the doc_id, or for each row without one a number of its own above all doc_ids.
+
+    These are numbered by a hash of all columns, so which of several copies stays doesn't depend on where they lie.
+    """
+    named = docs.filter("doc_id IS NOT NULL").withColumn("row__", F.col("doc_id").cast("long"))
+    bare = docs.filter("doc_id IS NULL")
+    if bare.isEmpty():
+        return named
+    order = (F.xxhash64(*docs.columns), F.rand(7))  # equal rows may lie in several tasks
+    dealt = bare.withColumns({"h__": order[0], "r__": order[1]}).repartitionByRange("h__", "r__").sortWithinPartitions("h__", "r__")
+    bare = scratch.table(dealt.drop("h__", "r__").withColumn("at__", F.monotonically_increasing_id()), "bare")
+    task = F.shiftright("at__", 33)
+    first, starts = (docs.agg(F.max(F.col("doc_id").cast("long"))).first()[0] or 0) + 1, {}
+    for r in sorted(bare.groupBy(task.alias("task")).count().collect()):
+        starts[r[0]], first = first, first + r[1]
+    start = F.element_at(F.create_map(*(F.lit(x).cast("bigint") for kv in starts.items() for x in kv)), task)
+    return named.unionByName(bare.withColumn("row__", start + F.col("at__") - F.shiftleft(task, 33)).drop("at__"))
+
+
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays, the one with the smallest doc_id."""
-    found = Scratch(spark, "pipeline-near").table(near_dedup(docs), "found")
-    gone = found.filter(~F.col("kept")).select("doc_id").filter("doc_id IS NOT NULL").distinct()
+    """One document of each group of near copies stays, the one with the smallest doc_id; one without only where none has one."""
+    scratch, columns = Scratch(spark, "pipeline-near"), docs.columns
+    docs = with_row_keys(scratch, docs)
+    found = scratch.table(near_dedup(docs.select(F.col("row__").alias("doc_id"), "text")).withColumnRenamed("doc_id", "row__"), "found")
+    gone = found.filter(~F.col("kept")).select("row__").distinct()
     if small_enough(gone, BROADCAST_IDS):
         gone = F.broadcast(gone)
-    left = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-    twice = found.filter("kept AND doc_id IS NOT NULL").groupBy("doc_id").count().filter("count > 1").select("doc_id")
+    left = docs.join(gone, "row__", "left_anti")
+    twice = found.filter("kept").groupBy("row__").count().filter("count > 1").select("row__")
     if not twice.isEmpty():  # rows that share the id that stays: the least by text
-        order = Window.partitionBy("doc_id").orderBy("text", *[c for c in docs.columns if c not in ("doc_id", "text")])
-        one = left.join(twice, "doc_id").withColumn("at__", F.row_number().over(order)).filter("at__ = 1").select(*docs.columns)
-        left = left.join(twice, "doc_id", "left_anti").select(*docs.columns).unionByName(one)
-    return left
+        order = Window.partitionBy("row__").orderBy("text", *[c for c in columns if c not in ("doc_id", "text")])
+        one = left.join(twice, "row__").withColumn("at__", F.row_number().over(order)).filter("at__ = 1").select(*left.columns)
+        left = left.join(twice, "row__", "left_anti").select(*left.columns).unionByName(one)
+    return left.select(*columns)
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

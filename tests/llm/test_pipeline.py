@@ -61,6 +61,23 @@ def test_near(stages):
     assert {r.doc_id for r in after.collect()} == set(want.values())
 
 
+def test_near_takes_rows_without_id(spark):
+    """Whichever rows lack an id, as many groups stay as there are, and none without an id where one has it."""
+    text = lambda k: " ".join(f"w{k}x{i}" for i in range(60))
+    near = lambda k: text(k).replace(f"w{k}x59", "other")
+    rows = [(None, text(0))] * 3 + [(None, text(1)), (None, near(1))] + [(7, text(2)), (None, text(2)), (None, near(2))]
+    rows += [(9, near(3)), (8, text(3)), (None, text(4)), (None, None), (None, None), (None, "")]
+    docs = spark.createDataFrame([(i, t, "en", s % 2, 0) for s, (i, t) in enumerate(rows)], "doc_id bigint, text string, lang string, source int, n_chars bigint")
+    found = corpus_pipeline.near_copies(spark, docs.repartition(3), "")
+    assert found.columns == docs.columns
+    kept = [(r.doc_id, r.text) for r in found.collect()]
+    groups = collections.Counter((t or "").split("x")[0] for _, t in kept)
+    assert groups == {"w0": 1, "w1": 1, "w2": 1, "w3": 1, "w4": 1, "": 3}
+    assert {i for i, _ in kept} == {None, 7, 8}
+    again = corpus_pipeline.near_copies(spark, docs.orderBy(F.desc("text")).repartition(5), "").collect()
+    assert collections.Counter(map(tuple, again)) == collections.Counter(map(tuple, found.collect()))
+
+
 def test_mixing_and_packing(stages):
     _, before, after = stages[3]
     sizes = {r.source: r.n for r in before.groupBy("source").agg(F.sum(F.size(F.expr(r"regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+', 0)"))).alias("n")).collect()}
