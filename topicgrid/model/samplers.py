@@ -160,7 +160,8 @@ def fit_diagonal_stamped(matrix: DataFrame, stamps: DataFrame, parts, stamp_part
     """Stamped model: in each epoch a diagonal of words, then the same diagonal of stamps.
 
     ``layout``: "independent" has row groups of their own for the stamps, so documents change task between the two
-    phases; "shared_rows" uses the words' row groups for both; "merged" puts words and stamps into one matrix, one phase an epoch.
+    phases; "shared_rows" uses the words' row groups for both; "merged" cuts words and
+    stamps as one matrix, but shares only that partition: an epoch is still two phases, words and then stamps.
     """
     return _fit(matrix, stamps, parts, stamp_parts, groups, priors, iterations, seed, tolerance, track, layout)
 
@@ -224,7 +225,7 @@ def fit_serial_stamped(matrix: DataFrame, stamps: DataFrame, priors: Priors, ite
 
 
 def _fit_merged(matrix, stamps, groups, priors, iterations, seed, tolerance, track) -> Fit:
-    """Words and stamps in one matrix with one partition; each kind keeps its own prior and totals."""
+    """Words and stamps cut as one matrix, then drawn as two, words first, in two phases an epoch; each kind keeps its own prior and totals."""
     from topicgrid.operators.trials import partition
     from topicgrid.operators.workload import merged_workload
 
