@@ -47,7 +47,7 @@ def without_repeats(events: DataFrame) -> DataFrame:
 def placed_online(events: DataFrame, groups: int) -> DataFrame:
     """row_id, grp, n: users are dealt to groups by hash, and keep their totals in state; update mode.
 
-    A user's group never changes, so blocks that were written stay valid; ``placement_totals`` shows how even the groups are.
+    A user's group never changes, so blocks that were written stay valid. Loads are not looked at: a skewed stream stays uneven.
     """
 
     def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
