@@ -1,4 +1,4 @@
-"""The published experiments at full settings, for the bench: balance, times, learning and speedup."""
+"""The published experiments for the bench: balance and times at full settings; learning and speedup at reduced ones (K = 16, 10 sweeps, small tables)."""
 
 from __future__ import annotations
 
