@@ -7,13 +7,15 @@ import contextlib
 import ctypes
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Iterator, Sequence
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
 WHITE = b" \t\n\x0b\x0c\r"
 
@@ -21,10 +23,12 @@ _LOCAL_ROOT: list[str] = []
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder the cluster shares, from spark.checkpoint.dir; a temporary one only where that is unset."""
+    """The folder the cluster shares, from spark.checkpoint.dir; where that is unset a temporary one, in local mode only."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if root:
         return root.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not _LOCAL_ROOT:
         _LOCAL_ROOT.append("file://" + tempfile.mkdtemp(prefix="topicgrid-"))
     return _LOCAL_ROOT[0]
@@ -67,6 +71,55 @@ class Scratch:
                 raise gone
 
 
+def position(names: Sequence[str], wanted: str) -> int:
+    """Where a column is: under just that name, else under one that differs in case."""
+    if wanted in names:
+        return list(names).index(wanted)
+    for k, name in enumerate(names):
+        if name.lower() == wanted.lower():
+            return k
+    raise ValueError(f"no column {wanted}; there are {', '.join(names)}")
+
+
+def picked(df: DataFrame, **roles: str) -> DataFrame:
+    """Only the columns that are named, under the names of their roles; all others may have any names, twice too."""
+    at = {role: position(df.columns, name) for role, name in roles.items()}
+    return df.toDF(*(f"c{k}" for k in range(len(df.columns)))).select(*(F.col(f"c{k}").alias(role) for role, k in at.items()))
+
+
+@dataclass
+class Passing:
+    """A frame whose columns are called c0, c1, ... while an operator works, so that none clashes with one of the operator's own.
+
+    ``at`` gives the place of each column that the operator reads. Columns named like an added one, in any case, are left out.
+    """
+
+    frame: DataFrame
+    names: list[str]
+    at: dict[str, int]
+    added: tuple[str, ...]
+
+    @classmethod
+    def of(cls, df: DataFrame, reads: Sequence[str], added: Sequence[str] = ()) -> Passing:
+        low = {a.lower() for a in added}
+        read = [position(df.columns, r) for r in reads]
+        kept = [k for k, c in enumerate(df.columns) if k in read or c.lower() not in low]
+        frame = df.toDF(*(f"o{k}" for k in range(len(df.columns)))).select(*(F.col(f"o{k}").alias(f"c{j}") for j, k in enumerate(kept)))
+        return cls(frame, [df.columns[k] for k in kept], {r: kept.index(k) for r, k in zip(reads, read, strict=True)}, tuple(added))
+
+    def col(self, name: str):
+        return F.col(f"c{self.at[name]}")
+
+    @property
+    def schema(self) -> StructType:
+        """Of the passing columns, all nullable; the added ones may be appended."""
+        return StructType([StructField(f.name, f.dataType, True) for f in self.frame.schema])
+
+    def returned(self, df: DataFrame) -> DataFrame:
+        """Under the names that the columns came with, then those added."""
+        return df.toDF(*self.names, *self.added)
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
@@ -84,7 +137,7 @@ def utf8_view(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[off[0] : off[-1]], off - off[0]
 
 
-def blocks(batches: Iterator[pa.RecordBatch], text: str, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def blocks(batches: Iterator[pa.RecordBatch], text: str | int, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """Cut Arrow batches so that each has about ``most`` bytes of text, one row at least."""
     for batch in batches:
         n = batch.num_rows
