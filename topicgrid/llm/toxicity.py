@@ -1,9 +1,10 @@
 """Toxicity by a weighted finite-state pattern grammar.
 
-A lexer turns words into classes: insult, threat, target, negation, report, other. Four small transducers read the
-classes of one clause each in turn: one marks insults and threats that a negation governs, one those inside
-reported speech, one those aimed at a target, one ends the clause. They are composed into a single machine; its outputs, not the
-words alone, are what is scored. The weight of each kind of match and of each word is learned from labels.
+A lexer turns words and marks into classes. Five transducers read them: reported speech marks what quotation marks or a verb of
+saying govern, negation marks the next words, the target machine tells at a clause's end whether the clause names someone (before
+or after), the insult and the threat machine each take up their own words and tell at the clause's end which they had. They are composed
+into one machine, which writes at the end of a clause what kind of clause matched; a clause that is one lone word matches nothing.
+Weights of the kinds of clause, and of words inside clauses that assert them, are learned from labels.
 """
 
 from __future__ import annotations
@@ -16,12 +17,10 @@ from dataclasses import dataclass
 import ahocorasick
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
-from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import blocks, mix64, tidy
+from topicgrid.llm.common import Passing, blocks, mix64, tidy
 from topicgrid.llm.quality import labelled_sample
 
 #: Words of each class (lower case).
@@ -31,11 +30,13 @@ TARGETS = "you your yours u he she they them him her his their these those this
 NEGATIONS = "not no never n't nobody none isn't aren't wasn't don't doesn't nicht kein keine nie ne pas jamais nunca jamás".split()
 REPORTS = "said says say called calls claimed claims wrote writes quoted quote reported tweeted alleged sagte dit dijo".split()
 
-WORD = re.compile(r"[^\W_]+(?:['’][^\W_]+)?|[\"“”«»]")
-CLAUSE_END = re.compile(r"[.!?;\n]")
-OTHER, INSULT, THREAT, TARGET, NEG, REPORT, END = range(7)
-CLASS = {w: c for c, ws in ((TARGET, TARGETS), (NEG, NEGATIONS), (REPORT, REPORTS), (THREAT, THREATS), (INSULT, INSULTS)) for w in ws} | dict.fromkeys("\"“”«»", REPORT)
+PIECE = re.compile(r"[^\W_]+(?:['’][^\W_]+)?|[\"“”„«»]|[.!?;]")
+OTHER, INSULT, THREAT, TARGET, NEG, REPORT, QUOTE, CLOSE, END, BREAK = range(10)
+KINDS = range(10)
+CLASS = {w: c for c, ws in ((TARGET, TARGETS), (NEG, NEGATIONS), (REPORT, REPORTS), (THREAT, THREATS), (INSULT, INSULTS)) for w in ws} | dict.fromkeys("\"“„«»", QUOTE) | {"”": CLOSE} | dict.fromkeys(".!?;", END)
 TRIGGERS = INSULTS + THREATS
+NEGATED, REPORTED = 1, 2  # flags of a trigger
+SCOPE = 3  # words that a negation governs
 
 
 @dataclass(frozen=True)
@@ -71,59 +72,93 @@ class Transducer:
         return rows, 0
 
 
-def _mark(bit: int, symbol):
-    kind, flags = symbol
-    return (kind, flags | bit) if kind in (INSULT, THREAT) else symbol
+def _marked(symbol, flag: int):
+    kind, note = symbol
+    return (kind, note | flag) if kind in (INSULT, THREAT) else symbol
 
 
-def _negated(left: int, symbol):
+def _reporting(state, symbol):
+    """Inside quotation marks, which may span clauses of a line, and after a verb of saying, to the clause's end."""
+    quoted, said = state
     kind = symbol[0]
-    if kind == NEG:
-        return 3, symbol
+    if kind == QUOTE:
+        return (not quoted, said), symbol
+    if kind == CLOSE:
+        return (False, said), symbol
+    if kind == REPORT:
+        return (quoted, True), symbol
     if kind == END:
-        return 0, symbol
-    return max(0, left - 1), _mark(1, symbol) if left else symbol
+        return (quoted, False), symbol
+    if kind == BREAK:
+        return (False, False), symbol
+    return state, _marked(symbol, REPORTED) if quoted or said else symbol
 
 
-def _reported(inside: int, symbol):
+def _negating(left: int, symbol):
+    """The next three words after a negation."""
     kind = symbol[0]
-    if kind == REPORT:
-        return 1, symbol
-    if kind == END:
+    if kind == NEG:
+        return SCOPE, symbol
+    if kind in (END, BREAK):
         return 0, symbol
-    return inside, _mark(2, symbol) if inside else symbol
+    if kind in (QUOTE, CLOSE):
+        return left, symbol
+    return max(0, left - 1), _marked(symbol, NEGATED) if left else symbol
 
 
-def _aimed(seen: int, symbol):
+def _targeting(seen: bool, symbol):
+    """At a clause's end: whether it names someone, wherever that was."""
     kind = symbol[0]
     if kind == TARGET:
-        return 1, symbol
-    if kind == END:
-        return 0, symbol
-    return seen, _mark(4, symbol) if seen else symbol
+        return True, symbol
+    if kind in (END, BREAK):
+        return False, (kind, int(seen))
+    return seen, symbol
 
 
-def _insulted(seen: int, symbol):
-    """Matches only: insults give their number, threats count without a target as well."""
-    kind, flags = symbol
-    if kind == END:
-        return 0, None
-    return (1, (kind - INSULT) * 8 + flags) if kind in (INSULT, THREAT) else (seen, None)
+def _finding(own: int):
+    """The machine of insults, or of threats: keeps its mildest flags and adds them to what is told at the end (5 values: none, or flags + 1)."""
+
+    def step(state: int, symbol):
+        kind, note = symbol
+        if kind == own:
+            return min(state, note + 1) if state else note + 1, (OTHER, 0)
+        if kind in (END, BREAK):
+            return 0, (kind, note * 5 + state)
+        return state, symbol
+
+    return step
+
 
+def _closing(words: int, symbol):
+    """Writes the kind of clause at its end, or nothing: no trigger in it, or nothing but one word."""
+    kind, note = symbol
+    if kind in (END, BREAK):
+        told = note % 25
+        return 0, note if told and words > 1 else None
+    return (words if kind in (QUOTE, CLOSE) else min(2, words + 1)), None
 
-MACHINE = Transducer(0, _negated).then(Transducer(0, _reported)).then(Transducer(0, _aimed)).then(Transducer(0, _insulted))
-PATTERNS = 16  # insult or threat, by negated, reported, aimed
-ROWS, _ = MACHINE.compiled([(k, 0) for k in range(7)])
+
+MACHINE = Transducer((False, False), _reporting).then(Transducer(0, _negating)).then(Transducer(False, _targeting)).then(Transducer(0, _finding(INSULT))).then(Transducer(0, _finding(THREAT))).then(Transducer(0, _closing))
+PATTERNS = 50  # target (2) by insult (5) by threat (5)
+ROWS, _ = MACHINE.compiled([(k, 0) for k in KINDS])
+#: What a trigger's word counts by: its flags, which the first two machines give it.
+FLAGS, _ = Transducer((False, False), _reporting).then(Transducer(0, _negating)).compiled([(k, 0) for k in KINDS])
 STEM = range(3, 11)
 
 
+def parts_of(pattern: int) -> tuple[int, int, int]:
+    """Target (0, 1), insult and threat (0: none, else 1 + flags) of a kind of clause."""
+    return pattern // 25, pattern // 5 % 5, pattern % 5
+
+
 class Lexicon:
     """Listed words, and insult stems learned from labels: a word that starts with a stem is read as an insult."""
 
     def __init__(self, stems: tuple[str, ...] = ()):
         self.stems = tuple(sorted(stems))
         self.at = {w: PATTERNS + k for k, w in enumerate([*TRIGGERS, *self.stems])}
-        self.more = PATTERNS + len(self.at)  # two, and three or more words of learned stems
+        self.more = PATTERNS + len(self.at)  # two, and three or more clauses that assert an insult or a threat
         self.n_features = self.more + 2
 
     def matcher(self) -> ahocorasick.Automaton:
@@ -147,32 +182,45 @@ class Lexicon:
         return OTHER, word
 
     def features(self, text: str, triggers: ahocorasick.Automaton) -> dict[int, float] | None:
-        """Matched patterns and their words, each counted up to 3; nothing where no clause matches.
+        """Kinds of matched clauses, the words asserted in them, each counted up to 3; nothing where no clause matches.
 
-        Only clauses that hold a trigger run through the machine; each clause does so once, whatever its length.
+        Only lines that hold a trigger run through the machine, each once.
         """
         low = text.lower()
-        done, out, learned = 0, {}, 0
+        done, out, asserted = 0, {}, 0
         for end, (n, whole) in triggers.iter(low):
             at = end - n + 1
             if at < done or (at and low[at - 1].isalnum()) or (whole and end + 1 < len(low) and low[end + 1].isalnum()):
                 continue
-            begin = max(done, *(low.rfind(c, done, at) + 1 for c in ".!?;\n"))
-            stop = CLAUSE_END.search(low, end)
-            done = stop.end() if stop else len(low)
-            state = 0
-            for w in WORD.findall(low, begin, done):
-                kind, entry = self.read(w)
+            begin = max(done, low.rfind("\n", done, at) + 1)
+            stop = low.find("\n", end)
+            done = stop + 1 if stop >= 0 else len(low)
+            state = flags = 0
+            words: list[int] = []
+            for piece in PIECE.finditer(low, begin, done):
+                kind, entry = self.read(piece.group())
                 state, match = ROWS[state][(kind, 0)]
-                if match is not None:
-                    k = self.at[entry]
-                    learned += k >= PATTERNS + len(TRIGGERS)
-                    out[match] = min(3.0, out.get(match, 0.0) + 1)
-                    out[k] = min(3.0, out.get(k, 0.0) + 1)
-        if learned > 1:
-            out[self.more + (learned > 2)] = 1.0
+                flags, (_, note) = FLAGS[flags][(kind, 0)]
+                if kind in (INSULT, THREAT):
+                    if not note:
+                        words.append(self.at[entry])
+                elif kind == END:
+                    asserted += self._clause(match, words, out)
+                    words = []
+            asserted += self._clause(ROWS[state][(BREAK, 0)][1], words, out)
+        if asserted > 1:
+            out[self.more + (asserted > 2)] = 1.0
         return out or None
 
+    @staticmethod
+    def _clause(match: int | None, words: list[int], out: dict[int, float]) -> bool:
+        """Count a clause's kind and asserted words; whether it asserts something."""
+        if match is None:
+            return False
+        for k in (match, *words):
+            out[k] = min(3.0, out.get(k, 0.0) + 1)
+        return bool(words)
+
 
 def distinct_texts(texts: list[bytes]) -> list[int]:
     """Rows without near copies of earlier ones: five bands of three minima of word hashes, none shared."""
@@ -193,7 +241,7 @@ def learned_stems(texts: list[bytes], labels: np.ndarray, support: int = 8, prec
     """Beginnings of words that nearly only toxic texts have: the shortest of each family, at most ``most`` by support."""
     has: list[Counter[str]] = [Counter(), Counter()]
     for t, y in zip(texts, labels.tolist(), strict=True):
-        has[y].update({w[:n] for w in set(WORD.findall(t.decode().lower())) for n in STEM if n <= len(w)})
+        has[y].update({w[:n] for w in set(PIECE.findall(t.decode(errors="replace").lower())) for n in STEM if n <= len(w)})
     good = {s for s, n in has[1].items() if n >= support and n / (n + has[0][s]) >= precision and s not in CLASS}
     shortest = [s for s in good if not any(s[:n] in good for n in range(STEM.start, len(s)))]
     listed = tuple(TRIGGERS)
@@ -202,15 +250,16 @@ def learned_stems(texts: list[bytes], labels: np.ndarray, support: int = 8, prec
 
 
 class ToxicityGrammar:
-    """The lexicon, and weights of patterns and words and the base rate."""
+    """The lexicon, and weights of kinds of clause and of words, and the base rate."""
 
     def __init__(self, lexicon: Lexicon | None = None):
         self.lexicon = lexicon or Lexicon()
-        # before any label: a match counts for toxicity, less if negated or reported, more if aimed
+        # before any label: an asserted insult counts, more if aimed at someone; a threat counts only if it is; what is denied or reported counts less
         self.prior = np.zeros(self.lexicon.n_features)
+        worth = (0.0, 1.0, 0.3, 0.4, 0.1)  # none, asserted, negated, reported, both
         for k in range(PATTERNS):
-            threat, flags = divmod(k, 8)
-            self.prior[k] = (1.5 if threat else 4.0) - 2.5 * (flags & 1) - 1.5 * bool(flags & 2) + 1.5 * bool(flags & 4)
+            target, insult, threat = parts_of(k)
+            self.prior[k] = (4.0 + 1.5 * target) * worth[insult] + 4.0 * target * worth[threat]
         self.weights, self.base = self.prior.copy(), -3.0
 
     def fit(self, texts: list[bytes], labels: np.ndarray, ridge: float = 0.05, rounds: int = 25) -> ToxicityGrammar:
@@ -221,7 +270,7 @@ class ToxicityGrammar:
         x = np.zeros((len(texts), self.lexicon.n_features + 1))
         x[:, -1] = 1
         for r, t in enumerate(texts):
-            for k, v in (self.lexicon.features(t.decode(), triggers) or {}).items():
+            for k, v in (self.lexicon.features(t.decode(errors="replace"), triggers) or {}).items():
                 x[r, k] = v
         start = np.append(self.prior, self.base)
         w, pull = start.copy(), np.append(np.full(len(self.prior), ridge * 20), ridge)
@@ -245,21 +294,22 @@ def train_toxicity(docs: DataFrame, labels: DataFrame, most: int = 8000) -> Toxi
 
 
 def score_toxicity(docs: DataFrame, grammar: ToxicityGrammar, text_col: str = "text", threshold: float = 0.5) -> DataFrame:
-    """``docs`` with score, predicted (1 where score is at least ``threshold``) and n_matches (kinds of match).
+    """``docs`` with score, predicted (1 where score is at least ``threshold``) and n_matches (kinds of clause that matched).
 
-    Whole texts are read; null counts as empty and gets the base rate. Columns named like the three are replaced.
+    Whole texts are read; null counts as empty and gets the base rate. Rows that repeat get equal scores, an empty table gives an
+    empty one. A very long text is read line by line, but only lines that hold a listed word or stem. Columns named like the three, in any
+    case, are replaced, all others pass through.
     """
-    names = [c for c in docs.columns if c not in ("score", "predicted", "n_matches")]
-    held = docs.sparkSession.sparkContext.broadcast(grammar)
+    own = Passing.of(docs, [text_col], ("score", "predicted", "n_matches"))
+    at, held = own.at[text_col], docs.sparkSession.sparkContext.broadcast(grammar)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lexicon = held.value.lexicon
         triggers = lexicon.matcher()
-        for batch in blocks(batches, text_col):
-            found = [lexicon.features(t, triggers) for t in pc.fill_null(batch.column(text_col), "").to_pylist()]
+        for batch in blocks(batches, at):
+            found = [lexicon.features(t or "", triggers) for t in batch.column(at).to_pylist()]
             p = np.array([held.value.score(x) for x in found])
             n = pa.array([sum(k < PATTERNS for k in x or ()) for x in found], pa.int32())
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p), pa.array((p >= threshold).astype(np.int32)), n], names=[*names, "score", "predicted", "n_matches"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p), pa.array((p >= threshold).astype(np.int32)), n], names=[*batch.schema.names, "score", "predicted", "n_matches"])
 
-    schema = StructType([docs.schema[c] for c in names]).add("score", "double").add("predicted", "integer").add("n_matches", "integer")
-    return docs.select(*names).mapInArrow(tidy(run), schema)
+    return own.returned(own.frame.mapInArrow(tidy(run), own.schema.add("score", "double").add("predicted", "integer").add("n_matches", "integer")))
