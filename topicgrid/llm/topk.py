@@ -1,15 +1,15 @@
 """Exact top-k inner products by an impact-ordered, score-at-a-time index.
 
 The index of a block of vectors has a posting list for every dimension, cut into segments by quantised value. A
-query gives each segment an impact: its own component times the segment's bound. Segments are processed by descending
-impact above their dimension's least; every posting read lifts its vector's upper bound over what the unread rest
-of that dimension could give. Processing stops when the bounds prove that few vectors can still reach the k-th best
-exact score, and all that can are rescored exactly. Without such a proof all are.
+query gives each segment an impact: what its bound adds to the least that its dimension gives anyone, quantised to
+``IMPACTS`` levels. Segments are processed level by level from the highest; every posting read adds its impact to its
+vector's accumulator. After each level the accumulators and the level bound all scores from above; vectors whose bound
+lies below the k-th best exact score so far are out for good. Processing stops only when that proof leaves few, or when all
+postings are read; what is left, and nothing else, is rescored exactly.
 """
 
 from __future__ import annotations
 
-import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -17,11 +17,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from topicgrid.llm.common import tidy
+from topicgrid.llm.common import Scratch, picked, tidy
 
-LEVELS = 16
-BLOCK_ROWS = 8_192
-QUERY_ROWS = 20_000  # in one broadcast
+LEVELS = 16  # segments of a posting list
+IMPACTS = 24
+FEW = 16  # processing ends when a proof leaves one row in so many
+BLOCK_ROWS = 16_384
+QUERY_ROWS = 20_000  # in one broadcast, and on the driver
 SAFE = 2.0**52
 
 
@@ -59,91 +61,123 @@ class ImpactIndex:
         by_value = np.take_along_axis(self.v.T, self.postings.astype(np.int64), 1)
         self.low, self.high = by_value[:, self.cuts[:-1]], by_value[:, self.cuts[1:] - 1]
         self.largest = float(np.abs(self.v).max(initial=0))
-
-    def bounds(self, up: np.ndarray, rising: np.ndarray, read: np.ndarray) -> np.ndarray:
-        """Upper bounds of all rows once the first ``read`` segments of each dimension, by impact, are processed."""
-        segs = up.shape[1]
-        following = np.where(rising, segs - 1 - read, read).clip(0, segs - 1)
-        rest = np.where(read < segs, up[np.arange(self.dims), following], up.min(axis=1))
-        rows, weights = [], []
-        for d in np.flatnonzero(read):
-            a, b = (segs - read[d], segs) if rising[d] else (0, read[d])
-            rows.append(self.postings[d, self.cuts[a] : self.cuts[b]])
-            weights.append(np.repeat(up[d, a:b] - rest[d], np.diff(self.cuts[a : b + 1])))
-        return rest.sum() + np.bincount(np.concatenate(rows), np.concatenate(weights), minlength=len(self.ids))
-
-    def search(self, q: np.ndarray, own: int, k: int, floor: float) -> tuple[np.ndarray, np.ndarray, int]:
-        """Ids and scores of rows that may be among the k best; none that scores ``floor`` or more is missed. And how many were rescored."""
+        self.flat = self.postings.ravel()
+        sizes = np.diff(self.cuts)
+        self.size = np.tile(sizes, self.dims)
+        self.start = (np.arange(self.dims)[:, None] * n + self.cuts[:-1]).ravel()
+
+    def postings_of(self, segments: np.ndarray) -> np.ndarray:
+        return np.concatenate([self.flat[a : a + n] for a, n in zip(self.start[segments].tolist(), self.size[segments].tolist(), strict=True)])
+
+    def search(self, q: np.ndarray, own: int, k: int, floor: float) -> tuple[np.ndarray, np.ndarray, int, int]:
+        """Ids and scores of rows that may be among the k best; none that scores ``floor`` or more is missed. With them
+        how many rows were rescored and how many postings read."""
+        n = len(self.ids)
         if self.largest * np.abs(q).max(initial=0) * self.dims >= SAFE:  # doubles would not be exact
             wide = [min(max(sum(int(a) * int(b) for a, b in zip(v, q, strict=True)), -(2**63)), 2**63 - 1) for v in self.v]
-            scores = np.array(wide, object)
-            rows = np.array(sorted((r for r in range(len(wide)) if self.ids[r] != own), key=lambda r: (-wide[r], self.ids[r]))[:k], np.int64)
-            return self.ids[rows], scores[rows].astype(np.int64), len(wide)
-        rising = q >= 0
-        up = q[:, None] * np.where(rising[:, None], self.high, self.low)
-        impact = up - up.min(axis=1, keepdims=True)
-        ranked = np.argsort(-impact, axis=None, kind="stable") // up.shape[1]
-        rows, threshold = np.arange(len(self.ids)), floor
-        for share in (4, 2):
-            if len(self.ids) <= 16 * k:
-                break
-            read = np.bincount(ranked[: ranked.size // share], minlength=self.dims)
-            top = self.bounds(up, rising, read)
-            first = np.argpartition(-top, 4 * k)[: 4 * k]
-            found = (self.v[first] @ q)[self.ids[first] != own]
-            if len(found) >= k:
-                threshold = max(threshold, np.partition(found, -k)[-k])
-            rows = np.flatnonzero(top >= threshold)
-            if len(rows) <= len(self.ids) // 8:
+            rows = np.array(sorted((r for r in range(n) if self.ids[r] != own), key=lambda r: (-wide[r], self.ids[r]))[:k], np.int64)
+            return self.ids[rows], np.array([wide[r] for r in rows], np.int64), n, 0
+        up = q[:, None] * np.where((q >= 0)[:, None], self.high, self.low)
+        least = up.min(axis=1)
+        impact = (up - least[:, None]).ravel()
+        step = max(impact.max(initial=0) / IMPACTS, 1e-9)
+        level = np.ceil(impact / step).astype(np.int64)
+        base = float(least.sum())
+        gained, read = np.zeros(n), np.zeros(n, np.int64)
+        alive = np.flatnonzero(self.ids != own)
+        exact = np.full(n, np.nan)
+        threshold, seen = floor, 0
+        order = np.argsort(-level, kind="stable")
+        ends = np.searchsorted(-level[order], -np.arange(IMPACTS, 0, -1), side="right")  # level 0 adds nothing
+        for at, (a, b) in enumerate(zip(np.concatenate([[0], ends[:-1]]).tolist(), ends.tolist(), strict=True)):
+            if len(alive) <= max(4 * k, n // FEW):  # proven: all others are out; these cost less to rescore than to read on
                 break
-        scores = self.v[rows] @ q
-        keep = (self.ids[rows] != own) & (scores >= threshold)
-        rows, scores = rows[keep], scores[keep]
-        best = np.lexsort((self.ids[rows], -scores))[:k]
-        return self.ids[rows[best]], scores[best].astype(np.int64), len(keep)
-
-
-def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
+            if a == b:
+                continue
+            segments = order[a:b]
+            rows = self.postings_of(segments)
+            seen += len(rows)
+            gained += np.bincount(rows, np.repeat(impact[segments], self.size[segments]), minlength=n)
+            read += np.bincount(rows, minlength=n)
+            bound = base + gained[alive] + (self.dims - read[alive]) * (step * (IMPACTS - 1 - at))
+            # a few of the most promising get their exact scores, which lifts the threshold
+            first = alive[np.argpartition(-bound, 2 * k)[: 2 * k]]
+            first = first[np.isnan(exact[first])]
+            exact[first] = self.v[first] @ q
+            known = exact[~np.isnan(exact)]
+            if len(known) >= k:
+                threshold = max(threshold, float(np.partition(known, -k)[-k]))
+            alive = alive[bound >= threshold - 0.5]  # scores are whole numbers; bounds carry rounding errors far below a half
+        todo = alive[np.isnan(exact[alive])]
+        exact[todo] = self.v[todo] @ q
+        alive = alive[exact[alive] >= threshold]
+        best = alive[np.lexsort((self.ids[alive], -exact[alive]))[:k]]
+        return self.ids[best], exact[best].astype(np.int64), int((~np.isnan(exact)).sum()), seen
+
+
+def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, id_col: str = "vec_id", vector_col: str = "embedding", query_rows: int = QUERY_ROWS) -> DataFrame:
     """query_id, rank (from 1), id, score, for each row of ``queries`` (same columns), against all rows of ``vectors``.
 
     Scores are integer inner products of floor(256 * x); ties go to the smaller id. Null vectors and ids, and
-    vectors with null or non-finite components, take no part; shorter vectors count as ending in zeros. Rows with the query's own id are no candidates
-    of it. A query with fewer candidates than k gets all. Queries travel in broadcasts of ``QUERY_ROWS``, candidates in
-    blocks of ``BLOCK_ROWS``; a block sends at most k rows a query. Products beyond 64 bits saturate.
+    vectors with null or non-finite components, take no part; shorter vectors count as ending in zeros. Rows with the query's own id are no
+    candidates of it; rows that repeat an id are candidates each, and queries each. A query with fewer candidates than k gets all; empty tables
+    give empty results. Other columns aren't read. Products beyond 64 bits saturate.
+
+    The driver holds and broadcasts about ``query_rows`` queries at a time, one after the other; candidates lie in blocks of ``BLOCK_ROWS``,
+    and a task sends at most k rows a query. What each round of queries finds is written to the shared folder.
     """
     spark = vectors.sparkSession
-    asked = queries.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<double>").alias("v")).filter("id IS NOT NULL AND v IS NOT NULL")
-    held = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<double>").alias("v")).filter("id IS NOT NULL AND v IS NOT NULL")
-    chunks = max(1, -(-asked.count() // QUERY_ROWS))
-    dealt = held.repartition(max(1, -(-held.count() // BLOCK_ROWS)))
-    found = [_search(dealt, spark, [(r.id, r.v) for r in asked.filter(F.pmod(F.xxhash64("id"), F.lit(chunks)) == c).collect()], c, k) for c in range(chunks)]
-    every = functools.reduce(DataFrame.unionByName, found)
-    best = Window.partitionBy("chunk", "number").orderBy(F.desc("score"), "id")
-    return every.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k).select("query_id", "rank", "id", "score")
-
-
-def _search(dealt: DataFrame, spark, asked: list, chunk: int, k: int) -> DataFrame:
-    rows, vectors = quantised(pa.array([v for _, v in asked], pa.list_(pa.float64())))
-    sent = spark.sparkContext.broadcast(([asked[r][0] for r in rows], vectors))
+    scratch = Scratch(spark, "topk")
+    slim = lambda df: picked(df, id=id_col, v=vector_col).select(F.col("id").cast("long").alias("id"), F.col("v").cast("array<double>").alias("v")).filter("id IS NOT NULL AND v IS NOT NULL")
+    asked = slim(queries)
+    rounds = max(1, -(-asked.count() // query_rows))
+    dealt = slim(vectors)
+    n = dealt.count()
+    dealt = scratch.table(dealt.repartition(max(1, -(-n // BLOCK_ROWS))), "vectors")
+    if rounds > 1:
+        asked = scratch.table(asked.withColumn("round", F.pmod(F.xxhash64("id"), F.lit(rounds)).cast("int")).repartition("round"), "queries")
+    found = None
+    for c in range(rounds):
+        mine = asked.filter(F.col("round") == c).select("id", "v") if rounds > 1 else asked
+        done = _search(dealt, mine.toArrow(), c, k)
+        if rounds > 1:
+            done = scratch.table(done, f"round{c}")
+        found = done if found is None else found.unionByName(done)
+    best = Window.partitionBy("round", "number").orderBy(F.desc("score"), "id")
+    return found.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k).select("query_id", "rank", "id", "score")
+
+
+def _search(dealt: DataFrame, asked: pa.Table, number: int, k: int) -> DataFrame:
+    asked = asked.sort_by("id").combine_chunks()
+    rows, vectors = quantised(asked.column("v").combine_chunks() if asked.num_rows else pa.array([], pa.list_(pa.float64())))
+    ids = asked.column("id").to_numpy()[rows] if asked.num_rows else np.empty(0, np.int64)
+    sent = dealt.sparkSession.sparkContext.broadcast((ids, stacked(vectors, max((len(v) for v in vectors), default=0))))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own, qs = sent.value
-        ids, vs = [], []
-        for batch in batches:
-            r, v = quantised(batch.column(1))
-            ids += [batch.column(0)[int(j)].as_py() for j in r]
-            vs += v
         best: list[list[tuple[int, int]]] = [[] for _ in own]
-        dims = max((len(v) for v in (*vs, *qs)), default=0)
-        q_all = stacked(qs, dims)
-        for at in range(0, len(ids), 2 * BLOCK_ROWS):
-            index = ImpactIndex(np.array(ids[at : at + 2 * BLOCK_ROWS], np.int64), stacked(vs[at : at + 2 * BLOCK_ROWS], dims))
-            for j, (i, q) in enumerate(zip(own, q_all, strict=True)):
+
+        def search(ids: list[np.ndarray], vs: list[np.ndarray]) -> None:
+            dims = max(qs.shape[1], max((len(v) for v in vs), default=0))
+            index = ImpactIndex(np.concatenate(ids), stacked(vs, dims))
+            for j, (i, q) in enumerate(zip(own.tolist(), qs, strict=True)):
                 floor = -best[j][k - 1][0] if len(best[j]) >= k else -np.inf
-                got, score, _ = index.search(q, i, k, floor)
+                got, score, *_ = index.search(np.pad(q, (0, dims - len(q))), i, k, floor)
                 best[j] = sorted([*best[j], *zip((-score).tolist(), got.tolist(), strict=True)])[:k]
-        flat = [(chunk, j, own[j], i, -s) for j, b in enumerate(best) for s, i in b]
+
+        held_ids: list[np.ndarray] = []
+        held: list[np.ndarray] = []
+        for batch in batches:
+            r, v = quantised(batch.column(1))
+            held_ids.append(batch.column(0).to_numpy()[r])
+            held += v
+            if len(held) >= BLOCK_ROWS:
+                search(held_ids, held)
+                held_ids, held = [], []
+        if held:
+            search(held_ids, held)
+        flat = [(number, j, int(own[j]), i, -s) for j, b in enumerate(best) for s, i in b]
         kinds = (pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
-        yield pa.RecordBatch.from_arrays([pa.array([f[c] for f in flat], t) for c, t in enumerate(kinds)], names=["chunk", "number", "query_id", "id", "score"])
+        yield pa.RecordBatch.from_arrays([pa.array([f[c] for f in flat], t) for c, t in enumerate(kinds)], names=["round", "number", "query_id", "id", "score"])
 
-    return dealt.mapInArrow(tidy(run), "chunk int, number int, query_id bigint, id bigint, score bigint")
+    return dealt.mapInArrow(tidy(run), "round int, number int, query_id bigint, id bigint, score bigint")
