@@ -63,8 +63,28 @@ SELECT query_id, rank::INTEGER AS rank, vec_id, score FROM r WHERE rank <= 5
 
 
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What each document gives to the mix: the draws of all shards that hit it, times its words."""
     out = mix(read(spark, sf_dir, "documents"), weights=(5, 2, 1), cap=3)
-    return out.select("doc_id", "size", "source_size", "target", "taken", "shards")
+    return out.select("doc_id", "size", "source_size", "target", "taken")
+
+
+#: Sources in order of how soon they reach three times their size; the first that doesn't sets the level of all that follow. A source's
+#: quota of blocks ends before the block of which less than half the words would be wanted.
+OP4_SQL = r"""
+WITH d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size FROM documents),
+s AS (SELECT source, sum(size)::BIGINT AS n, CASE (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 WHEN 0 THEN 5 WHEN 1 THEN 2 ELSE 1 END AS w FROM d GROUP BY source),
+o AS (SELECT *, sum(n) OVER () - 3 * coalesce(sum(n) OVER (ORDER BY n::DOUBLE / w, source ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS spare,
+  sum(w) OVER (ORDER BY n::DOUBLE / w, source ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS whole FROM s WHERE n > 0),
+f AS (SELECT *, spare * w > 3 * n * whole AS full_ FROM o),
+l AS (SELECT arg_max(spare, whole) FILTER (WHERE NOT full_) AS spare, max(whole) FILTER (WHERE NOT full_) AS whole FROM f),
+t AS (SELECT f.source, f.n, CASE WHEN full_ THEN 3 * f.n ELSE l.spare * f.w END::HUGEINT AS num, CASE WHEN full_ THEN 1 ELSE l.whole END::HUGEINT AS den FROM f, l),
+b AS (SELECT d.source, ('0x' || substr(md5(doc_id || ':' || size), 1, 5))::BIGINT AS block, sum(size) AS n FROM d GROUP BY 1, 2),
+c AS (SELECT source, block, 2 * sum(n) OVER (PARTITION BY source ORDER BY block) - n AS twice FROM b)
+SELECT d.doc_id, d.size, coalesce(t.n, 0)::BIGINT AS source_size, coalesce(t.num::DOUBLE / t.den, 0)::DOUBLE AS target,
+  (d.size * CASE WHEN t.n IS NULL THEN 0 ELSE t.num // (t.den * t.n) + ((2 * (t.num // (t.den * t.n)) * t.n + c.twice) * t.den <= 2 * t.num)::INT END)::BIGINT AS taken
+FROM d JOIN c ON c.source IS NOT DISTINCT FROM d.source AND c.block = ('0x' || substr(md5(d.doc_id || ':' || d.size), 1, 5))::BIGINT
+LEFT JOIN t ON t.source IS NOT DISTINCT FROM d.source
+"""
 
 
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -131,6 +151,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 ORACLES: dict[str, str] = {
     "op1_line_dedup": OP1_SQL,
     "op3_topk_search": OP3_SQL,
+    "op4_mixing": OP4_SQL,
     "op5_exact_dedup": OP5_SQL,
     "op9_url_filter": OP9_SQL,
 }
