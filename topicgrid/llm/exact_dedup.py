@@ -16,7 +16,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from topicgrid.llm.common import WHITE, Scratch, texts, tidy
+from topicgrid.llm.common import WHITE, Scratch, picked, texts, tidy
 
 
 def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -31,7 +31,8 @@ def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.arange(at, at + len(raw))), pa.array(sha, pa.binary()), pa.array(points, pa.int64())], names=["doc_id", "row_no", "digest", "n_points"])
             at += len(raw)
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), "doc_id bigint, row_no bigint, digest binary, n_points bigint")
+    slim = picked(docs, doc_id=id_col, text=text_col)
+    return slim.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), "doc_id bigint, row_no bigint, digest binary, n_points bigint")
 
 
 def misra_gries(items: Iterator, k: int) -> dict:

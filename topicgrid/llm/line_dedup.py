@@ -18,12 +18,12 @@ import xxhash
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import StructType
+from pyspark.sql.types import StringType
 
-from topicgrid.llm.common import WHITE, Scratch, shuffle_width, texts, tidy
+from topicgrid.llm.common import WHITE, Passing, Scratch, picked, shuffle_width, texts, tidy
 
 SEGMENT = 22  # bits of a position within a segment
-LIST_ROWS = 2_000_000
+LIST_BYTES = 64 << 20  # of repeated keys, with what a dictionary takes for each
 
 
 def keys_of(text: bytes) -> list[bytes]:
@@ -150,6 +150,7 @@ def repeated_lines(docs: DataFrame, text_col: str = "text", min_docs: int = 2, m
     ``docs`` needs doc_id. A row is a document, also where ids repeat.
     """
     spark = docs.sparkSession
+    docs, text_col = picked(docs, doc_id="doc_id", text=text_col).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), "text"
     n_bytes = docs.agg(F.sum(F.octet_length(text_col))).first()[0] or 0
     bits = filter_bits(n_bytes, 64)
 
@@ -163,7 +164,7 @@ def repeated_lines(docs: DataFrame, text_col: str = "text", min_docs: int = 2, m
                 held += [xxhash.xxh3_64_intdigest(k) for k in set(keys_of(t)) if long_enough(k)]
             yield np.array(held, np.uint64)
 
-    bitmap = spark.sparkContext.broadcast(twice_seen(docs.select(F.col(text_col).alias("text")), hashes, bits))
+    bitmap = spark.sparkContext.broadcast(twice_seen(docs.select("text"), hashes, bits))
 
     def suspects(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: dict[bytes, list] = {}
@@ -199,7 +200,7 @@ def repeated_lines(docs: DataFrame, text_col: str = "text", min_docs: int = 2, m
                 yield flush()
         yield flush()
 
-    found = docs.select("doc_id", F.col(text_col).alias("text")).mapInArrow(tidy(suspects), "key binary, n_docs bigint, first_id bigint")
+    found = docs.mapInArrow(tidy(suspects), "key binary, n_docs bigint, first_id bigint")
     return found.groupBy("key").agg(F.sum("n_docs").alias("n_docs"), F.min("first_id").alias("first_id")).filter(F.col("n_docs") >= min_docs)
 
 
@@ -227,23 +228,25 @@ def _rewrite(ids: list, raw: list[bytes], drop, keep: str) -> tuple[list[int], l
     return lines, gone, [x.decode() for x in left]
 
 
-def line_dedup(docs: DataFrame, text_col: str = "text", min_docs: int = 2, min_points: int = 1, keep: str = "first", list_rows: int = LIST_ROWS) -> DataFrame:
+def line_dedup(docs: DataFrame, text_col: str = "text", min_docs: int = 2, min_points: int = 1, keep: str = "first", list_bytes: int = LIST_BYTES) -> DataFrame:
     """``docs`` with text rewritten, and n_lines, n_dropped.
 
     Texts split at ``\\n``; a null or empty text is one empty line. Keys found in ``min_docs`` rows or more lose
     their lines: all of them with ``keep="none"``, all but the first in the row with the smallest doc_id with
-    ``keep="first"`` (rows that share that doc_id each keep one; where all ids are null none is kept). A document that loses nothing keeps its text
-    byte by byte, and null becomes empty. Other columns pass through; columns of the names n_lines and n_dropped are replaced.
-    The list of repeated keys goes to every task if it has at most ``list_rows`` rows; else it is joined by key.
+    ``keep="first"`` (rows that share that doc_id each keep one; where all ids are null none is kept). A document that loses nothing keeps its
+    text byte by byte, and null becomes empty; an empty table gives an empty one. Other columns pass through; columns of the names n_lines and
+    n_dropped, in any case, are replaced. The list of repeated keys goes to every task if it takes at most ``list_bytes`` there; else it is
+    joined by key.
     """
     assert keep in ("first", "none")
     spark = docs.sparkSession
     scratch = Scratch(spark, "lines")
-    docs = docs.drop("n_lines", "n_dropped")
     rep = scratch.table(repeated_lines(docs, text_col, min_docs, min_points), "repeated")
-    names = docs.columns
-    schema = StructType(list(docs.schema)).add("n_lines", "long").add("n_dropped", "long")
-    at_text, at_id = names.index(text_col), names.index("doc_id")
+    passing = Passing.of(docs, [text_col, "doc_id"], ("n_lines", "n_dropped"))
+    at_text, at_id = passing.at[text_col], passing.at["doc_id"]
+    schema = passing.schema.add("n_lines", "long").add("n_dropped", "long")
+    schema.fields[at_text].dataType = StringType()
+    names = passing.frame.columns
 
     def rebuilt(batch: pa.RecordBatch, own: list, drop) -> pa.RecordBatch:
         n, d, left = _rewrite(own, texts(batch.column(at_text)), drop, keep)
@@ -251,7 +254,7 @@ def line_dedup(docs: DataFrame, text_col: str = "text", min_docs: int = 2, min_p
         cols[at_text] = pa.array(left, pa.string())
         return pa.RecordBatch.from_arrays([*cols, pa.array(n, pa.int64()), pa.array(d, pa.int64())], names=[*names, "n_lines", "n_dropped"])
 
-    if rep.count() <= list_rows:
+    if (rep.agg(F.sum(F.octet_length("key") + 200)).first()[0] or 0) <= list_bytes:
         table = spark.sparkContext.broadcast({bytes(r.key): r.first_id for r in rep.select("key", "first_id").toLocalIterator()})
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -259,27 +262,28 @@ def line_dedup(docs: DataFrame, text_col: str = "text", min_docs: int = 2, min_p
             for batch in batches:
                 yield rebuilt(batch, batch.column(at_id).to_pylist(), lambda i, keys: {k: listed[k] for k in keys if k in listed})
 
-        return docs.mapInArrow(tidy(run), schema)
+        return passing.returned(passing.frame.mapInArrow(tidy(run), schema))
 
     def occurrences(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for i, t in zip(batch.column(0).to_pylist(), texts(batch.column(1)), strict=True):
                 own = list(set(keys_of(t)))
                 mark = xxhash.xxh3_128_digest(t)
-                yield pa.RecordBatch.from_arrays([pa.array([i] * len(own), pa.int64()), pa.array([mark] * len(own), pa.binary()), pa.array(own, pa.binary())], names=["doc_id", "mark", "key"])
+                yield pa.RecordBatch.from_arrays([pa.array([i] * len(own), pa.int64()), pa.array([mark] * len(own), pa.binary()), pa.array(own, pa.binary())], names=["id", "mark", "key"])
 
     def with_mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([xxhash.xxh3_128_digest(t) for t in texts(batch.column(at_text))], pa.binary())], names=[*names, "mark__"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([xxhash.xxh3_128_digest(t) for t in texts(batch.column(at_text))], pa.binary())], names=[*names, "own_mark"])
 
-    held = docs.select("doc_id", F.col(text_col).alias("text")).mapInArrow(tidy(occurrences), "doc_id bigint, mark binary, key binary").distinct()
-    lists = held.join(rep.hint("merge"), "key").groupBy("doc_id", "mark").agg(F.collect_list(F.struct("key", "first_id")).alias("listed__")).withColumnRenamed("doc_id", "id__").withColumnRenamed("mark", "m__")
-    marked = docs.mapInArrow(tidy(with_mark), StructType(list(docs.schema)).add("mark__", "binary"))
-    joined = marked.join(lists.hint("merge"), marked["doc_id"].eqNullSafe(lists["id__"]) & (F.col("mark__") == F.col("m__")), "left").select(*names, "listed__")
+    slim = passing.frame.select(passing.col("doc_id").cast("long").alias("id"), passing.col(text_col).cast("string").alias("text"))
+    held = slim.mapInArrow(tidy(occurrences), "id bigint, mark binary, key binary").distinct()
+    lists = held.join(rep.hint("merge"), "key").groupBy("id", "mark").agg(F.collect_list(F.struct("key", "first_id")).alias("listed"))
+    marked = passing.frame.mapInArrow(tidy(with_mark), passing.schema.add("own_mark", "binary"))
+    joined = marked.join(lists.hint("merge"), passing.col("doc_id").eqNullSafe(F.col("id")) & (F.col("own_mark") == F.col("mark")), "left").select(*names, "listed")
 
     def run_joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             listed = iter(batch.column(len(names)).to_pylist())
             yield rebuilt(batch, batch.column(at_id).to_pylist(), lambda i, keys: {bytes(x["key"]): x["first_id"] for x in next(listed) or ()})
 
-    return joined.mapInArrow(tidy(run_joined), schema)
+    return passing.returned(joined.mapInArrow(tidy(run_joined), schema))

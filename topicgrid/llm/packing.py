@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import Scratch, blocks, tidy
+from topicgrid.llm.common import Scratch, blocks, picked, tidy
 
 SEQUENCE = 2048
 
@@ -90,7 +90,8 @@ def token_pieces(docs: DataFrame, text_col: str = "text", tokenizer: str = "byte
             kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(out, kinds, strict=True)], names=["doc_id", "row_no", "piece", "start", "length", "ids"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), "doc_id bigint, row_no bigint, piece int, start bigint, length bigint, ids binary")
+    slim = picked(docs, doc_id="doc_id", text=text_col)
+    return slim.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(tidy(run), "doc_id bigint, row_no bigint, piece int, start bigint, length bigint, ids binary")
 
 
 class Plan:
