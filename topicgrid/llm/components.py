@@ -23,7 +23,7 @@ def _small_star(edges: DataFrame) -> DataFrame:
     return moved.unionByName(least.select("a", F.col("m").alias("b"))).distinct()
 
 
-def components(edges: DataFrame, name: str = "components", most: int = 60) -> DataFrame:
+def components(edges: DataFrame, name: str = "components") -> DataFrame:
     """node, component (least node reachable), for every node with an edge. ``edges``: a, b (bigint).
 
     Every round is written to the shared folder, so lost executors cost one round at most; the driver sees two
@@ -31,8 +31,9 @@ def components(edges: DataFrame, name: str = "components", most: int = 60) -> Da
     """
     scratch = Scratch(edges.sparkSession, name)
     now = scratch.table(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct(), "round0", few=True)
-    mark = None
-    for k in range(1, most + 1):
+    mark, k = None, 0
+    while True:  # the steps settle after about the squared logarithm of the longest path
+        k += 1
         now = scratch.table(_small_star(_large_star(now)), f"round{k}", few=True)
         if k > 1:
             scratch.drop(f"round{k - 2}")
@@ -40,6 +41,4 @@ def components(edges: DataFrame, name: str = "components", most: int = 60) -> Da
         if mark == new:
             break
         mark = new
-    else:
-        raise RuntimeError("components did not settle")
     return now.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())

@@ -18,14 +18,16 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from topicgrid.llm.common import Scratch, blocks, mix64, release, small_enough, tidy, unplaced, utf8_view
+from topicgrid.llm.common import Scratch, blocks, mix64, picked, release, small_enough, tidy, unplaced, utf8_view
 from topicgrid.llm.components import components
 from topicgrid.llm.line_dedup import filter_bits, probe, twice_seen
 from topicgrid.llm.mixing import IS_WHITE
 
 HASHES, ROWS = 128, 4  # 32 bands of 4: a pair at 0.75 shares no band in one case of 200,000
 BROADCAST_IDS = 500_000
-CHUNK_LEAST, CHUNK_MOST, CHUNK_SHINGLES = 64, 1024, 60_000  # documents and shingles of a block's side
+CHUNK_LEAST, CHUNK_MOST, CHUNK_SHINGLES = 64, 16_384, 2_000_000  # documents and shingles of a block's side
+CARD_ROWS = 2_000  # texts that one task looks through
+PART = 1 << 20  # bytes of text that are hashed at once
 LEAST_AGREEMENT = 66  # of 128; at similarity 0.75 six standard deviations below what is expected
 
 _G = np.random.default_rng(20_061)
@@ -41,7 +43,7 @@ class Shingler:
     """Sorted distinct 64-bit hashes of texts' word shingles, whole blocks of texts at a time.
 
     A word's hash comes from prefix sums of byte values times powers of an odd number, divided by the power at the word's
-    place; words over 256 bytes, where such sums are weak, are hashed on their own.
+    place; words over 256 bytes, where such sums are weak, are hashed on their own. Long texts are read in parts.
     """
 
     BASE = 0x9E3779B97F4A7C15
@@ -80,31 +82,72 @@ class Shingler:
             h[k] = xxhash.xxh3_64_intdigest(low[begin[k] : end[k]].tobytes())
         return h, np.diff(np.searchsorted(begin, off))
 
-    def sets(self, data: np.ndarray, off: np.ndarray) -> Iterator[np.ndarray]:
-        h, counts = self.word_hashes(data, off)
+    def shingled(self, h: np.ndarray) -> np.ndarray:
+        """A hash of each run of ``words`` words."""
         m = max(0, len(h) - self.words + 1)
         with np.errstate(over="ignore"):
             s = np.zeros(m, np.uint64)
             for k in range(self.words):
                 s += h[k : k + m] * _PLACE[k]
-        s = mix64(s)
-        at = 0
+        return mix64(s)
+
+    def short(self, h: np.ndarray) -> np.ndarray:
+        """The one hash of a text of fewer words than a shingle, or none."""
+        if not len(h):
+            return np.empty(0, np.uint64)
+        with np.errstate(over="ignore"):
+            return mix64((h * _PLACE[20 : 20 + len(h)]).sum(keepdims=True) + np.uint64(len(h)))
+
+    def sets(self, data: np.ndarray, off: np.ndarray) -> Iterator[np.ndarray]:
+        h, counts = self.word_hashes(data, off)
+        s, at = self.shingled(h), 0
         for n in counts.tolist():
-            if n >= self.words:
-                yield np.unique(s[at : at + n - self.words + 1])
-            elif n:
-                with np.errstate(over="ignore"):
-                    yield mix64((h[at : at + n] * _PLACE[20 : 20 + n]).sum(keepdims=True) + np.uint64(n))
-            else:
-                yield np.empty(0, np.uint64)
+            yield np.unique(s[at : at + n - self.words + 1]) if n >= self.words else self.short(h[at : at + n])
             at += n
 
+    def long_set(self, data: np.ndarray) -> np.ndarray:
+        """The set of one long text, from parts that end at white space; memory is that of a part and of the set."""
+        found, carry = np.empty(0, np.uint64), np.empty(0, np.uint64)
+        fresh: list[np.ndarray] = []
+        seen = 0
+        for h in self._parts(data):
+            seen += len(h)
+            h = np.concatenate([carry, h])
+            fresh.append(np.unique(self.shingled(h)))
+            if sum(map(len, fresh)) > max(PART, len(found)):
+                found, fresh = np.unique(np.concatenate([found, *fresh])), []
+            carry = h[max(0, len(h) - self.words + 1) :]
+        return np.unique(np.concatenate([found, *fresh])) if seen >= self.words else self.short(carry)
+
+    def _parts(self, data: np.ndarray) -> Iterator[np.ndarray]:
+        at, n = 0, len(data)
+        while at < n:
+            to = min(n, at + PART)
+            if to < n:
+                white = np.flatnonzero(IS_WHITE[data[at:to]])
+                if len(white):
+                    to = at + int(white[-1]) + 1
+                else:  # a word that is longer than a part
+                    while to < n and not len(white := np.flatnonzero(IS_WHITE[data[to : to + PART]])):
+                        to = min(n, to + PART)
+                    to = to + int(white[0]) if to < n else n
+                    yield np.array([xxhash.xxh3_64_intdigest(LOWER[data[at:to]].tobytes())], np.uint64)
+                    at = to
+                    continue
+            yield self.word_hashes(data[at:to], np.array([0, to - at]))[0]
+            at = to
+
     def column(self, batch: pa.RecordBatch, name: str) -> Iterator[np.ndarray]:
-        for part in blocks(iter([batch]), name, 1 << 20):
-            yield from self.sets(*utf8_view(part.column(name)))
+        for part in blocks(iter([batch]), name, PART):
+            data, off = utf8_view(part.column(name))
+            if len(off) == 2 and len(data) > 2 * PART:
+                yield self.long_set(data)
+            else:
+                yield from self.sets(data, off)
 
     def __call__(self, text: bytes) -> np.ndarray:
-        return next(self.sets(np.frombuffer(text, np.uint8), np.array([0, len(text)])))
+        data = np.frombuffer(text, np.uint8)
+        return self.long_set(data) if len(data) > 2 * PART else next(self.sets(data, np.array([0, len(text)])))
 
 
 def minima(shingles: np.ndarray) -> np.ndarray:
@@ -125,6 +168,10 @@ def band_keys(signatures: np.ndarray) -> np.ndarray:
     return mix64(bands ^ mix64(np.arange(1, bands.shape[1] + 1, dtype=np.uint64))[None, :])
 
 
+def _slim(docs: DataFrame, text_col: str) -> DataFrame:
+    return picked(docs, doc_id="doc_id", text=text_col).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+
+
 def signatures(docs: DataFrame, text_col: str = "text", words: int = 5) -> DataFrame:
     """doc_id, n_shingles, set_key (null for an empty set), sig."""
 
@@ -138,7 +185,7 @@ def signatures(docs: DataFrame, text_col: str = "text", words: int = 5) -> DataF
                 sigs.append(minima(s).tobytes() if len(s) else None)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(keys, pa.binary()), pa.array(sigs, pa.binary())], names=["doc_id", "n_shingles", "set_key", "sig"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(tidy(run), "doc_id bigint, n_shingles bigint, set_key binary, sig binary")
+    return _slim(docs, text_col).mapInArrow(tidy(run), "doc_id bigint, n_shingles bigint, set_key binary, sig binary")
 
 
 def _sig_rows(arr: pa.Array) -> np.ndarray:
@@ -170,8 +217,8 @@ def shared_bands(classes: DataFrame) -> DataFrame:
     return classes.select("rep", "sig").mapInArrow(tidy(emit), "key bigint, rep bigint")
 
 
-def with_shared_counts(cards: DataFrame, words: int) -> DataFrame:
-    """rep, n, shared: how many of a text's shingles another text of ``cards`` has; never too few."""
+def with_shared_counts(cards: DataFrame, words: int) -> tuple[DataFrame, object, int]:
+    """rep, n, shared: how many of a text's shingles another text of ``cards`` has, never too few; with the filter that tells and its bits."""
     spark = cards.sparkSession
     n_bytes = cards.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     bits = filter_bits(n_bytes, 12, most=29)
@@ -194,7 +241,7 @@ def with_shared_counts(cards: DataFrame, words: int) -> DataFrame:
 
     found = cards.select("rep", "text").mapInArrow(tidy(count), "rep bigint, n bigint, shared bigint")
     # rows that repeat a doc_id with other texts: the widest bound of them
-    return found.groupBy("rep").agg(F.min("n").alias("n"), F.max("shared").alias("shared"))
+    return found.groupBy("rep").agg(F.min("n").alias("n"), F.max("shared").alias("shared")), bitmap, bits
 
 
 def possible(a: str, b: str, percent: int):
@@ -236,7 +283,8 @@ def near_dedup(docs: DataFrame, text_col: str = "text", words: int = 5, percent:
     Sets are compared case-folded for A-Z. Texts without words, and nulls, have an empty set and link with nothing;
     with fewer words than a shingle the whole sequence is one. Links need 100 * intersection >= percent * union.
     Rows that share a doc_id are one node. Rows without doc_id are judged by their exact set only: they get its
-    smallest doc_id, else null, and are kept only where no other row has that set's id. Other columns aren't read.
+    smallest doc_id, else null, and are kept only where no other row has that set's id. Very long texts are read in parts; an empty table
+    gives an empty result. Other columns aren't read and may have any names.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "near")
@@ -256,10 +304,15 @@ def _links(spark, scratch: Scratch, docs: DataFrame, text_col: str, classes: Dat
     real = bands.groupBy("key").agg(F.count(F.lit(1)).alias("k")).filter("k > 1").select("key")
     bands = scratch.table(bands.join(unplaced(real, "key").hint("merge"), "key"), "bands", few=True)
     needed = scratch.table(bands.select("rep").distinct(), "needed", few=True)
-    ids = F.broadcast(needed) if small_enough(needed, BROADCAST_IDS) else needed
-    cards = docs.select(F.col("doc_id").cast("long").alias("rep"), F.col(text_col).cast("string").alias("text")).join(ids, "rep").join(classes.select("rep", "sig").join(ids, "rep").hint("merge"), "rep")
+    n_needed = needed.count()
+    ids = F.broadcast(needed) if n_needed <= BROADCAST_IDS else needed
+    # as many parts as there is work: texts are looked through several times, which takes longer than reading them
+    width = max(4 * spark.sparkContext.defaultParallelism, n_needed // CARD_ROWS)
+    texts = _slim(docs, text_col).withColumnRenamed("doc_id", "rep").join(ids, "rep").repartition(width, "rep")
+    cards = texts.join(classes.select("rep", "sig").join(ids, "rep").repartition(width, "rep").hint("merge"), "rep")
     cards = scratch.table(cards.dropDuplicates(["rep", "text", "sig"]) if _repeats(classes) else cards, "cards")
-    facts = scratch.table(with_shared_counts(cards, words), "facts", few=True)
+    facts, bitmap, bits = with_shared_counts(cards, words)
+    facts = scratch.table(facts, "facts", few=True)
     # a document that can't be linked with one of its own size or smaller ends here
     alone = F.col("shared") * 100 < F.col("n") * percent
     held = scratch.table(bands.join(facts.filter(~alone).hint("merge"), "rep").select("key", "rep", "n", "shared"), "held", few=True)
@@ -270,15 +323,17 @@ def _links(spark, scratch: Scratch, docs: DataFrame, text_col: str, classes: Dat
     pairs = star.select(F.col("h.rep").alias("a"), F.col("x.rep").alias("b")).distinct()
     first = scratch.table(verified(pairs, cards, words, percent), "first", few=True)
 
-    return first.unionByName(_apart(scratch, held, first, cards, facts, words, percent))
+    return first.unionByName(_apart(scratch, held, first, cards, facts, bitmap, bits, words, percent))
 
 
-def _apart(scratch: Scratch, held: DataFrame, first: DataFrame, cards: DataFrame, facts: DataFrame, words: int, percent: int) -> DataFrame:
+def _apart(scratch: Scratch, held: DataFrame, first: DataFrame, cards: DataFrame, facts: DataFrame, bitmap, bits: int, words: int, percent: int) -> DataFrame:
     """Links between documents of one bucket that the stars left in different components.
 
     Buckets that hold several components are gathered into clusters. Of a cluster, the documents outside its largest
-    component are compared with all others, exactly and block by block: each task gets two chunks of texts and returns links
-    that join components, at most one a document, so no pair that fails is ever written.
+    component are compared with all others, exactly and block by block: each task gets two chunks and returns links that join
+    components, at most one a document, so no pair that fails is ever written. Texts move once, to be turned into sets; to the
+    tasks go only those shingles of a set that another document has. A document is in 32 blocks at most, until a
+    cluster has more than 32 chunks of two million shingles.
     """
     comp = components(first, "near-first").withColumnRenamed("node", "rep")
     placed = scratch.table(held.select("key", "rep").join(comp.hint("merge"), "rep", "left").withColumn("component", F.coalesce("component", "rep")), "placed", few=True)
@@ -301,34 +356,43 @@ def _apart(scratch: Scratch, held: DataFrame, first: DataFrame, cards: DataFrame
     against = each("k_main", lambda j: task(1, F.col("own"), j))
     tasks = F.when(F.col("out"), F.concat(inside, against)).otherwise(each("k_out", lambda i: task(1, i, F.col("own"))))
     with_text = dealt.select("rep", "component", "cluster", "out", "own", tasks.alias("tasks")).join(cards.select("rep", "text").hint("merge"), "rep")
-    rows = with_text.withColumn("task", F.explode("tasks")).select("cluster", "task.kind", "task.i", "task.j", "rep", "component", "out", "own", "text")
+
+    def shared_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shingle = Shingler(words)
+        for b in batches:
+            n, sets = [], []
+            for s in shingle.column(b, "text"):
+                n.append(len(s))
+                sets.append(s[probe(bitmap.value, s, bits)].tobytes() if len(s) else b"")
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(n, pa.int64()), pa.array(sets, pa.binary())], names=[*b.schema.names[:-1], "n", "shared_set"])
+
+    with_sets = with_text.mapInArrow(tidy(shared_sets), with_text.drop("text").schema.add("n", "long").add("shared_set", "binary"))
+    rows = with_sets.withColumn("task", F.explode("tasks")).select("cluster", "task.kind", "task.i", "task.j", "rep", "component", "out", "own", "n", "shared_set")
 
     def compare(table: pa.Table) -> pa.Table:
         table = table.combine_chunks()
-        sets = [s for b in table.to_batches() for s in Shingler(words).column(b, "text")]
+        sets = [np.frombuffer(x, np.uint64) for x in table.column("shared_set").to_pylist()]
         kind, i, j = (table.column(c)[0].as_py() for c in ("kind", "i", "j"))
-        rep, component, out, chunk_of = (table.column(c).to_numpy() for c in ("rep", "component", "out", "own"))
+        rep, component, out, chunk_of, n = (table.column(c).to_numpy() for c in ("rep", "component", "out", "own", "n"))
         left, right = (out, ~out) if kind else (chunk_of == i, chunk_of == j)
-        links = linked(sets, np.flatnonzero(left), np.flatnonzero(right), component, percent)
+        links = linked(sets, n, np.flatnonzero(left), np.flatnonzero(right), component, percent)
         release()
         return pa.table({"a": pa.array([int(rep[x]) for x, _ in links], pa.int64()), "b": pa.array([int(rep[y]) for _, y in links], pa.int64())})
 
     return rows.groupBy("cluster", "kind", "i", "j").applyInArrow(compare, "a bigint, b bigint").distinct()
 
 
-def linked(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray, component: np.ndarray, percent: int) -> list[tuple[int, int]]:
-    """Links of rows ``left`` with rows ``right`` that join components not joined before, by exact intersections."""
+def linked(sets: list[np.ndarray], size: np.ndarray, left: np.ndarray, right: np.ndarray, component: np.ndarray, percent: int) -> list[tuple[int, int]]:
+    """Links of rows ``left`` with rows ``right`` that join components not joined before, by exact intersections.
+
+    ``sets`` may lack shingles that no other row has; ``size`` is that of the whole sets. The right side is filed by shingle.
+    """
     if not len(left) or not len(right):
         return []
-    size = np.array([len(s) for s in sets])
-    _, number = np.unique(np.concatenate(sets), return_inverse=True)
-    part = np.split(number, np.cumsum(size)[:-1])
-    right = right[size[right] > 0]
-    if not len(right):
-        return []
-    flat = np.concatenate([part[r] for r in right])
-    begins = np.concatenate([[0], np.cumsum(size[right])[:-1]])
-    has = np.zeros(number.max(initial=0) + 1, np.int32)
+    shingles = np.concatenate([sets[r] for r in right])
+    owner = np.repeat(np.arange(len(right)), [len(sets[r]) for r in right])
+    order = np.argsort(shingles, kind="stable")
+    shingles, owner = shingles[order], owner[order]
     parent: dict[int, int] = {}
 
     def root(c: int) -> int:
@@ -338,10 +402,11 @@ def linked(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray, componen
 
     found = []
     for x in left.tolist():
-        has[part[x]] = 1
-        both = np.add.reduceat(has[flat], begins)
-        has[part[x]] = 0
-        for k in np.flatnonzero((100 * both >= percent * (size[x] + size[right] - both)) & (component[right] != component[x])):
+        a, b = np.searchsorted(shingles, sets[x], side="left"), np.searchsorted(shingles, sets[x], side="right")
+        n = b - a
+        places = np.repeat(a - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum()) if len(n) else np.empty(0, np.int64)
+        both = np.bincount(owner[places], minlength=len(right))
+        for k in np.flatnonzero((both > 0) & (100 * both >= percent * (size[x] + size[right] - both)) & (component[right] != component[x])):
             y = int(right[k])
             c, d = root(int(component[x])), root(int(component[y]))
             if c != d:
