@@ -2,10 +2,11 @@
 
 The suffix array is sparse. Each 50-byte window is filed under its anchor, the place in it where the hash of 24
 bytes is least; equal windows have equal anchors, so only suffixes at anchors, one in fourteen bytes, need sorting. A
-twice-seen filter drops anchors that one document alone has, and whole copies of an earlier text are settled by their hash (128 bits). The rest is range-partitioned by sampled splitters on the suffixes'
-leading 8-byte tokens (a token that fills several ranges is spread over them by its next tokens, so that equal
-suffixes always meet and nothing is lost at a boundary), sorted in each bucket by multikey quicksort, and the
-windows of suffixes that agree at their anchor are compared whole. What is equal takes the smallest doc_id.
+twice-seen filter drops anchors that one document alone has, and whole copies of an earlier text are settled by their SHA-256.
+The rest is range-partitioned by sampled splitters on the suffixes' leading 8-byte tokens (a token that fills several
+ranges is spread over them by its next tokens, so that equal suffixes always meet: the two sides of a boundary have nothing to
+compare), sorted in each bucket by multikey quicksort, and the windows of suffixes that agree at their anchor are
+compared whole, byte by byte. What is equal takes the smallest doc_id.
 """
 
 from __future__ import annotations
@@ -17,9 +18,8 @@ import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import StructType
 
-from topicgrid.llm.common import Scratch, blocks, mix64, shuffle_width, small_enough, tidy, utf8_view
+from topicgrid.llm.common import Passing, Scratch, blocks, mix64, shuffle_width, small_enough, tidy, unplaced, utf8_view
 from topicgrid.llm.line_dedup import filter_bits, probe, twice_seen
 
 MATCH, SEED = 50, 24
@@ -28,8 +28,9 @@ LONGEST = 1 << 17  # bytes laid out at once
 PLACE_BITS = 20
 PACK_ROWS = 96 << 10  # bytes of text for each bucket, up to 16 MB, whose runs are packed together
 MOST_PACKED = 16 << 20
-COPY_ROWS = 1_000_000
-STEP = 1 << 21  # windows compared at once
+COPY_ROWS = 500_000  # copied texts in a broadcast
+SMALL = 1 << 15  # suffixes that are sorted at once
+STEP = 1 << 20  # windows compared at once
 LIST_BYTES, LIST_ROWS = 32 << 20, 400_000
 LAST = np.iinfo(np.int64).max  # stands for a null doc_id
 _C = mix64(np.arange(1, 17, dtype=np.uint64) << np.uint64(7)) | np.uint64(1)
@@ -102,27 +103,61 @@ def laid_out(batch: pa.RecordBatch, text: str) -> Iterator[tuple[np.ndarray, np.
             yield part, np.array([0, len(part)]), np.array([k]), np.array([at])
 
 
-def multikey_sort(tokens: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+def multikey_sort(tokens: list[np.ndarray], small: int = SMALL) -> tuple[np.ndarray, np.ndarray]:
     """Order of the rows by their token strings, and whether each begins a group of equal ones.
 
-    Three-way quicksort by one token at a time: rows are split by the first token, and only groups that tie go on to the next.
+    Three-way quicksort on one token at a time, for all segments at once: each is split by a pivot, the median of three, into what is
+    less, equal and greater; equal rows go on to their next token. Segments of at most ``small`` rows are sorted directly.
     """
     n = len(tokens[0])
-    order = np.argsort(tokens[0], kind="quicksort")
+    order, key = np.arange(n), np.stack(tokens)
+    begin, size, depth = np.zeros(1, np.int64), np.array([n]), np.zeros(1, np.int64)
+    rest: list[tuple[np.ndarray, np.ndarray]] = []
+    while True:
+        large = size > small
+        rest.append((begin[~large], size[~large]))
+        begin, size, depth = begin[large], size[large], depth[large]
+        if not len(begin):
+            break
+        at = _ragged(begin, size)
+        seg = np.repeat(np.arange(len(begin)), size)
+        rows = order[at]
+        value = key[depth[seg], rows]
+        three = np.sort(key[depth, order[np.stack([begin, begin + size // 2, begin + size - 1])]], axis=0)
+        pivot = three[1][seg]
+        less, equal = value < pivot, value == pivot
+        n_less, n_equal = (np.bincount(seg, m, len(begin)).astype(np.int64) for m in (less, equal))
+        first = np.concatenate([[0], np.cumsum(size)[:-1]])
+        rank = lambda m: (c := np.cumsum(m) - m) - c[first][seg]
+        to = np.where(less, rank(less), np.where(equal, n_less[seg] + rank(equal), (n_less + n_equal)[seg] + rank(~less & ~equal)))
+        order[begin[seg] + to] = rows
+        parts = (n_less, n_equal, size - n_less - n_equal)
+        begin = np.concatenate([begin, begin + n_less, begin + n_less + n_equal])
+        depth = np.concatenate([depth, depth + 1, depth])
+        size = np.concatenate(parts)
+        go = (size > 0) & (depth < len(tokens))
+        begin, size, depth = begin[go], size[go], depth[go]
+    begin, size = (np.concatenate(x) for x in zip(*rest, strict=True))
+    for a, m in zip(begin.tolist(), size.tolist(), strict=True):
+        order[a : a + m] = _sorted_directly(tokens, order[a : a + m])
     first = np.ones(n, bool)
-    first[1:] = tokens[0][order[1:]] != tokens[0][order[:-1]]
+    first[1:] = np.logical_or.reduce([t[order[1:]] != t[order[:-1]] for t in tokens])
+    return order, first
+
+
+def _sorted_directly(tokens: list[np.ndarray], rows: np.ndarray) -> np.ndarray:
+    """A short segment: by one token, then what ties by the next."""
+    rows = rows[np.argsort(tokens[0][rows])]
+    tied = np.concatenate([[False], tokens[0][rows[1:]] == tokens[0][rows[:-1]]])
     for t in tokens[1:]:
-        group = np.cumsum(first)
-        tied = np.flatnonzero(~first | np.append(~first[1:], False))
-        if not len(tied):
+        group = np.cumsum(~tied)
+        at = np.flatnonzero(tied | np.append(tied[1:], False))
+        if not len(at):
             break
-        rows = order[tied]
-        inner = np.lexsort((t[rows], group[tied]))
-        order[tied] = rows[inner]
-        new = np.ones(len(tied), bool)
-        new[1:] = (t[order[tied[1:]]] != t[order[tied[:-1]]]) | (group[tied[1:]] != group[tied[:-1]])
-        first[tied] = new
-    return order, first
+        some = rows[at]
+        rows[at] = some = some[np.lexsort((t[some], group[at]))]
+        tied[at[1:]] &= t[some[1:]] == t[some[:-1]]
+    return rows
 
 
 class Splitters:
@@ -187,7 +222,19 @@ class Held:
         self.clear()
         at = np.cumsum(size) - size
         order = np.argsort(content, kind="stable")
-        first = np.flatnonzero(np.concatenate([[True], content[order[1:]] != content[order[:-1]]]))
+        heads = np.concatenate([[True], content[order[1:]] != content[order[:-1]]])
+        padded = np.concatenate([raw, np.zeros(8, np.uint8)])
+        words = lambda rows, t: words_at(padded, at[rows] + np.minimum(8 * t, size[rows] - 8))
+        head_of = order[np.maximum.accumulate(np.where(heads, np.arange(len(order)), 0))]
+        same = (size[order] == size[head_of]) & (anchor[order] == anchor[head_of])
+        for t in range(10):
+            same &= words(order, t) == words(head_of, t)
+        if not same.all():  # different runs of one hash: sort by the bytes
+            every = np.arange(len(order))
+            columns = [*(words(every, t) for t in range(10)), size, anchor]
+            order = np.lexsort(columns)
+            heads = np.concatenate([[True], np.logical_or.reduce([c[order[1:]] != c[order[:-1]] for c in columns])])
+        first = np.flatnonzero(heads)
         held = np.diff(np.append(first, len(order)))
         rep = order[first]
         bucket = splitters.bucket(lead[rep], seed[rep])
@@ -403,39 +450,46 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     return spans.groupBy("doc_id", "mark").agg(F.collect_list("spans").alias("spans")).mapInArrow(tidy(_merge_lists), "doc_id bigint, mark bigint, spans binary")
 
 
-def suffix_dedup(docs: DataFrame, text_col: str = "text", list_bytes: int = LIST_BYTES) -> DataFrame:
+def _with_copies(own: Passing, text, key, scratch: Scratch, copy_rows: int) -> DataFrame:
+    """The passing columns with key (doc_id, or the largest number), mark (a hash of the text) and copy: whether an earlier document has just this text."""
+    named = own.frame.withColumns({"key": key, "mark": F.xxhash64(text), "sha": F.unhex(F.sha2(text.cast("binary"), 256))})
+    copies = named.groupBy("mark", "sha").agg(F.min("key").alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
+    copies = scratch.table(copies, "copies", few=True)
+    few = small_enough(copies, copy_rows)
+    if few:
+        found = named.join(F.broadcast(copies), ["mark", "sha"], "left")
+    else:  # hot texts can be split, since the smaller side is placed anew
+        found = named.join(unplaced(copies, "mark").hint("merge"), ["mark", "sha"], "left")
+    found = found.select(*own.frame.columns, "key", "mark", F.coalesce(F.col("first") < F.col("key"), F.lit(False)).alias("copy"))
+    return found if few else scratch.table(found, "marked")
+
+
+def suffix_dedup(docs: DataFrame, text_col: str = "text", list_bytes: int = LIST_BYTES, copy_rows: int = COPY_ROWS) -> DataFrame:
     """``docs`` with kept (binary: what is left of the UTF-8 bytes), n_bytes, n_removed, n_spans.
 
     A byte goes if a 50-byte string that covers it also starts in a row with a smaller doc_id; rows that share a
     doc_id don't remove from each other, a null doc_id counts as larger than all others. Null texts are empty; texts
-    under 50 bytes stay. Columns named like the new ones are replaced, others pass through. The spans are
-    broadcast if they take at most ``list_bytes``, else joined by document.
+    under 50 bytes stay; very long ones are read in overlapping parts; an empty table gives an empty one. Columns named like the new ones, in
+    any case, are replaced, others pass through. The spans are broadcast if they take at most ``list_bytes``, else joined by document; copied
+    texts are broadcast up to ``copy_rows``, else joined.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "suffix")
     added = ("kept", "n_bytes", "n_removed", "n_spans")
-    names = [c for c in docs.columns if c not in added]
-    key, mark = F.coalesce(F.col("doc_id").cast("long"), F.lit(int(LAST))), F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    second = F.xxhash64(F.lit(1), text)
+    own = Passing.of(docs, [text_col, "doc_id"], added)
+    names, at_text = own.frame.columns, own.at[text_col]
+    text = F.coalesce(own.col(text_col).cast("string"), F.lit(""))
     # whole copies of an earlier document go as they are: they need no suffixes, and neither are they a source of their own
-    copies = docs.select(key.alias("k"), mark.alias("mark__"), second.alias("second__")).groupBy("mark__", "second__").agg(F.min("k").alias("first__"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
-    copies = scratch.table(copies, "copies", few=True)
-    few_copies = small_enough(copies, COPY_ROWS)
-    if not few_copies:  # then copies are found like anything else
-        copies = copies.limit(0)
-    with_first = docs.withColumns({"key__": key, "mark__": mark, "second__": second}).join(F.broadcast(copies), ["mark__", "second__"], "left")
-    marked = with_first.select(*names, "key__", "mark__", F.coalesce(F.col("first__") < F.col("key__"), F.lit(False)).alias("copy__"))
-    slim = marked.filter(~F.col("copy__")).select(F.col("key__").alias("doc_id"), F.col("mark__").alias("mark"), text.alias("text"))
+    marked = _with_copies(own, text, F.coalesce(own.col("doc_id").cast("long"), F.lit(int(LAST))), scratch, copy_rows)
+    slim = marked.filter(~F.col("copy")).select(F.col("key").alias("doc_id"), "mark", text.alias("text"))
     spans = scratch.table(repeated_spans(slim), "spans", few=True)
     stat = spans.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.octet_length("spans")), F.lit(0)).alias("b")).first()
-    schema = StructType([docs.schema[c] for c in names]).add("kept", "binary").add("n_bytes", "long").add("n_removed", "long").add("n_spans", "long")
-    at_text = names.index(text_col)
+    schema = own.schema.add("kept", "binary").add("n_bytes", "long").add("n_removed", "long").add("n_spans", "long")
 
-    def rebuilt(batch: pa.RecordBatch, own: list) -> pa.RecordBatch:
+    def rebuilt(batch: pa.RecordBatch, found: list) -> pa.RecordBatch:
         data, off = utf8_view(batch.column(at_text))
         kept, gone, n_spans = [], [], []
-        for k, (s, copy) in enumerate(zip(own, batch.column("copy__").to_pylist(), strict=True)):
+        for k, (s, copy) in enumerate(zip(found, batch.column("copy").to_pylist(), strict=True)):
             t = data[off[k] : off[k + 1]]
             if copy and len(t) >= MATCH:
                 kept.append(b"")
@@ -461,14 +515,14 @@ def suffix_dedup(docs: DataFrame, text_col: str = "text", list_bytes: int = LIST
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                ids, marks = (batch.column(c).to_pylist() for c in ("key__", "mark__"))
+                ids, marks = (batch.column(c).to_pylist() for c in ("key", "mark"))
                 yield rebuilt(batch, [listed.value.get(k) for k in zip(ids, marks, strict=True)])
 
-        return marked.mapInArrow(tidy(run), schema)
+        return own.returned(marked.mapInArrow(tidy(run), schema))
 
     def run_joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield rebuilt(batch, batch.column("spans__").to_pylist())
+            yield rebuilt(batch, batch.column("spans").to_pylist())
 
-    right = spans.select(F.col("doc_id").alias("key__"), F.col("mark").alias("mark__"), F.col("spans").alias("spans__"))
-    return marked.join(right.hint("merge"), ["key__", "mark__"], "left").select(*names, "copy__", "spans__").mapInArrow(tidy(run_joined), schema)
+    right = spans.select(F.col("doc_id").alias("key"), "mark", "spans")
+    return own.returned(marked.join(right.hint("merge"), ["key", "mark"], "left").select(*names, "copy", "spans").mapInArrow(tidy(run_joined), schema))
