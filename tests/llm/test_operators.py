@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from topicgrid.llm import mixing, packing, quality, suffix_dedup, topk, toxicity, url_filter
+from topicgrid.llm import mixing, near_dedup as near, packing, quality, suffix_dedup, topk, toxicity, url_filter
 from topicgrid.llm.components import components
 from topicgrid.llm.exact_dedup import exact_dedup, misra_gries
 from topicgrid.llm.line_dedup import line_dedup
@@ -38,9 +38,13 @@ HARD = [
 ]
 
 
+#: Names that operators use or add, some in another case.
+CLASHING = ("score", "Predicted", "n_lines", "N_Dropped", "digest", "key", "len", "KEPT", "n", "bucket", "mark", "mark__", "key__", "second__", "copy", "first", "first__", "listed", "id", "own_mark", "MIX_shard", "mix_rank", "block", "size", "c0", "C1", "rep", "row", "at", "h", "r", "n_matches", "N_BYTES", "sha", "spans")
+
+
 @pytest.fixture(scope="module")
 def hard(spark):
-    return spark.createDataFrame(HARD, "doc_id bigint, text string, source string").withColumns({c: F.lit("clash") for c in ("score", "predicted", "n_lines", "digest", "key", "len", "kept", "n", "bucket")})
+    return spark.createDataFrame(HARD, "doc_id bigint, text string, source string").withColumns({c: F.lit("clash") for c in CLASHING})
 
 
 @pytest.fixture(scope="module")
@@ -63,10 +67,12 @@ def lower(s):
 
 @pytest.mark.parametrize("table", ["hard", "given", "empty"])
 @pytest.mark.parametrize("keep", ["first", "none"])
-@pytest.mark.parametrize("list_rows", [10**6, 0])
-def test_lines(request, table, keep, list_rows):
+@pytest.mark.parametrize("list_bytes", [1 << 26, -1])
+def test_lines(request, table, keep, list_bytes):
     df = request.getfixturevalue(table)
-    found = line_dedup(df, min_docs=2, keep=keep, list_rows=list_rows).select("doc_id", "text", "n_lines", "n_dropped").collect()
+    out = line_dedup(df, min_docs=2, keep=keep, list_bytes=list_bytes)
+    assert out.columns == [c for c in df.columns if c.lower() not in ("n_lines", "n_dropped")] + ["n_lines", "n_dropped"]
+    found = out.select("doc_id", "text", "n_lines", "n_dropped").collect()
     docs = rows(df)
     keyed = [[lower(x).strip(" \t\n\x0b\x0c\r") for x in r.text.split("\n")] for r in docs]
     n, first = collections.Counter(), {}
@@ -204,12 +210,15 @@ def brute_suffix(docs, n=50):
 
 
 @pytest.mark.parametrize("table", ["hard", "given", "empty"])
-@pytest.mark.parametrize("list_bytes", [1 << 25, -1])
-def test_suffix(request, table, list_bytes):
+@pytest.mark.parametrize(("list_bytes", "copy_rows"), [(1 << 25, 10**6), (-1, 0)])
+def test_suffix(request, table, list_bytes, copy_rows):
     df = request.getfixturevalue(table)
     last = suffix_dedup.LAST
     docs = [(last if r.doc_id is None else r.doc_id, r.text.encode()) for r in rows(df)]
-    found = suffix_dedup.suffix_dedup(df, list_bytes=list_bytes).collect()
+    out = suffix_dedup.suffix_dedup(df, list_bytes=list_bytes, copy_rows=copy_rows)
+    added = ["kept", "n_bytes", "n_removed", "n_spans"]
+    assert out.columns == [c for c in df.columns if c.lower() not in added] + added
+    found = out.collect()
     assert collections.Counter((last if r.doc_id is None else r.doc_id, r.n_bytes, r.n_removed, r.n_spans, bytes(r.kept)) for r in found) == brute_suffix(docs)
 
 
@@ -227,10 +236,50 @@ def test_suffix_repetitive_texts(spark):
 
 def test_multikey_sort():
     g = np.random.default_rng(1)
-    cols = [g.integers(0, 3, 500, dtype=np.uint64) for _ in range(4)]
-    order, first = suffix_dedup.multikey_sort(cols)
-    keys = list(zip(*(c.tolist() for c in cols), strict=True))
-    assert [keys[k] for k in order] == sorted(keys) and first.sum() == len(set(keys))
+    for n, high, small in ((500, 3, 1), (500, 3, 50), (2000, 40, 8), (1, 2, 1), (3000, 2**63, 100)):
+        cols = [g.integers(0, high, n, dtype=np.uint64) for _ in range(4)]
+        order, first = suffix_dedup.multikey_sort(cols, small)
+        keys = list(zip(*(c.tolist() for c in cols), strict=True))
+        assert [keys[k] for k in order] == sorted(keys) and first.sum() == len(set(keys))
+
+
+def test_ranges_keep_equal_suffixes_together():
+    """Nothing needs comparing across a boundary: suffixes of one anchor share a bucket, also where a token fills many ranges."""
+    g = np.random.default_rng(4)
+    lead = np.concatenate([g.integers(0, 50, 4000, dtype=np.uint64), np.full(3000, 7, np.uint64)])
+    rest = g.integers(0, 30, len(lead), dtype=np.uint64)
+    s = suffix_dedup.Splitters(lead, 40)
+    where = collections.defaultdict(set)
+    for a, r, b in zip(lead.tolist(), rest.tolist(), s.bucket(lead, rest).tolist(), strict=True):
+        where[a, r].add(b)
+    assert all(len(b) == 1 for b in where.values())
+    hot = {b for (a, _), bs in where.items() if a == 7 for b in bs}
+    assert len(hot) > 5 and max(max(b) for b in where.values()) < 40
+
+
+def test_runs_of_one_hash_are_told_apart(monkeypatch):
+    """Runs are merged by their bytes: with a hash that is the same for all, the outcome is the same."""
+    g = np.random.default_rng(6)
+    raw = [bytes(g.integers(97, 100, 300, dtype=np.uint8)) for _ in range(6)]
+    raw += raw[:3]
+    off = np.concatenate([[0], np.cumsum([len(t) for t in raw])])
+
+    def packed():
+        runs = suffix_dedup.Anchored(np.frombuffer(b"".join(raw), np.uint8), off)
+        held = suffix_dedup.Held()
+        held.add(runs, np.ones(len(runs.begin), bool), np.arange(9), np.zeros(9, np.int64), -off[:-1])
+        out = set()
+        for bucket, blob in held.packs(suffix_dedup.Splitters(np.arange(100, dtype=np.uint64), 1)):
+            p = suffix_dedup.unpack(blob)
+            at, occ = np.cumsum(p["size"]) - p["size"], np.cumsum(p["held"]) - p["held"]
+            for k in range(len(p["size"])):
+                docs = tuple(sorted(zip(p["id"][p["doc"][occ[k] : occ[k] + p["held"][k]]].tolist(), p["start"][occ[k] : occ[k] + p["held"][k]].tolist(), strict=True)))
+                out.add((bucket, p["content"][at[k] : at[k] + p["size"][k]].tobytes(), int(p["anchor"][k]), docs))
+        return out
+
+    want = packed()
+    monkeypatch.setattr(suffix_dedup.Anchored, "contents", lambda self: np.zeros(len(self.begin), np.uint64))
+    assert packed() == want and any(len(d) > 1 for *_, d in want)
 
 
 def test_mixing(spark, hard, given, empty):
@@ -245,19 +294,46 @@ def test_mixing(spark, hard, given, empty):
                 want[r.doc_id, n] += 1
             assert collections.Counter((r.doc_id, r.size) for r in found) == want
             order = sorted(s for s in sizes if s is not None) + [None] * (None in sizes)
-            targets = mixing.water_fill(sizes, {s: (5, 2, 1)[k % 3] for k, s in enumerate(order)})
+            targets = brute_targets(sizes, order)
             taken = collections.Counter()
             for r in found:
-                assert r.source_size == sizes[r.source] and r.target == float(targets[r.source])
+                assert r.source_size == sizes[r.source] and r.target == pytest.approx(targets[r.source], abs=1e-6)
                 assert r.taken == r.copies * r.size == len(r.shards) * r.size and r.copies <= 3
                 taken[r.source] += r.taken
             largest = max((r.size for r in found), default=0)
             for s in sizes:
-                assert 0 <= targets[s] - taken[s] <= 2 * largest
+                assert abs(targets[s] - taken[s]) <= 2 * largest
             again = mixing.mix(df.repartition(3), shards=shards).collect()
             assert collections.Counter(map(str, again)) == collections.Counter(map(str, found))
             copies = mixing.mixed_documents(df, shards=shards)
-            assert copies.count() == sum(r.copies for r in found)
+            assert copies.columns == [c for c in df.columns if c.lower() not in ("mix_shard", "mix_rank")] + ["mix_shard", "mix_rank"]
+            assert collections.Counter((r.doc_id, r.mix_shard) for r in copies.collect()) == collections.Counter((r.doc_id, s) for r in found for s in r.shards)
+
+
+def brute_targets(sizes, order, weights=(5, 2, 1), cap=3):
+    """Pour the total in small steps of the level, each source's share by weight until it is full."""
+    total, w = sum(sizes.values()), {s: weights[k % 3] for k, s in enumerate(order)}
+    lo, hi = 0.0, float(cap * total + 1)
+    for _ in range(200):
+        level = (lo + hi) / 2
+        lo, hi = (level, hi) if sum(min(cap * sizes[s], w[s] * level) for s in order) < total else (lo, level)
+    return {s: min(cap * sizes[s], w[s] * hi) for s in order}
+
+
+def test_shards_draw_what_the_tree_gives():
+    """Copies are the draws: each shard takes just its quota of each source's blocks, and no block twice in a pass."""
+    sizes = {"a": 1000, "b": 500, None: 10}
+    quota = {"a": mixing.BLOCKS // 3, "b": 2 * mixing.BLOCKS + 5, None: 3 * mixing.BLOCKS}
+    plan = mixing.MixPlan(sizes, dict.fromkeys(sizes, 0), quota, 7, 3)
+    assert plan.tree.sum(axis=0).tolist() == [quota[s] for s in plan.order]
+    some = np.random.default_rng(1).choice(mixing.BLOCKS, 3000, replace=False).tolist()
+    for s in sizes:
+        n = [len(plan.shards_of(s, b)) for b in some]
+        whole, rest = divmod(quota[s], mixing.BLOCKS)
+        assert n == [whole + (b < rest) for b in some]
+    drawn = collections.Counter(x for b in some for x in plan.shards_of("b", b))
+    share = plan.tree[:, 1] / quota["b"]
+    assert all(abs(drawn[k] - 6000 * share[k]) < 5 * (6000 * share[k]) ** 0.5 for k in range(7))
 
 
 def test_water_fill_and_tree():
@@ -265,6 +341,8 @@ def test_water_fill_and_tree():
     assert t == {"a": 30, "b": 780, "c": 300} and all(t[s] <= 3 * n for s, n in {"a": 10, "b": 1000, "c": 100}.items())
     tree = mixing.split_quotas([4096, 100, 7], 13, 3)
     assert tree.sum(axis=0).tolist() == [4096, 100, 7] and tree.min() >= 0
+    huge = mixing.split_quotas([3 << 30, 5, 1 << 29], 9, 3)  # beyond what one draw can handle
+    assert huge.sum(axis=0).tolist() == [3 << 30, 5, 1 << 29] and huge.min() >= 0
     assert np.ptp(tree.sum(axis=1)) <= 13
 
 
@@ -326,8 +404,10 @@ def test_topk(spark, sf):
     for df in (made, given, given.limit(0), made.filter("vec_id < 3")):
         q = df.filter("vec_id % 50 = 0")
         found = collections.defaultdict(list)
-        for r in topk.top_k(df, q, 5).collect():
+        for r in topk.top_k(df.withColumns({"ID": F.lit(1), "v": F.lit(2)}), q.withColumns({"ID": F.lit(1), "v": F.lit(2)}), 5).collect():
             found[r.query_id].append((r.rank, r.id, r.score))
+        rounds = topk.top_k(df, q, 5, query_rows=3)
+        assert collections.Counter((r.query_id, r.rank, r.id, r.score) for r in rounds.collect()) == collections.Counter((i, *x) for i, v in found.items() for x in v)
         vs = {}
         for i, v in df.collect():
             if i is not None and v is not None and all(x is not None and np.isfinite(x) for x in v):
@@ -341,17 +421,19 @@ def test_topk(spark, sf):
 
 
 def test_topk_prunes_and_stays_exact():
+    """Clustered vectors: the proof stops the reading early. Scattered ones: all is read, and few rows are rescored."""
     g = np.random.default_rng(5)
     centres = g.normal(0, 60, (20, 32))
-    v = np.floor(centres[g.integers(0, 20, 4000)] + g.normal(0, 8, (4000, 32)))
-    index = topk.ImpactIndex(np.arange(4000), v)
-    rescored = 0
-    for j in range(40):
-        ids, score, n = index.search(v[j], j, 5, -np.inf)
-        rescored += n
-        all_ = sorted((-int(v[j] @ v[k]), k) for k in range(4000) if k != j)[:5]
-        assert list(zip((-score).tolist(), ids.tolist(), strict=True)) == all_
-    assert rescored < 40 * 4000 / 3
+    clustered = np.floor(centres[g.integers(0, 20, 4000)] + g.normal(0, 8, (4000, 32)))
+    for v, most_read, most_rescored in ((clustered, 0.75, 0.1), (np.floor(g.normal(0, 60, (4000, 32))), 1.0, 0.2)):
+        index = topk.ImpactIndex(np.arange(4000), v)
+        rescored = read = 0
+        for j in range(40):
+            ids, score, n, seen = index.search(v[j], j, 5, -np.inf)
+            rescored, read = rescored + n, read + seen
+            all_ = sorted((-int(v[j] @ v[k]), k) for k in range(4000) if k != j)[:5]
+            assert list(zip((-score).tolist(), ids.tolist(), strict=True)) == all_
+        assert read <= 40 * v.size * most_read and rescored < 40 * 4000 * most_rescored
 
 
 def test_urls(spark, sf):
@@ -403,7 +485,7 @@ def test_classifiers_on_held_out_rows(spark, label, least):
 
 
 def test_classifiers_on_hard_rows(spark, hard, empty):
-    labels = spark.createDataFrame([(1, 1, 0), (6, 0, 1), (None, 1, 1), (99, 0, 0)], "doc_id bigint, quality int, toxic int")
+    labels = spark.createDataFrame([(1, 1, 0), (6, 0, 1), (None, 1, 1), (99, 0, 0)], "doc_id bigint, quality int, toxic int").withColumns({c: F.lit(1) for c in ("y", "text", "raw")})
     for df in (hard, empty):
         for lab in (labels, labels.limit(0)):
             a = quality.score_quality(df, quality.train_quality(df, lab, epochs=1)).collect()
@@ -421,6 +503,109 @@ def test_grammar_reads_clauses():
     assert score("you are not an idiot.") < score("you are an idiot.")
     assert score("no. you idiot") == score("you idiot")
     assert g.lexicon.features("idiotic and Scummy words", m) is None
+    assert score("idiot.") == score("hello.") and score("kill time") == score("hello.")  # a lone word; a threat to nobody
+    assert score("kill you") == score("you kill") > 0.5 and score("idiot, that is what you are") == score("you are an idiot")
+    assert score("“hello”, you idiot") == score("hello, you idiot") > score("“hello, you idiot”")
+    assert score('she wrote "go. you idiot! go" today') < score('she wrote. "go" you idiot')
+
+
+def brute_clauses(kinds):
+    """What each clause is, by looking at the whole sequence instead of running machines: (target, insult, threat) or nothing."""
+    T = toxicity
+    out, begin = [], 0
+    for end in [k for k, c in enumerate(kinds) if c in (T.END, T.BREAK)]:
+        line = max((k + 1 for k in range(begin) if kinds[k] == T.BREAK), default=0)
+        found = {T.INSULT: [], T.THREAT: []}
+        for k in range(begin, end):
+            if kinds[k] not in found:
+                continue
+            quoted = False
+            for c in kinds[line:k]:
+                quoted = not quoted if c == T.QUOTE else quoted and c != T.CLOSE
+            before = [c for c in kinds[begin:k] if c not in (T.QUOTE, T.CLOSE)]
+            found[kinds[k]].append((T.NEG in before[-3:]) * T.NEGATED | (quoted or T.REPORT in before) * T.REPORTED)
+        words = [c for c in kinds[begin:end] if c not in (T.QUOTE, T.CLOSE)]
+        insult, threat = (min(f) + 1 if f else 0 for f in (found[T.INSULT], found[T.THREAT]))
+        out.append((int(T.TARGET in words), insult, threat) if len(words) > 1 and (insult or threat) else None)
+        begin = end + 1
+    return out
+
+
+def test_machine_against_brute_force():
+    g = np.random.default_rng(11)
+    for _ in range(3000):
+        kinds = [*g.choice(10, int(g.integers(1, 25)), p=[0.2, 0.14, 0.14, 0.08, 0.1, 0.08, 0.08, 0.04, 0.1, 0.04]).tolist(), toxicity.BREAK]
+        state, got = 0, []
+        for c in kinds:
+            state, match = toxicity.ROWS[state][(c, 0)]
+            if c in (toxicity.END, toxicity.BREAK):
+                got.append(None if match is None else toxicity.parts_of(match))
+            else:
+                assert match is None
+        assert got == brute_clauses(kinds), kinds
+
+
+def test_network_against_brute_force():
+    """Filters byte by byte, pools and layers as loops."""
+    g = np.random.default_rng(3)
+    net = quality.ByteConvNet(filters=3, units=4, seed=2)
+    net.out[:] = g.normal(0, 1, 4)
+    texts = [b"", b"a", bytes(g.integers(0, 256, 121, dtype=np.uint8)), bytes(g.integers(0, 256, 122, dtype=np.uint8)), bytes(g.integers(32, 126, 700, dtype=np.uint8))]
+    off = np.concatenate([[0], np.cumsum([len(t) for t in texts])])
+    found = net.probabilities(np.frombuffer(b"".join(texts), np.uint8), off)
+    for t, p in zip(texts, found, strict=True):
+        cells = -(-(len(t) + quality.WIDTH) // quality.CELL)
+        padded = t + bytes(cells * quality.CELL + quality.WIDTH - len(t))
+        top = np.full((cells, 3), -np.inf)
+        for at in range(cells * quality.CELL - quality.WIDTH + 1):
+            r = sum(net.tables[j, padded[at + j]] for j in range(quality.WIDTH))
+            top[at // quality.CELL] = np.maximum(top[at // quality.CELL], r)
+        pooled = np.full(4, -np.inf)
+        for c in range(cells):
+            x = np.maximum(top[c], top[min(c + 1, cells - 1)])
+            pooled = np.maximum(pooled, np.maximum(x @ net.hidden + net.bias, 0))
+        assert p == pytest.approx(1 / (1 + np.exp(-(pooled @ net.out + net.base[0]))), rel=1e-4)
+
+
+def test_very_long_texts(monkeypatch):
+    """64 MB in one text: scored and shingled in bounded stretches; parts change nothing."""
+    g = np.random.default_rng(7)
+    words = np.array([b"%x" % x for x in range(4096)])
+    text = b" ".join(words[g.integers(0, 4096, 15_000_000)].tolist())
+    data = np.frombuffer(text, np.uint8)
+    assert len(data) > 50 << 20
+    net = quality.ByteConvNet()
+    p = net.probabilities(data, np.array([0, len(data)]))
+    assert 0 <= p[0] <= 1
+    shingle = near.Shingler()
+    s = shingle.long_set(data)
+    assert len(s) > 14_000_000 and len(near.Shingler.powers) <= (1 << 20) + 1
+    some = text[:300_000] + b"\t" + b"Q" * 90_000 + b" " + text[300_000:400_000] + b"\n"
+    whole = next(shingle.sets(np.frombuffer(some, np.uint8), np.array([0, len(some)])))
+    for part in (5_000, 1 << 16):
+        monkeypatch.setattr(near, "PART", part)
+        assert np.array_equal(shingle.long_set(np.frombuffer(some, np.uint8)), whole)
+        assert np.array_equal(shingle.long_set(np.frombuffer(b" one  two\n", np.uint8)), shingle(b"ONE two"))
+
+
+def test_long_labelled_texts_are_learned_from_in_pieces(spark):
+    rows = [(k, "x" * 100_000 + f"<{k}>" if k % 2 else None) for k in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    labels = spark.createDataFrame([(k, k % 2) for k in range(40)], "doc_id bigint, quality int")
+    texts, y = quality.labelled_sample(docs, labels, "quality", 50, 50 * 1600)
+    assert len(texts) == len(y) > 20 and {len(t) for t in texts} == {0, 1600}
+    assert all(t.endswith(b">") for t, k in zip(texts, y, strict=True) if k) and all(t == b"" for t, k in zip(texts, y, strict=True) if not k)
+
+
+def test_columns_that_differ_in_case(spark):
+    """A second doc_id or text in another case is a column like any other."""
+    df = spark.createDataFrame([(1, "a b c d e f", "x"), (2, "A b c d e f", "y")], "doc_id bigint, text string, source string")
+    df = df.select("*", F.lit(9).alias("DOC_ID"), F.lit("other").alias("Text"), F.lit("z").alias("SOURCE"))
+    assert [r.component_id for r in near_dedup(df).orderBy("doc_id").collect()] == [1, 1]
+    assert {r.keep_id for r in exact_dedup(df).collect()} == {1, 2}
+    assert mixing.mix(df).count() == 2 and packing.pack_documents(df).count() == 2
+    assert suffix_dedup.suffix_dedup(df).count() == 2 and line_dedup(df).count() == 2
+    assert mixing.mixed_documents(df).count() > 0
 
 
 def test_network_covers_the_whole_text():

@@ -89,6 +89,27 @@ def test_mixing_and_packing(stages):
     assert after.groupBy("sequence_id").agg(F.sum("length").alias("n")).filter("n > 2048").isEmpty()
 
 
+def test_stages_take_anything(spark, sf):
+    """Nulls in every column, empty texts, repeated rows, clashing names and an empty table, at every stage."""
+    rows = [(1, "alpha beta gamma delta epsilon zeta", "en", "a", 5), (1, "alpha beta gamma delta epsilon zeta", "en", "a", 5), (2, None, None, None, None), (None, "", None, "b", 0), (None, None, None, None, None), (3, "word " * 9000, "de", "b", 45000)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    more = docs.withColumns({c: F.lit("clash") for c in ("Score", "predicted", "n_lines", "row", "at", "h", "r", "c0", "MIX_SHARD", "kept", "piece", "row_no", "mark", "key")})
+    for df in (docs, more, more.limit(0)):
+        for name, f in corpus_pipeline.STAGES:
+            out = f(spark, df, sf)
+            n = out.count()
+            if name != "packing":
+                assert out.columns == df.columns
+            if df is not docs and df is not more:
+                assert n == 0
+            elif name == "line_dedup":
+                assert n == 6
+            elif name == "near_dedup":  # the two rows of doc_id 1 are one group; the others are near to nothing
+                assert n == 5
+            elif name == "packing":
+                assert out.select("row_no").distinct().count() == 6
+
+
 def test_run_agrees(stages, spark, sf):
     found = corpus_pipeline.run(spark, sf)
     cols = ["doc_id", "piece", "start", "length", "ids_crc32"]
