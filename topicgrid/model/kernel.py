@@ -1,17 +1,25 @@
-"""The sampling kernel: collapsed Gibbs over one block, in numpy."""
+"""The sampling kernel: collapsed Gibbs over one block, in numpy, token by token or in waves.
+
+A wave is a set of tokens of which no two share a row or a column: the grid's idea once more, inside a block. All tokens of
+a wave are drawn in one step. What they share are the topic totals, which stand still during a wave, as those of other
+blocks do during an epoch.
+"""
 
 from __future__ import annotations
 
 import numpy as np
 
+THIN = 400  # a wave with less than one token in so many that were looked at isn't worth looking for
+LOOK = 16_384  # tokens among which waves are looked for at once
+WIDE = 2048  # tokens drawn in one step
+
 
-def sweep(rows: np.ndarray, cols: np.ndarray, z: np.ndarray, theta: np.ndarray, phi: np.ndarray, totals: np.ndarray, alpha: float, beta: float, size: int, rng: np.random.Generator) -> None:
-    """Resample each token in turn, in place.
+def sweep(rows: np.ndarray, cols: np.ndarray, z: np.ndarray, theta: np.ndarray, phi: np.ndarray, totals: np.ndarray, alpha: float, beta: float, size: int, u: np.ndarray) -> None:
+    """Resample each token in turn, in place; ``u``: a uniform number for each.
 
     ``rows`` and ``cols`` index ``theta`` (documents x K) and ``phi`` (words or stamps x K). A token leaves the
     counts, its topic is drawn with weight (theta + alpha) * (phi + beta) / (totals + size * beta), and it comes back.
     """
-    u = rng.random(len(z))
     scale = size * beta
     for t in range(len(z)):
         d, w, k = theta[rows[t]], phi[cols[t]], z[t]
@@ -27,11 +35,73 @@ def sweep(rows: np.ndarray, cols: np.ndarray, z: np.ndarray, theta: np.ndarray,
         totals[k] += 1
 
 
+def wave_numbers(rows: np.ndarray, cols: np.ndarray) -> np.ndarray:
+    """The wave of each token; -1: none, since those left share few rows or columns that have very many tokens.
+
+    In each round every row offers its first token that is left, and every column takes the first that it is offered. Tokens come in
+    an order shuffled by their number alone, so the same block always gets the same waves.
+    """
+    n = len(rows)
+    wave = np.full(n, -1, np.int32)
+    if not n:
+        return wave
+    order = np.random.default_rng(n).permutation(n)
+    by_row, by_col = np.empty(rows.max() + 1, np.int64), np.empty(cols.max() + 1, np.int64)
+    k = 0
+    for at in range(0, n, LOOK):
+        left = order[at : at + LOOK]
+        while len(left):
+            by_row[rows[left[::-1]]] = left[::-1]  # the last write is the first token
+            offered = left[by_row[rows[left]] == left]
+            by_col[cols[offered[::-1]]] = offered[::-1]
+            taken = offered[by_col[cols[offered]] == offered]
+            if len(taken) * THIN < len(left) or (len(taken) < 4 and len(left) > 4):
+                break
+            wave[taken] = k
+            left = left[wave[left] < 0]
+            k += 1
+    return wave
+
+
+def sweep_waves(rows: np.ndarray, cols: np.ndarray, z: np.ndarray, theta: np.ndarray, phi: np.ndarray, totals: np.ndarray, alpha: float, beta: float, size: int, u: np.ndarray, waves: np.ndarray | None = None) -> None:
+    """The same, wave by wave; tokens without a wave come last, one by one."""
+    waves = wave_numbers(rows, cols) if waves is None else waves
+    order = np.argsort(waves, kind="stable")
+    cuts = np.searchsorted(waves[order], np.arange(0, waves.max(initial=-1) + 2))
+    for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+        for at in range(a, b, WIDE):
+            draw(order[at : min(b, at + WIDE)], rows, cols, z, theta, phi, totals, alpha, beta, size, u)
+    rest = np.sort(order[: cuts[0]])
+    if len(rest):
+        left = z[rest]
+        sweep(rows[rest], cols[rest], left, theta, phi, totals, alpha, beta, size, u[rest])
+        z[rest] = left
+
+
+def draw(some: np.ndarray, rows: np.ndarray, cols: np.ndarray, z: np.ndarray, theta: np.ndarray, phi: np.ndarray, totals: np.ndarray, alpha: float, beta: float, size: int, u: np.ndarray) -> None:
+    """One step: tokens that share no row and no column."""
+    d, w, k = rows[some], cols[some], z[some]
+    each = np.arange(len(some))
+    left, right = theta[d] + alpha, phi[w] + beta
+    left[each, k] -= 1
+    right[each, k] -= 1
+    down = np.broadcast_to(totals + size * beta, left.shape).copy()
+    down[each, k] -= 1
+    left *= right
+    left /= down
+    c = np.cumsum(left, axis=1)
+    new = np.minimum((c <= (u[some] * c[:, -1])[:, None]).sum(axis=1), c.shape[1] - 1)
+    theta[d, k] -= 1
+    phi[w, k] -= 1
+    theta[d, new] += 1
+    phi[w, new] += 1
+    totals += np.bincount(new, minlength=len(totals)) - np.bincount(k, minlength=len(totals))
+    z[some] = new
+
+
+KERNELS = {"loop": sweep, "waves": sweep_waves}
+
+
 def stream(seed: int, iteration: int, phase: int, diag: int, m: int) -> np.random.Generator:
     """Draws that depend on nothing but their place, so a task that runs again repeats them."""
     return np.random.default_rng([seed, iteration, phase, diag, m])
-
-
-def expand(row_id: np.ndarray, col_id: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Cells in the order (row, column) as tokens."""
-    return np.repeat(row_id, n), np.repeat(col_id, n)

@@ -1,61 +1,32 @@
 """The samplers: diagonal (for a plain and for a stamped model), serial, replicating, and one frozen sweep.
 
-State is one frame, a row for each thing that a block task needs: ``kind`` "z" (a cell's topics), "t" (a document's
-counts), "p" (a word's counts); stamps have kinds "y" and "q". A task of epoch l gets the rows of document group m
-and of column group (m + l) mod P, and no other task of that epoch has any of them. Rows are placed with
-``repartitionById``, anew before every epoch, since reading back forgets a placement. Every epoch is written to the
-shared folder: a lost executor costs one epoch at most, and a task that runs again draws the same numbers.
+The state lies on shared storage in parts: the cells of each diagonal apart ("z" words, "y" stamps), the counts of documents
+("t"), words ("p") and stamps ("q"). Epoch l reads and rewrites the cells of diagonal l and the counts, no other cells, so an
+iteration writes each token once whatever P is. A task of epoch l gets the rows of document group m and of column group
+(m + l) mod P, and no other task of that epoch has any of them. Rows are placed with ``repartitionById``, anew before every
+epoch, since reading back forgets a placement. A lost executor costs one epoch at most, and a task that runs again draws
+the same numbers.
 """
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
+import base64
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from topicgrid.model.counts import init_topics, model_perplexity, topic_counts
-from topicgrid.model.kernel import stream, sweep
+from topicgrid.model.kernel import KERNELS, stream
+from topicgrid.sources.shared import located, remove, shared_folder
 
-STATE = "kind string, g int, h int, a bigint, b bigint, v array<bigint>"
-
-
-def shared_folder(spark: SparkSession, name: str) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not root:
-        root = "file://" + tempfile.mkdtemp(prefix="topicgrid-")
-    path = f"{root.rstrip('/')}/topicgrid-{name}-{uuid.uuid4().hex}"
-    atexit.register(remove, spark, path)
-    return path
-
-
-def remove(spark: SparkSession, path: str) -> None:
-    jvm, jsc = spark.sparkContext._jvm, spark.sparkContext._jsc
-    if jvm is None or jsc is None:
-        return
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(jsc.hadoopConfiguration()).delete(where, True)
-
-
-class Store:
-    """Generations of the state on shared storage; the one before last is removed."""
-
-    def __init__(self, spark: SparkSession, name: str):
-        self.spark, self.root, self.k = spark, shared_folder(spark, name), 0
-
-    def put(self, df: DataFrame) -> DataFrame:
-        self.k += 1
-        path = f"{self.root}/{self.k}"
-        df.write.parquet(path)
-        if self.k > 2:
-            remove(self.spark, f"{self.root}/{self.k - 2}")
-        return self.spark.read.schema(df.schema).parquet(path)
+STATE = "kind string, g int, h int, a bigint, b bigint, v array<int>"
+ROW = "g int, h int, a bigint, b bigint, v array<int>"
+LAYOUTS = ("independent", "shared_rows", "merged")
 
 
 @dataclass(frozen=True)
@@ -70,80 +41,275 @@ class Priors:
 
 @dataclass
 class Fit:
-    """What a sampler leaves: theta counts, phi counts, pi counts (or none), perplexity by iteration, and matrices of totals."""
+    """What a sampler leaves: theta counts, phi counts, pi counts (or none), perplexity by iteration, and all cells (kind, row_id, col_id, z)."""
 
     theta: DataFrame
     phi: DataFrame
     pi: DataFrame | None
     history: list[float]
-    state: DataFrame
+    cells: DataFrame
 
 
-def _tokens(groups_r: DataFrame, groups_c: DataFrame, matrix: DataFrame, kind: str, topics: int, seed: int) -> DataFrame:
+@dataclass(frozen=True)
+class Part:
+    """One matrix of the model: its cells, its columns, its prior, how many columns it has and which phase its draws are of."""
+
+    cell: str
+    col: str
+    prior: float
+    size: int
+    phase: int
+
+
+@dataclass
+class GridStore:
+    """The parts of the state as folders; what an epoch has replaced is removed."""
+
+    spark: SparkSession
+    root: str
+    groups: int
+    topics: int
+    cells: dict[tuple[str, int], str] = field(default_factory=dict)
+    counts: dict[str, str] = field(default_factory=dict)
+    totals: dict[str, np.ndarray] = field(default_factory=dict)
+    epochs: int = 0
+
+    def exists(self, path: str) -> bool:
+        fs, where = located(self.spark, path)
+        return fs.exists(where)
+
+    def read(self, kind: str, path: str | None) -> DataFrame:
+        df = self.spark.read.schema(ROW).parquet(path) if path else self.spark.createDataFrame([], ROW)
+        return df.select(F.lit(kind).alias("kind"), "g", "h", "a", "b", "v")
+
+    def diagonal(self, kind: str, diag: int) -> DataFrame:
+        return self.read(kind, self.cells.get((kind, diag)))
+
+    def all_cells(self, kind: str) -> DataFrame:
+        out = None
+        for (k, _), path in sorted(self.cells.items()):
+            if k == kind:
+                out = self.read(kind, path) if out is None else out.unionByName(self.read(kind, path))
+        return self.read(kind, None) if out is None else out
+
+    def lay_out(self, cells: DataFrame, kind: str) -> None:
+        """Cells by diagonal, a file for each document group."""
+        path = f"{self.root}/layout-{kind}"
+        placed = cells.withColumn("diag", F.pmod(F.col("h") - F.col("g"), F.lit(self.groups)).cast("int")).select("g", "h", "a", "b", "v", "diag")
+        placed.repartitionById(self.groups, F.col("g")).write.partitionBy("diag").parquet(path)
+        for d in range(self.groups):
+            if self.exists(f"{path}/diag={d}"):
+                self.cells[kind, d] = f"{path}/diag={d}"
+
+    def put_counts(self, kind: str, df: DataFrame) -> None:
+        path = f"{self.root}/first-{kind}"
+        df.select("g", "h", "a", "b", "v").write.parquet(path)
+        self.counts[kind] = path
+
+    def close(self, done: DataFrame, diag: int, parts: tuple[Part, ...], kinds: tuple[str, ...]) -> None:
+        """Write an epoch, point to what it made, add up the tasks' changes of the topic totals, and drop what it replaced."""
+        self.epochs += 1
+        path = f"{self.root}/epoch-{self.epochs}"
+        done.write.partitionBy("kind").parquet(path)
+        old = []
+        for part in parts:
+            if (part.cell, diag) in self.cells:
+                old.append(self.cells[part.cell, diag])
+                self.cells[part.cell, diag] = f"{path}/kind={part.cell}"
+            change = f"{path}/kind=total-{part.cell}"
+            if self.exists(change):
+                for r in self.spark.read.schema(ROW).parquet(change).collect():  # a row of K numbers a task
+                    self.totals[part.cell] = self.totals[part.cell] + np.array(r.v)
+        for kind in kinds:
+            if self.exists(f"{path}/kind={kind}"):
+                old.append(self.counts[kind])
+                self.counts[kind] = f"{path}/kind={kind}"
+        for x in old:
+            remove(self.spark, x)
+
+
+def place_cells(matrix: DataFrame, row_groups: DataFrame, col_groups: DataFrame, kind: str, topics: int, seed: int) -> DataFrame:
     """Cells with their groups and first topics."""
     cells = init_topics(matrix.select("row_id", "col_id", "n"), topics, seed, "word" if kind == "z" else "stamp")
-    rows = groups_r.select(F.col("id").alias("row_id"), F.col("grp").alias("g"))
-    cols = groups_c.select(F.col("id").alias("col_id"), F.col("grp").alias("h"))
-    return cells.join(rows, "row_id").join(cols, "col_id").select(F.lit(kind).alias("kind"), "g", "h", F.col("row_id").alias("a"), F.col("col_id").alias("b"), F.transform("z", lambda k: k.cast("bigint")).alias("v"))
+    rows = row_groups.select(F.col("id").alias("row_id"), F.col("grp").alias("g"))
+    cols = col_groups.select(F.col("id").alias("col_id"), F.col("grp").alias("h"))
+    return cells.join(rows, "row_id").join(cols, "col_id").select(F.lit(kind).alias("kind"), "g", "h", F.col("row_id").alias("a"), F.col("col_id").alias("b"), F.col("z").alias("v"))
 
 
 def _counts(cells: DataFrame, axis: str, kind: str, topics: int) -> DataFrame:
     id_, grp = ("a", "g") if axis == "row" else ("b", "h")
-    c = topic_counts(cells.select(F.col(id_).alias("id"), F.transform("v", lambda k: k.cast("int")).alias("z")), "id", topics)
+    c = topic_counts(cells.select(F.col(id_).alias("id"), F.col("v").alias("z")), "id", topics)
     where = cells.select(F.col(id_).alias("id"), F.col(grp).alias("g")).distinct()
-    return c.join(where, "id").select(F.lit(kind).alias("kind"), "g", F.lit(0).alias("h"), F.col("id").alias("a"), F.lit(0).cast("bigint").alias("b"), F.col("c").alias("v"))
+    return c.join(where, "id").select(F.lit(kind).alias("kind"), "g", F.lit(0).alias("h"), F.col("id").alias("a"), F.lit(0).cast("bigint").alias("b"), F.transform("c", lambda x: x.cast("int")).alias("v"))
 
 
-def _totals(state: DataFrame, kind: str, topics: int) -> np.ndarray:
-    row = state.filter(F.col("kind") == kind).agg(*(F.sum(F.element_at("v", k + 1)).alias(f"c{k}") for k in range(topics))).first()
-    return np.array([int(x or 0) for x in row], np.int64)
+def dense(column: pa.ChunkedArray, width: int) -> np.ndarray:
+    return column.combine_chunks().flatten().to_numpy().astype(np.int64).reshape(-1, width)
 
 
-def _epoch(state: DataFrame, groups: int, diag: int, cell: str, col: str, totals: np.ndarray, priors: Priors, prior: float, size: int, seed: int, iteration: int, phase: int, row_group: str) -> DataFrame:
-    """One epoch over one matrix: cells ``cell`` of the diagonal, documents "t" and columns ``col`` in, the same out.
+def lookup(ids: np.ndarray, wanted: np.ndarray) -> np.ndarray:
+    """Where each wanted id is among ``ids``, which has each once."""
+    order = np.argsort(ids)
+    return order[np.searchsorted(ids, wanted, sorter=order)]
 
-    ``row_group``: where document rows keep their group for this matrix: in g, or, with independent partitions, in h.
-    """
-    k_topics, alpha = priors.topics, priors.alpha
-    sent = state.sparkSession.sparkContext.broadcast(totals)
-    in_cells = (F.col("kind") == cell) & (F.pmod(F.col("h") - F.col("g"), F.lit(groups)) == diag)
-    doc_group = F.col("g") if row_group == "g" else F.col("h")
-    place = F.when(F.col("kind") == "t", doc_group).when(F.col("kind") == col, F.pmod(F.col("g") - diag, F.lit(groups))).otherwise(F.col("g"))
-    taken = state.filter(in_cells | (F.col("kind") == "t") | (F.col("kind") == col)).withColumn("task", place.cast("int"))
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        whole = [b for b in batches if len(b)]
-        if not whole:
-            return
-        df = pd.concat(whole, ignore_index=True)
-        assert df["task"].nunique() == 1, "a task got the blocks of two groups"
-        m = int(df["task"].iloc[0])
-        cells = df[df.kind == cell].sort_values(["a", "b"], kind="stable")
-        docs, cols = df[df.kind == "t"], df[df.kind == col]
-        if len(cells):
-            th, ph = np.array(docs["v"].tolist(), np.int64), np.array(cols["v"].tolist(), np.int64)
-            at_d = pd.Index(docs["a"]).get_indexer(cells["a"])
-            at_c = pd.Index(cols["a"]).get_indexer(cells["b"])
-            n = cells["v"].map(len).to_numpy()
-            z = np.concatenate(cells["v"].tolist()).astype(np.int64)
-            own = sent.value.copy()
-            sweep(np.repeat(at_d, n), np.repeat(at_c, n), z, th, ph, own, alpha, prior, size, stream(seed, iteration, phase, diag, m))
-            cells = cells.assign(v=np.split(z, np.cumsum(n)[:-1]))
-            docs, cols = docs.assign(v=list(th)), cols.assign(v=list(ph))
-        yield pd.concat([cells, docs, cols])[["kind", "g", "h", "a", "b", "v"]]
 
-    assert k_topics == len(totals)
-    done = taken.repartitionById(groups, F.col("task")).mapInPandas(run, STATE)
-    rest = state.filter(~(in_cells | (F.col("kind") == "t") | (F.col("kind") == col)))
-    return done.unionByName(rest)
+def lists(values: np.ndarray, lengths: np.ndarray | int) -> pa.Array:
+    values = values.ravel()
+    ends = np.arange(0, len(values) + 1, lengths) if isinstance(lengths, int) else np.concatenate([[0], np.cumsum(lengths)])
+    return pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(values.astype(np.int32)))
 
 
-def _as_counts(state: DataFrame, kind: str, name: str) -> DataFrame:
-    return state.filter(F.col("kind") == kind).select(F.col("a").alias(name), F.col("v").alias("c"))
+def _with(table: pa.Table, values: pa.Array) -> pa.Table:
+    return table.set_column(table.schema.get_field_index("v"), "v", values)
 
 
-def _finish(state: DataFrame, history: list[float], stamped: bool) -> Fit:
-    return Fit(_as_counts(state, "t", "row_id"), _as_counts(state, "p", "col_id"), _as_counts(state, "q", "col_id") if stamped else None, history, state)
+class Block:
+    """What a task has of its epoch: counts of documents and, for each part, its cells and the counts of its columns."""
+
+    def __init__(self, docs: pa.Table, topics: int):
+        self.docs, self.topics = docs, topics
+        self.ids = docs.column("a").to_numpy()
+        self.theta = dense(docs.column("v"), topics) if len(docs) else np.zeros((0, topics), np.int64)
+
+    def resample(self, cells: pa.Table, cols: pa.Table, totals: np.ndarray, part: Part, alpha: float, kernel: str, rng: np.random.Generator) -> tuple[pa.Table, pa.Table, np.ndarray]:
+        """Cells and columns as they are after one sweep, and the change of the topic totals."""
+        cells = cells.sort_by([("a", "ascending"), ("b", "ascending")]).combine_chunks()
+        phi, own = dense(cols.column("v"), self.topics), totals.copy()
+        n = pc.list_value_length(cells.column("v").combine_chunks()).to_numpy()
+        rows = np.repeat(lookup(self.ids, cells.column("a").to_numpy()), n)
+        at = np.repeat(lookup(cols.column("a").to_numpy(), cells.column("b").to_numpy()), n)
+        z = cells.column("v").combine_chunks().flatten().to_numpy().astype(np.int64)
+        KERNELS[kernel](rows, at, z, self.theta, phi, own, alpha, part.prior, part.size, rng.random(len(z)))
+        return _with(cells, lists(z, n)), _with(cols, lists(phi, self.topics)), own - totals
+
+    def documents(self) -> pa.Table:
+        return _with(self.docs, lists(self.theta, self.topics)) if len(self.docs) else self.docs
+
+
+def _of(table: pa.Table, kind: str) -> pa.Table:
+    return table.filter(pc.equal(table.column("kind"), kind))
+
+
+def _whole(batches: Iterator[pa.RecordBatch]) -> pa.Table | None:
+    some = [b for b in batches if b.num_rows]
+    return pa.Table.from_batches(some) if some else None
+
+
+COLUMNS = ["kind", "g", "h", "a", "b", "v"]
+ARROW_STATE = pa.schema([("kind", pa.string()), ("g", pa.int32()), ("h", pa.int32()), ("a", pa.int64()), ("b", pa.int64()), ("v", pa.list_(pa.int32()))])
+
+
+def _batches(*tables: pa.Table) -> Iterator[pa.RecordBatch]:
+    for table in tables:
+        yield from table.cast(ARROW_STATE).combine_chunks().to_batches()
+
+
+def _epoch(store: GridStore, diag: int, parts: tuple[Part, ...], priors: Priors, seed: int, iteration: int, row_group: str, kernel: str) -> None:
+    """One epoch: the cells of the diagonal of each part, documents "t" and the parts' columns in, the same out.
+
+    ``row_group``: where document rows keep their group for these parts: in g, or, with independent partitions, in h.
+    """
+    groups, topics, alpha = store.groups, store.topics, priors.alpha
+    sent = store.spark.sparkContext.broadcast({p.cell: store.totals[p.cell] for p in parts})
+    frames = [store.read("t", store.counts["t"]).withColumn("task", F.col(row_group))]
+    for p in parts:
+        frames.append(store.diagonal(p.cell, diag).withColumn("task", F.col("g")))
+        frames.append(store.read(p.col, store.counts[p.col]).withColumn("task", F.pmod(F.col("g") - diag, F.lit(groups)).cast("int")))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        whole = _whole(batches)
+        if whole is None:
+            return
+        m = pc.unique(whole.column("task")).to_pylist()
+        assert len(m) == 1, "a task got the blocks of two groups"
+        whole = whole.select(COLUMNS)
+        block, out = Block(_of(whole, "t"), topics), []
+        for p in parts:
+            cells, cols = _of(whole, p.cell), _of(whole, p.col)
+            if len(cells):
+                cells, cols, change = block.resample(cells, cols, sent.value[p.cell], p, alpha, kernel, stream(seed, iteration, p.phase, diag, m[0]))
+                one = {"kind": [f"total-{p.cell}"], "g": [m[0]], "h": [0], "a": [0], "b": [0], "v": [change.tolist()]}
+                out.append(pa.table(one, schema=ARROW_STATE))
+            out += [cells, cols]
+        yield from _batches(block.documents(), *out)
+
+    done = _union(frames).repartitionById(groups, F.col("task")).mapInArrow(run, STATE)
+    store.close(done, diag, parts, ("t", *(p.col for p in parts)))
+
+
+def _ring(store: GridStore, phases: list[tuple[tuple[Part, ...], str]], priors: Priors, seed: int, iteration: int, kernel: str) -> None:
+    """A whole iteration in one barrier stage: tasks keep their documents and cells, slabs of columns go round.
+
+    Slabs pass through the shared folder, changes of topic totals through the barrier. All P tasks must run at once, and document
+    groups must be the same for all parts.
+    """
+    groups, topics = store.groups, store.topics
+    if store.spark.sparkContext.defaultParallelism < groups:
+        raise ValueError(f"a ring of {groups} needs as many slots, there are {store.spark.sparkContext.defaultParallelism}")
+    parts = tuple(p for some, _ in phases for p in some)
+    sent = store.spark.sparkContext.broadcast({p.cell: store.totals[p.cell] for p in parts})
+    frames = [store.read("t", store.counts["t"])]
+    for p in parts:
+        frames += [store.all_cells(p.cell), store.read(p.col, store.counts[p.col])]
+    folder = f"{store.root}/ring-{iteration}"
+    fs, where = located(store.spark, folder)
+    fs.mkdirs(where)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyarrow import feather
+        from pyarrow.fs import FileSystem
+        from pyspark import BarrierTaskContext
+
+        context = BarrierTaskContext.get()
+        m = context.partitionId()
+        files, root = FileSystem.from_uri(folder)
+        whole = _whole(batches)
+        whole = (whole if whole is not None else pa.table({c: [] for c in COLUMNS}, schema=ARROW_STATE)).select(COLUMNS).cast(ARROW_STATE)
+        block, totals = Block(_of(whole, "t"), topics), {c: t.copy() for c, t in sent.value.items()}
+        cells, slab = {p.cell: _of(whole, p.cell) for p in parts}, {p.col: _of(whole, p.col) for p in parts}
+        for diag in range(groups):
+            n = (m + diag) % groups
+            for some, _ in phases:
+                changes = {}
+                for p in some:
+                    here = pc.equal(cells[p.cell].column("h"), n)
+                    mine, others = cells[p.cell].filter(here), cells[p.cell].filter(pc.invert(here))
+                    if len(mine):
+                        mine, slab[p.col], changes[p.cell] = block.resample(mine, slab[p.col], totals[p.cell], p, priors.alpha, kernel, stream(seed, iteration, p.phase, diag, m))
+                        cells[p.cell] = pa.concat_tables([mine, others])
+                raw = b"".join(changes.get(p.cell, np.zeros(topics, np.int64)).tobytes() for p in some)
+                for other in context.allGather(base64.b64encode(raw).decode()):
+                    for p, change in zip(some, np.frombuffer(base64.b64decode(other), np.int64).reshape(len(some), topics), strict=True):
+                        totals[p.cell] += change
+            for p in parts:
+                with files.open_output_stream(f"{root}/{diag}-{p.col}-{n}") as f:
+                    feather.write_feather(slab[p.col], f, compression="zstd")
+            context.barrier()
+            for p in parts:
+                with files.open_input_file(f"{root}/{diag}-{p.col}-{(n + 1) % groups}") as f:
+                    slab[p.col] = feather.read_table(f).cast(ARROW_STATE)
+        if m == 0:
+            end = {"kind": [f"total-{p.cell}" for p in parts], "g": [0] * len(parts), "h": [0] * len(parts), "a": [0] * len(parts), "b": [0] * len(parts), "v": [(totals[p.cell] - sent.value[p.cell]).tolist() for p in parts]}
+            yield from _batches(pa.table(end, schema=ARROW_STATE))
+        yield from _batches(block.documents(), *cells.values(), *slab.values())
+
+    # slab n starts with task n, which also keeps document group n
+    done = _union(frames).withColumn("task", F.col("g")).repartitionById(groups, F.col("task")).mapInArrow(run, STATE, barrier=True)
+    store.epochs += 1
+    path = f"{store.root}/epoch-{store.epochs}"
+    marked = done.withColumn("diag", F.when(F.col("kind").isin([p.cell for p in parts]), F.pmod(F.col("h") - F.col("g"), F.lit(groups))).otherwise(0))
+    marked.write.partitionBy("kind", "diag").parquet(path)
+    old = {*store.cells.values(), *store.counts.values()}
+    for key in list(store.cells):
+        if key[0] in [p.cell for p in parts]:
+            store.cells[key] = f"{path}/kind={key[0]}/diag={key[1]}"
+    for kind in ("t", *(p.col for p in parts)):
+        store.counts[kind] = f"{path}/kind={kind}/diag=0"
+    for p in parts:
+        for r in store.spark.read.schema(ROW).parquet(f"{path}/kind=total-{p.cell}/diag=0").collect():
+            store.totals[p.cell] = store.totals[p.cell] + np.array(r.v)
+    for x in (*old, folder):
+        remove(store.spark, x)
 
 
 def converged(history: list[float], tolerance: float) -> bool:
@@ -151,53 +317,107 @@ def converged(history: list[float], tolerance: float) -> bool:
     return len(history) > 1 and abs(history[-1] - history[-2]) < tolerance * history[-2]
 
 
-def fit_diagonal(matrix: DataFrame, row_groups: DataFrame, col_groups: DataFrame, groups: int, priors: Priors, iterations: int = 200, seed: int = 7, tolerance: float = 0.0, track: bool = True) -> Fit:
-    """Plain model: P epochs an iteration, the P blocks of an epoch in parallel on one copy of the counts."""
-    return _fit(matrix, None, (row_groups, col_groups), None, groups, priors, iterations, seed, tolerance, track, "shared_rows")
+def fit_diagonal(matrix: DataFrame, row_groups: DataFrame, col_groups: DataFrame, groups: int, priors: Priors, iterations: int = 200, seed: int = 7, tolerance: float = 0.0, track: bool = True, execution: str = "staged", kernel: str = "waves") -> Fit:
+    """Plain model: P epochs an iteration, the P blocks of an epoch in parallel on one copy of the counts.
+
+    ``execution``: "staged" runs a job an epoch; "ring" an iteration in one barrier stage of P tasks. Both draw the same. ``kernel``:
+    "waves" draws tokens that share no row or column in one step, "loop" one token at a time.
+    """
+    return fit_parts(matrix, None, (row_groups, col_groups), None, groups, priors, iterations, seed, tolerance, track, "shared_rows", execution, kernel)
 
 
-def fit_diagonal_stamped(matrix: DataFrame, stamps: DataFrame, parts, stamp_parts, groups: int, priors: Priors, iterations: int = 200, seed: int = 7, layout: str = "independent", tolerance: float = 0.0, track: bool = True) -> Fit:
+def fit_diagonal_stamped(matrix: DataFrame, stamps: DataFrame, parts, stamp_parts, groups: int, priors: Priors, iterations: int = 200, seed: int = 7, layout: str = "independent", tolerance: float = 0.0, track: bool = True, execution: str = "staged", kernel: str = "waves") -> Fit:
     """Stamped model: in each epoch a diagonal of words, then the same diagonal of stamps.
 
     ``layout``: "independent" has row groups of their own for the stamps, so documents change task between the two
-    phases; "shared_rows" uses the words' row groups for both; "merged" cuts words and
-    stamps as one matrix, but shares only that partition: an epoch is still two phases, words and then stamps.
+    phases; "shared_rows" uses the words' row groups for both; "merged" cuts words and stamps as one matrix and draws
+    both in one phase an epoch, each with its own prior and totals (``parts`` and ``stamp_parts`` aren't read).
     """
-    return _fit(matrix, stamps, parts, stamp_parts, groups, priors, iterations, seed, tolerance, track, layout)
+    return fit_parts(matrix, stamps, parts, stamp_parts, groups, priors, iterations, seed, tolerance, track, layout, execution, kernel)
 
 
-def _fit(matrix, stamps, parts, stamp_parts, groups, priors, iterations, seed, tolerance, track, layout) -> Fit:
-    spark, k = matrix.sparkSession, priors.topics
-    if layout not in ("independent", "shared_rows", "merged"):
-        raise ValueError("layout is independent, shared_rows or merged")
-    if layout == "merged":
-        return _fit_merged(matrix, stamps, groups, priors, iterations, seed, tolerance, track)
-    store = Store(spark, "sampler")
-    words = Store(spark, "cells").put(_tokens(*parts, matrix, "z", k, seed))
-    frames = [words, _counts(words, "col", "p", k)]
-    docs = _counts(words, "row", "t", k)
+def fit_parts(matrix, stamps, parts, stamp_parts, groups, priors, iterations, seed, tolerance, track, layout, execution, kernel) -> Fit:
+    if layout not in LAYOUTS or kernel not in KERNELS or execution not in ("staged", "ring"):
+        raise ValueError(f"layout is one of {LAYOUTS}, kernel of {tuple(KERNELS)}, execution staged or ring")
+    if execution == "ring" and stamps is not None and layout == "independent":
+        raise ValueError("a ring keeps documents in place: lay out with shared rows, or merged")
+    store = open_store(matrix, stamps, parts, stamp_parts, groups, priors, seed, layout)
+    spec = [Part("z", "p", priors.beta, _rows(store, "p"), 0)]
     if stamps is not None:
-        r = parts[0] if layout == "shared_rows" else stamp_parts[0]
-        slots = Store(spark, "slots").put(_tokens(r, stamp_parts[1], stamps, "y", k, seed))
-        frames += [slots, _counts(slots, "col", "q", k)]
-        # a document counts its words and its stamps; its group among the stamps goes to h
-        both = docs.select("a", F.col("g"), "v").join(_counts(slots, "row", "t", k).select("a", F.col("g").alias("h"), F.col("v").alias("w")), "a", "full")
-        empty = F.array_repeat(F.lit(0).cast("bigint"), k)
-        docs = both.select(F.lit("t").alias("kind"), F.coalesce("g", F.pmod("a", F.lit(groups)).cast("int")).alias("g"), F.coalesce("h", F.pmod("a", F.lit(groups)).cast("int")).alias("h"), "a", F.lit(0).cast("bigint").alias("b"), F.zip_with(F.coalesce("v", empty), F.coalesce("w", empty), lambda x, y: x + y).alias("v"))
-    state = store.put(_union([*frames, docs]))
-    n_words = state.filter("kind = 'p'").count()
-    n_stamps = state.filter("kind = 'q'").count() if stamps is not None else 0
-    history = [_perplexity(matrix, state, priors)] if track else []
+        spec.append(Part("y", "q", priors.gamma, _rows(store, "q"), 1))
+    phases = [(tuple(spec), "g")] if layout == "merged" else [((p,), "h" if p.cell == "y" else "g") for p in spec]
+    history = [_perplexity(matrix, store, priors)] if track else []
     for it in range(iterations):
-        for diag in range(groups):
-            state = store.put(_epoch(state, groups, diag, "z", "p", _totals(state, "p", k), priors, priors.beta, n_words, seed, it, 0, "g"))
-            if stamps is not None:
-                state = store.put(_epoch(state, groups, diag, "y", "q", _totals(state, "q", k), priors, priors.gamma, n_stamps, seed, it, 1, "g" if layout == "shared_rows" else "h"))
+        if execution == "ring":
+            _ring(store, phases, priors, seed, it, kernel)
+        else:
+            for diag in range(groups):
+                for some, row_group in phases:
+                    if any((p.cell, diag) in store.cells for p in some):
+                        _epoch(store, diag, some, priors, seed, it, row_group, kernel)
         if track:
-            history.append(_perplexity(matrix, state, priors))
+            history.append(_perplexity(matrix, store, priors))
             if tolerance and converged(history, tolerance):
                 break
-    return _finish(state, history, stamps is not None)
+    return finished(store, history, stamps is not None)
+
+
+def merged_parts(matrix: DataFrame, stamps: DataFrame, groups: int, method: str = "interleave"):
+    """Row groups, and column groups of words and of stamps, from one partition of words and stamps as one matrix."""
+    from topicgrid.operators.trials import partition
+    from topicgrid.operators.workload import merged_workload
+
+    high = matrix.agg(F.max("col_id").alias("m")).first().m or 0
+    low = stamps.agg(F.min("col_id").alias("m")).first().m or 0
+    shift = high - min(low, 0) + 1
+    both = merged_workload(matrix.select("row_id", "col_id", "n"), stamps.select("row_id", "col_id", "n"), shift)
+    p = partition(both.select("row_id", "col_id", "n"), method, groups)
+    stamp_cols = p.cols.filter(F.col("id") >= shift + low).withColumn("id", F.col("id") - shift)
+    return p.rows, p.cols.filter(F.col("id") < shift + low), stamp_cols
+
+
+def open_store(matrix, stamps, parts, stamp_parts, groups: int, priors: Priors, seed: int, layout: str) -> GridStore:
+    """The state laid out, with first topics, counts and totals."""
+    spark, k = matrix.sparkSession, priors.topics
+    store = GridStore(spark, shared_folder(spark, "sampler"), groups, k)
+    if layout == "merged" and stamps is not None:
+        rows, word_cols, stamp_cols = merged_parts(matrix, stamps, groups)
+        parts, stamp_parts = (rows, word_cols), (rows, stamp_cols)
+    store.lay_out(place_cells(matrix, *parts, "z", k, seed), "z")
+    words = store.all_cells("z")
+    store.put_counts("p", _counts(words, "col", "p", k))
+    docs = _counts(words, "row", "t", k).withColumn("h", F.col("g"))
+    if stamps is not None:
+        r = stamp_parts[0] if layout == "independent" else parts[0]
+        store.lay_out(place_cells(stamps, r, stamp_parts[1], "y", k, seed), "y")
+        slots = store.all_cells("y")
+        store.put_counts("q", _counts(slots, "col", "q", k))
+        # a document counts its words and its stamps; its group among the stamps goes to h
+        both = docs.select("a", "g", "v").join(_counts(slots, "row", "t", k).select("a", F.col("g").alias("h"), F.col("v").alias("w")), "a", "full")
+        empty = F.array_repeat(F.lit(0), k)
+        other = F.pmod("a", F.lit(groups)).cast("int") if layout == "independent" else None
+        g, h = (F.coalesce("g", other), F.coalesce("h", other)) if layout == "independent" else (F.coalesce("g", "h"), F.coalesce("g", "h"))
+        docs = both.select(g.alias("g"), h.alias("h"), "a", F.lit(0).cast("bigint").alias("b"), F.zip_with(F.coalesce("v", empty), F.coalesce("w", empty), lambda x, y: x + y).alias("v"))
+    store.put_counts("t", docs)
+    for cell, col in (("z", "p"), ("y", "q")):
+        if col in store.counts:
+            sums = store.read(col, store.counts[col]).agg(*(F.sum(F.get("v", F.lit(i))).alias(f"c{i}") for i in range(k))).first()
+            store.totals[cell] = np.array([int(x or 0) for x in sums], np.int64)
+    return store
+
+
+def _rows(store: GridStore, kind: str) -> int:
+    return store.read(kind, store.counts[kind]).count()
+
+
+def _as_counts(store: GridStore, kind: str, name: str) -> DataFrame:
+    return store.read(kind, store.counts[kind]).select(F.col("a").alias(name), F.transform("v", lambda x: x.cast("bigint")).alias("c"))
+
+
+def finished(store: GridStore, history: list[float], stamped: bool) -> Fit:
+    cells = store.all_cells("z").unionByName(store.all_cells("y")) if stamped else store.all_cells("z")
+    cells = cells.select("kind", F.col("a").alias("row_id"), F.col("b").alias("col_id"), F.col("v").alias("z"))
+    return Fit(_as_counts(store, "t", "row_id"), _as_counts(store, "p", "col_id"), _as_counts(store, "q", "col_id") if stamped else None, history, cells)
 
 
 def _union(frames: list[DataFrame]) -> DataFrame:
@@ -207,81 +427,73 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
-def _perplexity(matrix: DataFrame, state: DataFrame, priors: Priors) -> float:
-    row = model_perplexity(matrix.select("row_id", "col_id", "n"), _as_counts(state, "t", "row_id"), _as_counts(state, "p", "col_id"), priors.topics, priors.alpha, priors.beta).first()
+def _perplexity(matrix: DataFrame, store: GridStore, priors: Priors) -> float:
+    row = model_perplexity(matrix.select("row_id", "col_id", "n"), _as_counts(store, "t", "row_id"), _as_counts(store, "p", "col_id"), priors.topics, priors.alpha, priors.beta).first()
     return float(row.perplexity)
 
 
-def fit_serial(matrix: DataFrame, priors: Priors, iterations: int = 200, seed: int = 7, tolerance: float = 0.0, track: bool = True) -> Fit:
-    """The baseline without parallelism: the diagonal sampler with one group. For small corpora."""
-    one = [matrix.select(F.col(f"{axis}_id").alias("id"), F.lit(0).alias("grp")).distinct() for axis in ("row", "col")]
-    return fit_diagonal(matrix, *one, 1, priors, iterations, seed, tolerance, track)
+def one_group(matrix: DataFrame) -> tuple[DataFrame, DataFrame]:
+    return tuple(matrix.select(F.col(f"{axis}_id").alias("id"), F.lit(0).alias("grp")).distinct() for axis in ("row", "col"))
 
 
-def fit_serial_stamped(matrix: DataFrame, stamps: DataFrame, priors: Priors, iterations: int = 200, seed: int = 7, tolerance: float = 0.0, track: bool = True) -> Fit:
-    """The stamped model without parallelism: all words, then all stamps, in each iteration."""
-    one = lambda m: tuple(m.select(F.col(f"{axis}_id").alias("id"), F.lit(0).alias("grp")).distinct() for axis in ("row", "col"))
-    return fit_diagonal_stamped(matrix, stamps, one(matrix), one(stamps), 1, priors, iterations, seed, "independent", tolerance, track)
+def fit_serial(matrix: DataFrame, priors: Priors, iterations: int = 200, seed: int = 7, tolerance: float = 0.0, track: bool = True, kernel: str = "loop") -> Fit:
+    """The baseline without parallelism: one block, token by token. For small corpora."""
+    return fit_diagonal(matrix, *one_group(matrix), 1, priors, iterations, seed, tolerance, track, kernel=kernel)
 
 
-def _fit_merged(matrix, stamps, groups, priors, iterations, seed, tolerance, track) -> Fit:
-    """Words and stamps cut as one matrix, then drawn as two, words first, in two phases an epoch; each kind keeps its own prior and totals."""
-    from topicgrid.operators.trials import partition
-    from topicgrid.operators.workload import merged_workload
-
-    shift = matrix.agg(F.max("col_id").alias("m")).first().m
-    low = stamps.agg(F.min("col_id").alias("m")).first().m
-    both = merged_workload(matrix.select("row_id", "col_id", "n"), stamps.select("row_id", "col_id", "n"), shift - min(low, 0) + 1)
-    p = partition(both.select("row_id", "col_id", "n"), "interleave", groups)
-    edge = shift - min(low, 0) + 1 + low
-    words, times = both.filter(F.col("col_id") < edge), both.filter(F.col("col_id") >= edge)
-    fit = _fit(words, times, (p.rows, p.cols), (p.rows, p.cols), groups, priors, iterations, seed, tolerance, track, "shared_rows")
-    pi = fit.pi.select((F.col("col_id") - (edge - low)).alias("col_id"), "c")
-    return Fit(fit.theta, fit.phi, pi, fit.history, fit.state)
+def fit_serial_stamped(matrix: DataFrame, stamps: DataFrame, priors: Priors, iterations: int = 200, seed: int = 7, tolerance: float = 0.0, track: bool = True, kernel: str = "loop") -> Fit:
+    """The stamped model without parallelism: all words, then all stamps, in each iteration."""
+    return fit_diagonal_stamped(matrix, stamps, one_group(matrix), one_group(stamps), 1, priors, iterations, seed, "independent", tolerance, track, kernel=kernel)
 
 
-def fit_replica(matrix: DataFrame, row_groups: DataFrame, groups: int, priors: Priors, iterations: int = 200, seed: int = 7, track: bool = True) -> Fit:
+def fit_replica(matrix: DataFrame, row_groups: DataFrame, groups: int, priors: Priors, iterations: int = 200, seed: int = 7, track: bool = True, kernel: str = "waves") -> Fit:
     """The copy-and-merge baseline: documents are cut, every process has its own copy of all topic-word counts, and the
     changes of all copies are added up after each iteration. Memory for counts grows with P."""
     spark, k = matrix.sparkSession, priors.topics
     cols = matrix.select(F.col("col_id").alias("id"), F.lit(0).alias("grp")).distinct()
-    store = Store(spark, "replica")
-    words = Store(spark, "cells").put(_tokens(row_groups, cols, matrix, "z", k, seed))
-    state = store.put(_union([words, _counts(words, "row", "t", k), _counts(words, "col", "p", k)]))
-    n_words = state.filter("kind = 'p'").count()
-    history = [_perplexity(matrix, state, priors)] if track else []
+    store = open_store(matrix, None, (row_groups, cols), None, groups, priors, seed, "shared_rows")
+    part = Part("z", "p", priors.beta, _rows(store, "p"), 2)
+    history = [_perplexity(matrix, store, priors)] if track else []
     for it in range(iterations):
-        totals = spark.sparkContext.broadcast(_totals(state, "p", k))
-        copies = state.filter("kind = 'p'").withColumn("task", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
-        mine = state.filter("kind <> 'p'").withColumn("task", F.col("g"))
+        totals = spark.sparkContext.broadcast(store.totals["z"])
+        copies = store.read("p", store.counts["p"]).withColumn("task", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
+        mine = store.all_cells("z").unionByName(store.read("t", store.counts["t"])).withColumn("task", F.col("g"))
 
-        def run(batches: Iterator[pd.DataFrame], it=it, totals=totals) -> Iterator[pd.DataFrame]:
-            whole = [b for b in batches if len(b)]
-            if not whole:
-                return
-            df = pd.concat(whole, ignore_index=True)
-            cells = df[df.kind == "z"].sort_values(["a", "b"], kind="stable")
-            docs, copy = df[df.kind == "t"], df[df.kind == "p"]
-            if not len(cells):
-                yield docs[["kind", "g", "h", "a", "b", "v"]]
+        def run(batches: Iterator[pa.RecordBatch], it=it, totals=totals) -> Iterator[pa.RecordBatch]:
+            whole = _whole(batches)
+            if whole is None:
                 return
-            th, ph = np.array(docs["v"].tolist(), np.int64), np.array(copy["v"].tolist(), np.int64)
-            was = ph.copy()
-            n = cells["v"].map(len).to_numpy()
-            z = np.concatenate(cells["v"].tolist()).astype(np.int64)
-            rows, at = pd.Index(docs["a"]).get_indexer(cells["a"]), pd.Index(copy["a"]).get_indexer(cells["b"])
-            sweep(np.repeat(rows, n), np.repeat(at, n), z, th, ph, totals.value.copy(), priors.alpha, priors.beta, n_words, stream(seed, it, 2, 0, int(df["task"].iloc[0])))
-            change = copy.assign(kind="d", v=list(ph - was))[(ph != was).any(axis=1)]
-            yield pd.concat([cells.assign(v=np.split(z, np.cumsum(n)[:-1])), docs.assign(v=list(th)), change])[["kind", "g", "h", "a", "b", "v"]]
-
-        done = Store(spark, "replica-out").put(mine.unionByName(copies).repartitionById(groups, F.col("task")).mapInPandas(run, STATE))
-        changed = state.filter("kind = 'p'").unionByName(done.filter("kind = 'd'"))
-        sums = changed.groupBy("a").agg(*(F.sum(F.element_at("v", i + 1)).alias(f"c{i}") for i in range(k)))
-        merged = sums.select(F.lit("p").alias("kind"), F.lit(0).alias("g"), F.lit(0).alias("h"), "a", F.lit(0).cast("bigint").alias("b"), F.array(*(f"c{i}" for i in range(k))).alias("v"))
-        state = store.put(done.filter("kind <> 'd'").unionByName(merged))
+            m = whole.column("task")[0].as_py()
+            whole = whole.select(COLUMNS)
+            block, cells, copy = Block(_of(whole, "t"), k), _of(whole, "z"), _of(whole, "p")
+            if len(cells):
+                cells, after, change = block.resample(cells, copy, totals.value, part, priors.alpha, kernel, stream(seed, it, 2, 0, m))
+                moved = dense(after.column("v"), k) - dense(copy.column("v"), k)
+                some = np.flatnonzero(moved.any(axis=1))
+                changed = _with(after.take(pa.array(some)), lists(moved[some], k))
+                one = {"kind": ["total-z"], "g": [m], "h": [0], "a": [0], "b": [0], "v": [change.tolist()]}
+                yield from _batches(pa.table(one, schema=ARROW_STATE), changed.set_column(0, "kind", pa.array(["change"] * len(some), pa.string())), cells)
+            yield from _batches(block.documents())
+
+        done = mine.unionByName(copies).repartitionById(groups, F.col("task")).mapInArrow(run, STATE)
+        store.epochs += 1
+        path = f"{store.root}/epoch-{store.epochs}"
+        done.write.partitionBy("kind").parquet(path)
+        before = store.read("p", store.counts["p"])
+        changed = before.unionByName(store.read("p", f"{path}/kind=change")) if store.exists(f"{path}/kind=change") else before
+        sums = changed.groupBy("a").agg(*(F.sum(F.get("v", F.lit(i))).cast("int").alias(f"c{i}") for i in range(k)))
+        merged = sums.select(F.lit(0).alias("g"), F.lit(0).alias("h"), "a", F.lit(0).cast("bigint").alias("b"), F.array(*(f"c{i}" for i in range(k))).alias("v"))
+        merged.write.parquet(f"{path}/merged")
+        for r in store.spark.read.schema(ROW).parquet(f"{path}/kind=total-z").collect():
+            store.totals["z"] = store.totals["z"] + np.array(r.v)
+        old = {*store.cells.values(), *store.counts.values()}
+        store.cells = {("z", 0): f"{path}/kind=z"}
+        store.counts = {"t": f"{path}/kind=t", "p": f"{path}/merged"}
+        for x in (*old, f"{path}/kind=change"):
+            remove(spark, x)
         if track:
-            history.append(_perplexity(matrix, state, priors))
-    return _finish(state, history, False)
+            history.append(_perplexity(matrix, store, priors))
+    return finished(store, history, False)
 
 
 def frozen_sweep(assigned: DataFrame, topics: int, alpha: float, beta: float, seed: int = 7) -> DataFrame:
