@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from topicgrid.functions import positions
 from topicgrid.functions.sql import register
 from topicgrid.functions.stem import stem
-from topicgrid.operators import cost, cut, lengths, permute, trials
+from topicgrid.operators import cost, cut, lengths, permute, tokens, trials
 from topicgrid.schema import WorkloadError, check_workload, whole_numbers
 from topicgrid.sources.tables import read_coordinates, read_workload, write_coordinates
 
@@ -158,6 +158,32 @@ def test_ranks_agree(spark, small, axis, tie):
     assert lengths.rank_desc(wide, tie, mode="two_level").select("rank").distinct().count() == wide.count()
 
 
+def test_hashed_ids_fall_into_even_buckets(spark):
+    """However ids are spread, buckets follow their order and are few; ranks agree with a sort."""
+    for ids in (F.xxhash64("id"), F.col("id") + (1 << 40), F.col("id") * 1_000_003 - (1 << 50)):
+        lens = spark.range(20_000).select(ids.alias("id"), F.lit(1).cast("bigint").alias("len"))
+        sizes = lengths.with_bucket(lens, "id").groupBy("bucket").count().agg(F.max("count"), F.count(F.lit(1))).first()
+        assert sizes[1] <= 4097 and sizes[0] <= 40
+        a, b = (lengths.rank_desc(lens, mode=m).orderBy("id").collect() for m in ("window", "two_level"))
+        assert a == b
+        order = [r.id for r in permute.identity(lengths.rank_desc(lens)).orderBy("pos").collect()]
+        assert order == sorted(order)
+
+
+def test_vocabulary_ids_follow_the_words(spark):
+    words = ["a", "ab", "abc", "abcd", "abcdefg", "abcdefgh", "abcdefghi", "abcdeg", "b", "é", "éa", "z", "aé", "ab c"] + [f"prefix{k}" for k in range(300)]
+    counts = spark.createDataFrame([(1, w, 2) for w in words] + [(2, "a", 1)], "row_id bigint, word string, n bigint")
+    found = {r.word: (r.word_id, r.df, r.cf) for r in tokens.vocabulary(counts).collect()}
+    assert {w: found[w][0] for w in words} == {w: k + 1 for k, w in enumerate(sorted(words, key=lambda w: w.encode()))}
+    assert found["a"][1:] == (2, 3) and tokens.hash_collisions(tokens.vocabulary(counts, ids="hash")).isEmpty()
+
+
+def test_moving_means_meet_at_slabs(spark, small):
+    placed = permute.interleave(lengths.rank_desc(lengths.lengths(small, "row")))
+    whole, parts = (permute.moving(placed, 3, slab=s).orderBy("pos").collect() for s in (10**6, 4))
+    assert whole == parts
+
+
 def test_cuts_agree(spark, small):
     ranked = lengths.rank_desc(lengths.lengths(small, "row"))
     placed = permute.interleave(ranked)
@@ -249,6 +275,17 @@ def test_advise_stops_early(spark, small):
     assert hard.tried <= 8 and hard.eta <= hard.ceiling + 1e-12
 
 
+def test_advised_trial_can_be_made_again(spark, small):
+    """Also one from a later round of trials."""
+    for trials_, step in ((6, 2), (5, 5)):
+        a = trials.advise(small, 5, 1.0, trials_, step, seed=9).first()
+        again = trials.eta_of(small, a.method, 5, seed=9, trial=a.trial).first().eta
+        assert math.isclose(a.eta, again), a
+    late = trials.trial_groups(trials.ranked_axes(small)[0], "stratified", 4, 2, 9, "row", first=3)
+    one = trials.partition(small, "stratified", 4, seed=9, trial=4).rows
+    assert {r.id: r.grps[1] for r in late.collect()} == {r.id: r.grp for r in one.collect()}
+
+
 def test_models_of_memory_and_barriers():
     m = cost.memory_model(10, 20, 4, 3)
     assert m == {"diagonal": 960, "replica": 320 + 3 * 640} and cost.barriers(7) == {"diagonal": 7, "replica": 1}
@@ -260,6 +297,10 @@ def test_sql_functions(spark):
     assert [r.p for r in spark.sql("SELECT mirror_pos(id, 8) AS p FROM range(1, 9)").collect()] == [1, 7, 3, 4, 5, 6, 2, 8]
     assert spark.sql("SELECT diag_of(3, 1, 4), cut_group(10, 4, 100, 10)").first() == (2, 1)
     assert [r["rank"] for r in spark.sql("SELECT * FROM grid_positions(8, 'interleave')").collect()] == [1, 8, 2, 7, 3, 6, 4, 5]
+    spark.createDataFrame([(0, 0, 4), (0, 1, 1), (0, 2, 2), (1, 0, 3), (1, 1, 5), (1, 2, 1), (2, 0, 2), (2, 1, 2), (2, 2, 4)], "m int, n int, cost bigint").createOrReplaceTempView("grid3")
+    r = spark.sql("SELECT * FROM balance_table(TABLE(grid3) WITH SINGLE PARTITION, 3)").first()
+    assert (r.tokens, r.total_cost, r.optimum, r.eta, r.heaviest_diag) == (24, 10, 8.0, 0.8, 0)
+    assert spark.sql("SELECT m, evenness(cost) AS e FROM grid3 GROUP BY m ORDER BY m").first().e == pytest.approx(7 / 12)
 
 
 def test_coordinates_and_formats(spark, small, tmp_path):
@@ -275,6 +316,27 @@ def test_stems(word, want):
     assert stem(word) == want
 
 
+def test_sinks(spark, small, tmp_path):
+    """Groups, models, bucketed tables, CSV and approximate statistics."""
+    from topicgrid.operators.workload import corpus_stats
+    from topicgrid.sources import sinks
+
+    p = trials.partition(small, "mirror", 3)
+    sinks.write_groups(p.rows, p.cols, f"file://{tmp_path}/groups")
+    back = spark.read.parquet(f"file://{tmp_path}/groups")
+    assert back.filter("axis = 'row'").select("id", "grp").exceptAll(p.rows.select("id", "grp")).isEmpty()
+    sinks.write_model(p.rows, p.cols, f"file://{tmp_path}/model", "json")
+    assert spark.read.json(f"file://{tmp_path}/model/phi").count() == p.cols.count()
+    small.write.option("header", True).csv(f"file://{tmp_path}/csv")
+    assert read_workload(spark, f"file://{tmp_path}/csv", "csv").exceptAll(small).isEmpty()
+    exact, near = corpus_stats(small).first(), corpus_stats(small, approximate=True).first()
+    assert exact.tokens == near.tokens and abs(near.words - exact.words) <= 0.1 * exact.words
+    sinks.write_bucketed(small, "bucketed_cells", "row_id", 4)
+    t = spark.table("bucketed_cells")
+    assert t.exceptAll(small).isEmpty()
+    spark.sql("DROP TABLE bucketed_cells")
+
+
 def test_golden_value(spark):
     from topicgrid.plans.corpora import basket
 

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from topicgrid.functions.rng import key
 
-TIE_BUCKETS = 4096
+BUCKET_BITS = 12  # of ids, counted apart for each length
 
 
 def lengths(matrix: DataFrame, axis: str) -> DataFrame:
@@ -20,6 +20,17 @@ def extremes(lens: DataFrame, k: int, longest: bool = True) -> DataFrame:
     return lens.orderBy(F.desc("len") if longest else F.asc("len"), "id").limit(k)
 
 
+def with_bucket(df: DataFrame, column: str, name: str = "bucket") -> DataFrame:
+    """``df`` with a bucket that follows the order of a BIGINT column: its leading bits within the range that occurs, 4,097 buckets at most.
+
+    So dense ids and hashes are both cut into many even buckets. The range is one row, joined to all.
+    """
+    span = df.agg(F.min(column).alias("lo"), F.max(column).alias("hi"))
+    width = F.log2(F.col("hi").cast("double") - F.col("lo").cast("double") + 1)
+    span = span.select("lo", F.greatest(F.lit(0), F.ceil(width).cast("int") - BUCKET_BITS).alias("shift"))
+    return df.crossJoin(F.broadcast(span)).withColumn(name, F.expr(f"shiftright({column}, shift) - shiftright(lo, shift)")).drop("lo", "shift")
+
+
 def rank_desc(lens: DataFrame, tie: str = "id", seed: int = 7, mode: str = "two_level", axis: str = "row") -> DataFrame:
     """id, len, rank (1 = longest), size (items), total (tokens).
 
@@ -35,9 +46,8 @@ def rank_desc(lens: DataFrame, tie: str = "id", seed: int = 7, mode: str = "two_
         return keyed.select("id", "len", rank.cast("bigint").alias("rank"), F.count(F.lit(1)).over(every).alias("size"), F.sum("len").over(every).alias("total"))
     if mode != "two_level":
         raise ValueError("mode is window or two_level")
-    # buckets follow the order of the tie: by leading bits of a hash, by thousands of an id
-    bucket = F.shiftrightunsigned("tie", 36) if tie != "id" else F.floor(F.col("tie") / TIE_BUCKETS)
-    keyed = keyed.withColumn("bucket", bucket.cast("bigint"))
+    # a hash of 48 bits needs no look at its range
+    keyed = with_bucket(keyed, "tie") if tie == "id" else keyed.withColumn("bucket", F.shiftrightunsigned("tie", 48 - BUCKET_BITS))
     small = keyed.groupBy("len", "bucket").agg(F.count(F.lit(1)).alias("c"))
     by_len = small.groupBy("len").agg(F.sum("c").alias("c"))
     before = Window.orderBy(F.desc("len")).rowsBetween(Window.unboundedPreceding, -1)

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from topicgrid.functions import positions
 from topicgrid.functions.rng import key
+from topicgrid.operators.lengths import with_bucket
 
 CLOSED = {
     "interleave": positions.interleave,
@@ -33,8 +34,12 @@ def mirror(ranked: DataFrame, form: str = "swap") -> DataFrame:
 
 
 def identity(ranked: DataFrame) -> DataFrame:
-    """Natural order by id (a reference, sorted in one task)."""
-    return ranked.withColumn("pos", F.row_number().over(Window.orderBy("id")).cast("bigint"))
+    """Natural order by id: counts by bucket of ids, and ranks inside each."""
+    dealt = with_bucket(ranked, "id", "part")
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # one row a bucket
+    base = dealt.groupBy("part").agg(F.count(F.lit(1)).alias("c")).select("part", F.coalesce(F.sum("c").over(before), F.lit(0)).alias("base"))
+    inner = F.row_number().over(Window.partitionBy("part").orderBy("id"))
+    return dealt.withColumn("inner", inner).join(base, "part").withColumn("pos", (F.col("base") + F.col("inner")).cast("bigint")).drop("part", "inner", "base")
 
 
 def _in_trials(ranked: DataFrame, trials: int, first: int) -> DataFrame:
@@ -51,18 +56,22 @@ def stratified(ranked: DataFrame, groups: int, seed: int = 7, axis: str = "row",
     dealt = _in_trials(ranked, trials, first).withColumn("run", run).withColumn("k1", key(seed, axis, "deal", F.col("trial"), F.col("id")))
     slot = F.row_number().over(Window.partitionBy("trial", "run").orderBy("k1", "id"))
     dealt = dealt.withColumn("slot", slot.cast("int")).withColumn("k2", key(seed, axis, "order", F.col("trial"), F.col("id")))
-    return _ranked_by_hash(dealt, ["trial", "slot"], "k2").drop("run", "k1", "k2", "slot")
+    return ranked_by_hash(dealt, ["trial", "slot"], "k2").drop("run", "k1", "k2", "slot")
 
 
 def plain_shuffle(ranked: DataFrame, seed: int = 7, axis: str = "row", trials: int = 1, first: int = 0) -> DataFrame:
     """The baseline: a uniformly random order in each trial."""
     keyed = _in_trials(ranked, trials, first).withColumn("k", key(seed, axis, "plain", F.col("trial"), F.col("id")))
-    return _ranked_by_hash(keyed, ["trial"], "k").drop("k")
+    return ranked_by_hash(keyed, ["trial"], "k").drop("k")
 
 
-def _ranked_by_hash(df: DataFrame, by: list[str], k: str) -> DataFrame:
-    """pos: rank in the order (by[1:], k, id) within by[0], from counts of hash buckets and ranks inside each."""
-    df = df.withColumn("part", F.shiftrightunsigned(k, 40).cast("int"))
+def ranked_by_hash(df: DataFrame, by: list[str], k: str) -> DataFrame:
+    """pos: rank in the order (by[1:], k, id) within by[0], from counts of hash buckets and ranks inside each.
+
+    The column size says how many buckets: 256 at least, a million at most, each of about 65,536 items.
+    """
+    bits = "least(20, greatest(8, cast(ceil(log2(size / 65536D)) AS INT)))"
+    df = df.withColumn("part", F.expr(f"cast(shiftrightunsigned({k}, 48 - {bits}) AS INT)"))
     small = df.groupBy(*by, "part").agg(F.count(F.lit(1)).alias("c"))
     order = Window.partitionBy(by[0]).orderBy(*by[1:], "part").rowsBetween(Window.unboundedPreceding, -1)
     base = small.select(*by, "part", F.coalesce(F.sum("c").over(order), F.lit(0)).alias("base"))
@@ -95,3 +104,16 @@ def evenness(placed: DataFrame, ranges: int) -> DataFrame:
         F.max("len").alias("max_len"),
         F.count_if(F.col("rank") * 2 <= F.col("size")).alias("long_items"),
     )
+
+
+def moving(placed: DataFrame, reach: int, slab: int = 65_536) -> DataFrame:
+    """id, pos, moving (mean length from ``reach`` positions before to as many after), step (length less that of the position before).
+
+    Windows run inside slabs of positions; rows near a slab's ends are lent to the next one.
+    """
+    own = F.floor((F.col("pos") - 1) / slab)
+    near = F.array_distinct(F.array(*(F.greatest(F.lit(0), F.floor((F.col("pos") - 1 + d) / slab)) for d in (0, -reach, reach))))
+    lent = placed.select("id", "len", "pos", own.alias("home"), F.explode(near).alias("slab"))
+    order = Window.partitionBy("slab").orderBy("pos")
+    seen = lent.withColumns({"moving": F.avg("len").over(order.rowsBetween(-reach, reach)), "step": F.col("len") - F.lag("len").over(order)})
+    return seen.filter("home = slab").select("id", "pos", F.round("moving", 6).alias("moving"), "step")

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 PATTERN = r"\p{L}+"
+LEADS = (2, 4, 7)  # characters by which a vocabulary is counted
 
 
 def tokens(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", pattern: str = PATTERN, lower: bool = True) -> DataFrame:
@@ -39,8 +40,8 @@ def vocabulary(counts: DataFrame, min_df: int = 1, max_df: float | int | None =
     """word_id, word, df, cf from ``word_counts``.
 
     ``max_df``: a number of documents, or a share of ``n_docs`` where below 1. ``max_size`` keeps the words of highest df.
-    Ids: "dense", 1.. in order of the words, counted by their first two characters and ranked inside each, so
-    no task sorts the vocabulary; or "hash", 64 bits, stable when words are added (``hash_collisions`` checks it).
+    Ids: "dense", 1.. in order of the words, counted by their first 2, 4 and 7 characters and ranked among those that share all seven, so
+    no task sorts much of the vocabulary; or "hash", 64 bits, stable when words are added (``hash_collisions`` checks it).
     """
     found = counts.groupBy("word").agg(F.count(F.lit(1)).alias("df"), F.sum("n").alias("cf")).filter(F.col("df") >= min_df)
     if max_df is not None:
@@ -49,11 +50,17 @@ def vocabulary(counts: DataFrame, min_df: int = 1, max_df: float | int | None =
         found = found.orderBy(F.desc("df"), "word").limit(max_size)
     if ids == "hash":
         return found.select(F.xxhash64("word").alias("word_id"), "word", "df", "cf")
-    found = found.withColumn("lead", F.substring("word", 1, 2))
-    before = Window.orderBy("lead").rowsBetween(Window.unboundedPreceding, -1)  # one row for each pair of characters
-    base = found.groupBy("lead").agg(F.count(F.lit(1)).alias("c")).select("lead", F.coalesce(F.sum("c").over(before), F.lit(0)).alias("base"))
-    inside = F.row_number().over(Window.partitionBy("lead").orderBy("word"))
-    return found.join(base, "lead").select((F.col("base") + inside).cast("bigint").alias("word_id"), "word", "df", "cf")
+    found = found.withColumns({f"p{k}": F.substring("word", 1, k) for k in LEADS})
+    base, above = found.groupBy(*(f"p{k}" for k in LEADS)).agg(F.count(F.lit(1)).alias("c")), None
+    for depth, k in enumerate(LEADS):  # words before each lead among those of the next shorter one, and before that
+        outer = [f"p{j}" for j in LEADS[:depth]]
+        before = Window.partitionBy(*outer[-1:]).orderBy(f"p{k}").rowsBetween(Window.unboundedPreceding, -1)
+        here = base.groupBy(*outer, f"p{k}").agg(F.sum("c").alias("c")) if k != LEADS[-1] else base
+        here = here.select(*outer, f"p{k}", F.coalesce(F.sum("c").over(before), F.lit(0)).alias("b"))
+        above = here if above is None else here.join(above.withColumnRenamed("b", "a"), outer).select(*outer, f"p{k}", (F.col("a") + F.col("b")).alias("b"))
+    last = f"p{LEADS[-1]}"
+    inside = F.row_number().over(Window.partitionBy(last).orderBy("word"))
+    return found.withColumn("inside", inside).join(above.select(last, "b"), last).select((F.col("b") + F.col("inside")).cast("bigint").alias("word_id"), "word", "df", "cf")
 
 
 def hash_collisions(vocab: DataFrame) -> DataFrame:

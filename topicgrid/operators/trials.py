@@ -45,9 +45,9 @@ def eta_of(matrix: DataFrame, method: str, groups: int, **how) -> DataFrame:
     return eta(block_costs(matrix, p.rows, p.cols, groups), groups)
 
 
-def trial_groups(ranked: DataFrame, method: str, groups: int, trials: int, seed: int, axis: str, rule: str = "midpoint") -> DataFrame:
-    """id, grps: the group of each item in each trial, as an array in order of trials."""
-    placed = place(ranked, method, groups, seed, axis, trials)
+def trial_groups(ranked: DataFrame, method: str, groups: int, trials: int, seed: int, axis: str, rule: str = "midpoint", first: int = 0) -> DataFrame:
+    """id, grps: the group of each item in each of ``trials`` trials from ``first`` on, as an array in order of trials."""
+    placed = place(ranked, method, groups, seed, axis, trials, first)
     done = cut(placed, groups, rule, by=("trial",))
     listed = F.transform(F.array_sort(F.collect_list(F.struct("trial", "grp"))), lambda x: x.grp)
     return done.groupBy("id").agg(listed.alias("grps"))
@@ -118,7 +118,8 @@ def advise(matrix: DataFrame, groups: int, target: float, trials: int = 100, ste
     """What to use: method, trial, eta, tried, ceiling, reached.
 
     The ceiling comes first: where it lies below the target nothing can reach it. Then the deterministic methods, and only if
-    these fall short rounds of ``step`` stratified trials until the target or ``trials`` is reached.
+    these fall short rounds of ``step`` stratified trials until the target or ``trials`` is reached. ``partition`` with the
+    method, seed and trial makes the grouping that has this eta.
     """
     from topicgrid.operators.cost import eta_ceiling
 
@@ -131,7 +132,7 @@ def advise(matrix: DataFrame, groups: int, target: float, trials: int = 100, ste
     done = 0
     while best[2] < min(target, ceiling) and done < trials:
         n = min(step, trials - done)
-        arrays = [trial_groups(r, "stratified", groups, n, seed + done, axis) for axis, r in zip(("row", "col"), ranked_axes(matrix), strict=True)]
+        arrays = [trial_groups(r, "stratified", groups, n, seed, axis, first=done) for axis, r in zip(("row", "col"), ranked_axes(matrix), strict=True)]
         per = evaluate(matrix, *arrays, groups, n).groupBy("trial", "diag").agg(F.max("cost").alias("c"), F.sum("cost").alias("s"))
         for r in per.groupBy("trial").agg((F.sum("s").cast("double") / groups / F.sum("c")).alias("eta")).collect():
             best = max(best, ("stratified", done + r.trial, r.eta), key=lambda x: x[2])

@@ -37,21 +37,16 @@ def corpus_stats(matrix: DataFrame, stamps: DataFrame | None = None, approximate
     return out.crossJoin(times)  # one row each
 
 
-def transposed(matrix: DataFrame) -> DataFrame:
-    return matrix.select(F.col("col_id").alias("row_id"), F.col("row_id").alias("col_id"), "n")
-
-
 def decorrelated(matrix: DataFrame, seed: int) -> DataFrame:
     """Row and column lengths kept, who uses which column redealt at random over all tokens (an ablation).
 
-    Tokens get their columns back in the order of a random key, by ranks of both sides; meant for corpora that fit a global sort.
+    Tokens get their columns back in the order of a random key, by ranks of both sides from counts of hash buckets.
     """
-    from pyspark.sql import Window
-
-    from topicgrid.functions.rng import fast_key
-
-    spread = matrix.select("row_id", "col_id", F.explode(F.sequence(F.lit(1), F.col("n").cast("int"))).alias("i"))
-    name = F.xxhash64("row_id", "col_id", "i")
-    left = spread.select("row_id", F.row_number().over(Window.orderBy(fast_key(seed, "row", "redeal", 0, name), "row_id", "col_id", "i")).alias("at"))
-    right = spread.select("col_id", F.row_number().over(Window.orderBy(fast_key(seed, "col", "redeal", 0, name), "row_id", "col_id", "i")).alias("at"))
-    return left.join(right, "at").groupBy("row_id", "col_id").agg(F.count(F.lit(1)).alias("n"))
+    from topicgrid.functions.rng import key
+    from topicgrid.operators.permute import ranked_by_hash
+
+    name = F.concat_ws("/", F.col("row_id").cast("string"), F.col("col_id").cast("string"), F.col("i").cast("string"))
+    spread = matrix.select("row_id", "col_id", F.explode(F.sequence(F.lit(1), F.col("n").cast("int"))).alias("i")).withColumn("id", name)
+    spread = spread.crossJoin(F.broadcast(matrix.agg(F.sum("n").alias("size")))).withColumn("all", F.lit(0))  # one row: the tokens
+    dealt = lambda axis: ranked_by_hash(spread.withColumn("k", key(seed, axis, "redeal", 0, F.col("id"))), ["all"], "k").select(f"{axis}_id", "pos")
+    return dealt("row").join(dealt("col"), "pos").groupBy("row_id", "col_id").agg(F.count(F.lit(1)).alias("n"))
