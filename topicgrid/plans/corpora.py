@@ -5,9 +5,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from topicgrid.functions.stem import stemmed_counts
 from topicgrid.operators.stamps import stamp_arrays, stamp_number, stamp_workload
-from topicgrid.operators.tokens import tokens, vocabulary, word_counts
+from topicgrid.operators.tokens import default_stopwords, drop_stopwords, tokens, vocabulary, word_counts
 from topicgrid.operators.workload import basket_workload, workload
+from topicgrid.sources.shared import stored
 from topicgrid.sources.tables import table
 
 
@@ -15,17 +17,33 @@ def doc_counts(spark: SparkSession, sf: str) -> DataFrame:
     return word_counts(tokens(table(spark, sf, "documents")))
 
 
+def word_matrix(counts: DataFrame, *prune) -> DataFrame:
+    """Row = document, column = word. Counts and matrix are written once each: texts are read once, and what reads the matrix often reads ids."""
+    counts = stored(counts, "counts")
+    return stored(workload(counts, vocabulary(counts, *prune)), "matrix")
+
+
 def docs(spark: SparkSession, sf: str) -> DataFrame:
     """Row = document, column = word, n = occurrences."""
-    counts = doc_counts(spark, sf)
-    return workload(counts, vocabulary(counts))
+    return word_matrix(doc_counts(spark, sf))
 
 
 def docs_pruned(spark: SparkSession, sf: str) -> DataFrame:
     """Only words that 2 documents have, and at most a tenth of all."""
-    counts = doc_counts(spark, sf)
-    n = table(spark, sf, "documents").count()
-    return workload(counts, vocabulary(counts, 2, 0.1, n))
+    return word_matrix(doc_counts(spark, sf), 2, 0.1, table(spark, sf, "documents").count())
+
+
+def docs_stopped(spark: SparkSession, sf: str, words=None) -> DataFrame:
+    """Without stop words; by default those that Spark lists for the four languages of the documents."""
+    words = default_stopwords("english", "french", "german", "spanish") if words is None else words
+    return word_matrix(word_counts(drop_stopwords(tokens(table(spark, sf, "documents")), words)))
+
+
+def docs_stemmed(spark: SparkSession, sf: str, words=None) -> DataFrame:
+    """The same with words reduced to their stems."""
+    words = default_stopwords("english", "french", "german", "spanish") if words is None else words
+    counts = stored(word_counts(drop_stopwords(tokens(table(spark, sf, "documents")), words)), "words")
+    return word_matrix(stemmed_counts(counts, counts.select("word").distinct()))
 
 
 def basket(spark: SparkSession, sf: str, weight: str | None = "l_quantity") -> DataFrame:
@@ -58,6 +76,12 @@ def stamp_matrix(spark: SparkSession, sf: str, policy: str = "proportional") ->
     return stamp_workload(customer_stamps(spark, sf, policy))
 
 
+def order_years(spark: SparkSession, sf: str, slots: int = 16) -> DataFrame:
+    """Row = order, column = its year, as often as a stamp array has slots: a document with one date."""
+    o = table(spark, sf, "orders").select("o_orderkey", "o_orderdate")
+    return stamp_workload(stamp_arrays(o, "o_orderkey", "o_orderdate", "year", slots, "repeat"))
+
+
 def clicks(spark: SparkSession, sf: str) -> DataFrame:
     """Row = user, column = event type and property (by hash), n = events."""
     e = table(spark, sf, "events").filter(F.col("user_id").isNotNull())
@@ -65,4 +89,4 @@ def clicks(spark: SparkSession, sf: str) -> DataFrame:
     return e.groupBy(F.col("user_id").cast("bigint").alias("row_id"), col.alias("col_id")).agg(F.count(F.lit(1)).alias("n"))
 
 
-CORPORA = {"docs": docs, "docs_pruned": docs_pruned, "basket": basket, "order_basket": order_basket, "basket_time": basket_time, "clicks": clicks}
+CORPORA = {"docs": docs, "docs_pruned": docs_pruned, "docs_stopped": docs_stopped, "docs_stemmed": docs_stemmed, "order_years": order_years, "basket": basket, "order_basket": order_basket, "basket_time": basket_time, "clicks": clicks}

@@ -19,6 +19,30 @@ RANKS = LENS + ", " + ", ".join(f"{a}r AS (SELECT id, len, row_number() OVER (OR
 AXES = {"r": "row", "c": "col"}
 
 
+STOPPED = COUNTS.replace("SELECT row_id, word, count(*) AS n FROM tok GROUP", "SELECT row_id, word, count(*) AS n FROM tok WHERE word NOT IN {0} GROUP") + ", v AS (SELECT row_number() OVER (ORDER BY word) AS word_id, word FROM wc GROUP BY word), r AS (SELECT row_id, word_id AS col_id, n FROM wc JOIN v USING (word))"
+YEARS = "r AS (SELECT o_orderkey AS row_id, year(o_orderdate)::BIGINT AS col_id, 16::BIGINT AS n FROM orders)"
+ORDERS = "r AS (SELECT l_orderkey AS row_id, l_partkey AS col_id, sum(l_quantity::BIGINT)::BIGINT AS n FROM lineitem GROUP BY 1, 2)"
+
+
+def bottleneck(groups: int) -> str:
+    """Group bounds of the least possible maximum: the maximum by bisection, each step filling all groups from the left."""
+    fill = "0::BIGINT"
+    for _ in range(groups):
+        fill = f"(SELECT coalesce(max(e), 0) FROM pre WHERE e <= {fill} + mid)"
+    cuts, at = [], "0::BIGINT"
+    for _ in range(groups):
+        at = f"(SELECT max(e) FROM pre WHERE e <= {at} + (SELECT hi FROM m))"
+        cuts.append(at)
+    grp = " + ".join(f"(e > {c})::INT" for c in cuts[:-1])
+    return (
+        "pre AS (SELECT pos, len, (sum(len) OVER (ORDER BY pos))::BIGINT AS e FROM rp), "
+        "s AS (SELECT 0 AS k, max(len)::BIGINT - 1 AS lo, sum(len)::BIGINT AS hi FROM rp UNION ALL "
+        f"SELECT k + 1, CASE WHEN ok THEN lo ELSE mid END, CASE WHEN ok THEN mid ELSE hi END FROM (SELECT k, lo, hi, mid, {fill} >= (SELECT max(e) FROM pre) AS ok FROM (SELECT *, (lo + hi) // 2 AS mid FROM s WHERE hi - lo > 1))), "
+        "m AS (SELECT hi FROM s ORDER BY k DESC LIMIT 1) "
+        f"SELECT grp, min(pos) AS first_pos, max(pos) AS last_pos, count(*) AS items, sum(len)::BIGINT AS tokens FROM (SELECT pos, len, ({grp})::INT AS grp FROM pre) GROUP BY 1"
+    )
+
+
 def key(axis: str, stage: str, trial: str, id_: str = "id") -> str:
     return f"('0x' || substr(md5('{SEED}:' || {trial} || ':{axis}:{stage}:' || {id_}), 1, 12))::BIGINT"
 
@@ -76,9 +100,9 @@ def eta_value(corpus: str, method: str, groups: int, trials: int = 1) -> str:
     return f"(WITH {grouped(corpus, method, groups, trials=trials)}, {blocks(groups, trials)} SELECT max(e) FROM (SELECT trial, sum(s)::BIGINT::DOUBLE / {groups} / sum(c)::BIGINT AS e FROM (SELECT trial, diag, max(cost) AS c, sum(cost) AS s FROM b GROUP BY 1, 2) GROUP BY trial))"
 
 
-def best(corpus: str, method: str, groups: int) -> str:
+def best(corpus: str, method: str, groups: int, trials: int = TRIALS) -> str:
     return (
-        f"WITH {grouped(corpus, method, groups, trials=TRIALS)}, {blocks(groups, TRIALS)}, "
+        f"WITH {grouped(corpus, method, groups, trials=trials)}, {blocks(groups, trials)}, "
         f"e AS (SELECT trial, sum(c)::BIGINT AS total_cost, sum(s)::BIGINT::DOUBLE / {groups} / sum(c)::BIGINT AS eta FROM (SELECT trial, diag, max(cost) AS c, sum(cost) AS s FROM b GROUP BY 1, 2) GROUP BY trial) "
         "SELECT (SELECT trial FROM e ORDER BY eta DESC, trial LIMIT 1) AS trial, max(eta) AS eta, round(avg(eta), 9) AS mean_eta, min(total_cost) AS total_cost FROM e"
     )

@@ -11,9 +11,11 @@ from topicgrid.functions.rng import key
 from topicgrid.functions.stem import stemmed_vocabulary
 from topicgrid.model import counts as C
 from topicgrid.model import samplers as S
+from topicgrid.model.study import Setting, study
 from topicgrid.operators import cost, cut, lengths, permute, stamps, tokens, trials, workload
 from topicgrid.plans import corpora as K
 from topicgrid.plans import oracles as O
+from topicgrid.sources.shared import stored
 from topicgrid.sources.tables import table
 from topicgrid.streaming import online
 
@@ -220,9 +222,7 @@ for _method in ("interleave", "mirror", "stratified"):
 
 @query(f"WITH {O.BASKET}, {O.RANKS}, {O.placed('r', 'interleave', P)} SELECT id, pos, round(avg(len) OVER (ORDER BY pos ROWS BETWEEN 5 PRECEDING AND 5 FOLLOWING), 6) AS moving, len - lag(len) OVER (ORDER BY pos) AS step FROM rp")
 def evenness_moving(spark, sf):
-    order = Window.orderBy("pos")
-    p = permute.interleave(_ranked("row")(spark, sf))
-    return p.select("id", "pos", F.round(F.avg("len").over(order.rowsBetween(-5, 5)), 6).alias("moving"), (F.col("len") - F.lag("len").over(order)).alias("step"))
+    return permute.moving(permute.interleave(_ranked("row")(spark, sf)), 5, slab=256)
 
 
 # Cuts
@@ -238,7 +238,7 @@ for _rule in cut.RULES:
 query(ORACLES["cut_rows_midpoint"], "cut_rows_histogram")(lambda spark, sf: cut.cut_by_histogram(_ranked("row")(spark, sf), P).select("id", "pos", "grp"))
 
 
-@query()
+@query(f"WITH RECURSIVE {O.BASKET}, {O.RANKS}, {O.placed('r', 'interleave', P)}, {O.bottleneck(P)}")
 def cut_rows_bottleneck(spark, sf):
     return cut.group_bounds(cut.cut_bottleneck(permute.interleave(_ranked("row")(spark, sf)), P))
 
@@ -311,14 +311,21 @@ def _table_sql(corpus, sizes):
     return " UNION ALL ".join(f"SELECT '{m}' AS method, {p} AS groups, {O.eta_value(corpus, m, p, t)} AS eta" for m, t in TABLE for p in sizes)
 
 
-@query(_table_sql(O.BASKET, (1, 4, 10)))
-def balance_table(spark, sf):
-    return trials.compare(K.basket(spark, sf), tuple(m for m, _ in TABLE), (1, 4, 10), O.TRIALS, O.SEED)
+PUBLISHED = (1, 10, 30, 60)
+#: The published table of the ratio by method and P, for each corpus; random methods take the best of five trials here, of 100 in ``bench.py --full``.
+for _corpus, _sql, _name in (
+    (lambda spark, sf: stored(K.basket(spark, sf), "basket"), O.BASKET, "balance_table"),
+    (K.docs, O.DOCS, "balance_table_docs"),
+    (K.docs_pruned, O.PRUNED, "balance_table_docs_pruned"),
+    (lambda spark, sf: K.docs_stopped(spark, sf, STOP), O.STOPPED.replace("{0}", str(STOP)), "balance_table_docs_stopped"),
+):
+    query(_table_sql(_sql, PUBLISHED), _name)(lambda spark, sf, c=_corpus: trials.compare(c(spark, sf), tuple(m for m, _ in TABLE), PUBLISHED, O.TRIALS, O.SEED))
 
 
-@query(_table_sql(O.PRUNED, (1, 10)))
-def balance_table_docs_pruned(spark, sf):
-    return trials.compare(K.docs_pruned(spark, sf), tuple(m for m, _ in TABLE), (1, 10), O.TRIALS, O.SEED)
+@query()
+def balance_table_docs_stemmed(spark, sf):
+    """The corpus without stop words and with stems: the two deterministic methods, which need one run."""
+    return trials.compare(K.docs_stemmed(spark, sf), ("interleave", "mirror"), PUBLISHED, O.TRIALS, O.SEED)
 
 
 @query(" UNION ALL ".join(f"SELECT '{m}' AS method, {p} AS groups, {O.eta_value(O.BASKET, m, p)} * {p} AS speedup" for m in ("interleave", "mirror") for p in (2, 4, 10)))
@@ -360,7 +367,10 @@ def advise_docs(spark, sf):
     return trials.advise(K.docs_pruned(spark, sf), 10, 0.95, 20)
 
 
-@query()
+_THETA, _PHI = 1500 * 256 * 8, 12_419 * 256 * 8
+
+
+@query(f"SELECT p::INT AS groups, {_THETA + _PHI}::BIGINT AS diagonal_bytes, ({_THETA} + p * {_PHI})::BIGINT AS replica_bytes, p::INT AS diagonal_barriers, 1 AS replica_barriers FROM (SELECT unnest({list(SIZES)}) AS p)")
 def memory_and_barriers(spark, sf):
     rows = [(p, *cost.memory_model(1500, 12_419, 256, p).values(), *cost.barriers(p).values()) for p in SIZES]
     return spark.createDataFrame(rows, "groups int, diagonal_bytes bigint, replica_bytes bigint, diagonal_barriers int, replica_barriers int")
@@ -374,8 +384,6 @@ SHARED = f"{O.grouped(O.BASKET, 'interleave', P)}, {PROPORTIONAL}, r2 AS (SELECT
 
 def _stamp_cols(sql):
     """The stamps' columns ranked, placed and cut on their own, rows as given."""
-    one = f"{O.LENS}, {O.RANKS}".split("cl AS")[0]
-    del one
     return (
         sql + ", l2 AS (SELECT col_id AS id, sum(n)::BIGINT AS len FROM r2 GROUP BY 1), k2 AS (SELECT id, len, row_number() OVER (ORDER BY len DESC, id) AS rank, count(*) OVER () AS size, (sum(len) OVER ())::BIGINT AS total FROM l2), "
         "p2 AS (SELECT *, row_number() OVER (ORDER BY least(rank, size + 1 - rank), rank) AS pos FROM k2), "
@@ -401,6 +409,15 @@ for _method, _name in (("stratified", "stratified"), ("plain_shuffle", "plain"))
     query(O.best(O.TIMES, _method, 10), f"{_name}_best_basket_time")(lambda spark, sf, m=_method: trials.best_of(K.basket_time(spark, sf), m, 10, O.TRIALS, O.SEED))
 
 
+#: The published numbers of trials: 100 for documents by words, 200 for documents by timestamps.
+query(O.best(O.BASKET, "stratified", 10, 100), "stratified_best_of_100")(lambda spark, sf: trials.best_of(stored(K.basket(spark, sf), "basket"), "stratified", 10, 100, O.SEED))
+query(O.best(O.TIMES, "stratified", 10, 200), "stratified_best_of_200_basket_time")(lambda spark, sf: trials.best_of(stored(K.basket_time(spark, sf), "times"), "stratified", 10, 200, O.SEED))
+for _method in ("interleave", "mirror"):
+    query(O.eta(O.YEARS, _method, 10), f"eta_order_years_{_method}_p10")(lambda spark, sf, m=_method: trials.eta_of(K.order_years(spark, sf), m, 10))
+    query(O.eta(O.ORDERS, _method, 10), f"eta_order_basket_{_method}_p10")(lambda spark, sf, m=_method: trials.eta_of(K.order_basket(spark, sf), m, 10))
+query(O.best(O.YEARS, "stratified", 10), "stratified_best_order_years")(lambda spark, sf: trials.best_of(K.order_years(spark, sf), "stratified", 10, O.TRIALS, O.SEED))
+
+
 # Samplers, counts and quality
 
 
@@ -563,6 +580,63 @@ query(name="diagonal_stamped_shared_rows")(_stamped("shared_rows"))
 query(name="diagonal_stamped_merged")(_stamped("merged"))
 
 
+def _quality(spark, sf, iterations):
+    """Serial against diagonal at the published P and below, three seeds, the stamped model of customers, parts and months."""
+    seeds = (1, 2, 3)
+    settings = [Setting("serial", 1, s, kernel="loop") for s in seeds] + [Setting("diagonal", p, s) for p in (1, 2, 4, 10, 30) for s in seeds]
+    return study(_lines(spark, sf), K.stamp_matrix(spark, sf), settings, PRIORS, iterations).filter(F.col("iteration") == iterations)
+
+
+@query()
+def quality_table(spark, sf):
+    """Mean perplexity over the seeds after equal iterations, and how far it is from that of the serial sampler."""
+    end = _quality(spark, sf, 8).groupBy("sampler", "groups").agg(F.avg("perplexity").alias("p"), F.min("perplexity").alias("lo"), F.max("perplexity").alias("hi"))
+    serial = end.filter("sampler = 'serial'").select(F.col("p").alias("s"))
+    gap = F.round(F.col("p") / F.col("s") - 1, 6).alias("gap")
+    return end.crossJoin(F.broadcast(serial)).select("sampler", "groups", F.round("p", 4).alias("perplexity"), F.round("lo", 4).alias("lowest"), F.round("hi", 4).alias("highest"), gap)
+
+
+@query(f"WITH {O.LINES} SELECT s.sampler, s.p::INT AS groups, k::INT AS seed, (SELECT sum(n) FROM r)::BIGINT AS tokens FROM (VALUES ('serial', 1), ('diagonal', 1), ('diagonal', 2), ('diagonal', 4), ('diagonal', 10), ('diagonal', 30)) s(sampler, p), (SELECT unnest([1, 2, 3]) AS k)")
+def quality_tokens(spark, sf):
+    """Whatever the sampler, no token is lost: the word counts of each fit add up to the corpus."""
+    return _quality(spark, sf, 1).select("sampler", "groups", "seed", "tokens")
+
+
+@query()
+def quality_table_docs(spark, sf):
+    """The plain model on documents: serial, diagonal and replicating, equal iterations."""
+    settings = [Setting("serial", 1, 7, kernel="loop"), *(Setting(s, p, 7) for s in ("diagonal", "replica") for p in (4, 10))]
+    return study(K.docs_pruned(spark, sf), None, settings, PRIORS, 4).select("sampler", "groups", "iteration", F.round("perplexity", 4).alias("perplexity"), "tokens")
+
+
+def _fitted(spark, sf):
+    """The stamped model fitted on the grid, words and stamps on shared rows."""
+    m, s = _lines(spark, sf), K.stamp_matrix(spark, sf)
+    a, b = trials.partition(m, "mirror", 2), trials.partition(s, "mirror", 2)
+    return S.fit_diagonal_stamped(m, s, (a.rows, a.cols), (b.rows, b.cols), 2, PRIORS, 3, layout="shared_rows", track=False)
+
+
+@query()
+def fitted_top_words(spark, sf):
+    fit = _fitted(spark, sf)
+    return C.top_words(C.phi(fit.phi, C.topic_totals(fit.phi, 8), fit.phi.count(), BETA), 10)
+
+
+@query()
+def fitted_timeline(spark, sf):
+    """How each topic of the fitted model is spread over the months."""
+    fit = _fitted(spark, sf)
+    return C.topic_timeline(C.phi(fit.pi, C.topic_totals(fit.pi, 8), fit.pi.count(), GAMMA)).select("stamp", "topic", F.round("p", 9).alias("p"))
+
+
+@query(f"WITH {O.LINES}, {PROPORTIONAL} SELECT (SELECT sum(n) FROM r)::BIGINT AS words, (SELECT sum(k) FROM k)::BIGINT AS stamps, (SELECT sum(n) FROM r)::BIGINT + (SELECT sum(k) FROM k)::BIGINT AS document_tokens")
+def fitted_totals(spark, sf):
+    """What the counts of a fitted model add up to: words, stamps, and both together for documents."""
+    fit = _fitted(spark, sf)
+    total = lambda df, name: df.agg(F.sum(F.aggregate("c", F.lit(0).cast("bigint"), lambda a, x: a + x)).alias(name))
+    return total(fit.phi, "words").crossJoin(total(fit.pi, "stamps")).crossJoin(total(fit.theta, "document_tokens"))  # one row each
+
+
 # The relational surface around the methods
 
 
@@ -596,12 +670,13 @@ def grouping_diff(spark, sf):
     return a.join(b, "id", "full").filter(~F.col("first_grp").eqNullSafe(F.col("second_grp")))
 
 
-@query("SELECT event_id, user_id, o_orderkey FROM (SELECT event_id, user_id, floor(epoch(ts))::BIGINT % 1000000 AS x FROM events WHERE user_id IS NOT NULL) e ASOF LEFT JOIN (SELECT o_custkey, o_orderkey FROM orders) o ON e.user_id = o.o_custkey AND e.x >= o.o_orderkey")
+@query("SELECT event_id, any_value(user_id) AS user_id, arg_max(o_orderkey, (o_orderdate, o_orderkey)) AS o_orderkey FROM events LEFT JOIN orders ON o_custkey = user_id AND o_orderdate <= ts WHERE user_id IS NOT NULL GROUP BY event_id")
 def asof_stamp(spark, sf):
-    """Each event with its user's last order at or before a point, by a union and a running last value."""
-    e = table(spark, sf, "events").filter("user_id IS NOT NULL").select("user_id", (F.unix_timestamp(F.col("ts").cast("timestamp")) % 1_000_000).alias("at"), "event_id", F.lit(None).cast("bigint").alias("o_orderkey"))
-    o = table(spark, sf, "orders").select(F.col("o_custkey").alias("user_id"), F.col("o_orderkey").alias("at"), F.lit(None).cast("bigint").alias("event_id"), "o_orderkey")
-    w = Window.partitionBy("user_id").orderBy("at", F.col("event_id").asc_nulls_first()).rowsBetween(Window.unboundedPreceding, 0)
+    """Each event with its user's last order at or before it, ties to the larger key, by a union and a running last value."""
+    none = F.lit(None).cast("bigint")
+    e = table(spark, sf, "events").filter("user_id IS NOT NULL").select("user_id", F.col("ts").alias("at"), "event_id", none.alias("o_orderkey"))
+    o = table(spark, sf, "orders").select(F.col("o_custkey").alias("user_id"), F.col("o_orderdate").alias("at"), none.alias("event_id"), "o_orderkey")
+    w = Window.partitionBy("user_id").orderBy("at", F.col("event_id").asc_nulls_first(), "o_orderkey").rowsBetween(Window.unboundedPreceding, 0)
     both = e.unionByName(o).withColumn("last", F.last("o_orderkey", ignorenulls=True).over(w))
     return both.filter("event_id IS NOT NULL").select("event_id", "user_id", F.col("last").alias("o_orderkey"))
 
@@ -631,8 +706,14 @@ def block_grid(spark, sf):
 
 @query(f"WITH {O.BASKET}, {O.LENS} SELECT id, dense_rank() OVER (ORDER BY len DESC)::INT AS dense, ntile(7) OVER (ORDER BY len DESC, id)::INT AS tile, round(percent_rank() OVER (ORDER BY len DESC), 9) AS share FROM cl")
 def rank_functions(spark, sf):
-    w = Window.orderBy(F.desc("len"))
-    return _lens("col")(spark, sf).select("id", F.dense_rank().over(w).alias("dense"), F.ntile(7).over(Window.orderBy(F.desc("len"), "id")).alias("tile"), F.round(F.percent_rank().over(w), 9).alias("share"))
+    """From ranks and one row a distinct length, so no window runs over all items."""
+    ranked = _ranked("col")(spark, sf)
+    first = ranked.groupBy("len").agg(F.min("rank").alias("first"))
+    first = first.withColumn("dense", F.row_number().over(Window.orderBy(F.desc("len"))))
+    wide, rest = F.floor(F.col("size") / 7), F.col("size") % 7  # the first tiles have one more
+    tile = F.when(F.col("rank") <= rest * (wide + 1), F.ceil(F.col("rank") / (wide + 1))).otherwise(rest + F.ceil((F.col("rank") - rest * (wide + 1)) / wide))
+    share = F.round((F.col("first") - 1) / (F.col("size") - 1), 9)
+    return ranked.join(first, "len").select("id", "dense", tile.cast("int").alias("tile"), share.alias("share"))
 
 
 HALVES = f"WITH {O.TOKENS}, a AS (SELECT word FROM tok WHERE row_id % 2 = 0), b AS (SELECT word FROM tok WHERE row_id % 2 = 1)"
@@ -674,10 +755,17 @@ def eta_sample(spark, sf):
     return trials.eta_of(m.filter(key(O.SEED, "row", "sample", 0, F.col("row_id")) % 4 == 0), "interleave", P)
 
 
-@query()
+REDEAL = "(SELECT {0}_id, row_number() OVER (ORDER BY {1}, row_id || '/' || col_id || '/' || i) AS spot FROM tk)"
+REDEALT = (
+    O.LINES.replace("r AS", "f AS", 1) + ", tk AS (SELECT row_id, col_id, unnest(range(1, n + 1)) AS i FROM f), r AS (SELECT row_id, col_id, count(*) AS n FROM "
+    + " JOIN ".join(REDEAL.format(a, O.key(a, "redeal", "'0'", "row_id || '/' || col_id || '/' || i")) for a in ("row", "col")) + " USING (spot) GROUP BY 1, 2)"
+)
+
+
+@query(O.eta(REDEALT, "interleave", 10))
 def decorrelated_eta(spark, sf):
     """An ablation: lengths kept, who uses what redealt."""
-    return trials.eta_of(workload.decorrelated(_lines(spark, sf), O.SEED), "interleave", 10)
+    return trials.eta_of(stored(workload.decorrelated(_lines(spark, sf), O.SEED), "redealt"), "interleave", 10)
 
 
 # Streams, as batches
