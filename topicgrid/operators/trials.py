@@ -14,6 +14,7 @@ from topicgrid.operators.cost import block_costs, diagonal, epoch_costs, eta, gr
 from topicgrid.operators.cut import cut
 from topicgrid.operators.lengths import lengths, rank_desc
 from topicgrid.operators.permute import RANDOM, place
+from topicgrid.sources.shared import stored
 
 
 @dataclass
@@ -31,11 +32,11 @@ def ranked_axes(matrix: DataFrame, tie: str = "id", seed: int = 7, mode: str = "
     return tuple(rank_desc(lengths(matrix, axis), tie, seed, mode, axis) for axis in ("row", "col"))
 
 
-def partition(matrix: DataFrame, method: str, groups: int, seed: int = 7, rule: str = "midpoint", trial: int = 0, tie: str = "id", mode: str = "two_level") -> Partition:
-    """Groups by one method (of a random one: of that trial)."""
+def partition(matrix: DataFrame, method: str, groups: int, seed: int = 7, rule: str = "midpoint", trial: int = 0, tie: str = "id", mode: str = "two_level", ranked: tuple[DataFrame, DataFrame] | None = None) -> Partition:
+    """Groups by one method (of a random one: of that trial). ``ranked``: the ranked axes, if made already."""
     made = []
-    for axis, ranked in zip(("row", "col"), ranked_axes(matrix, tie, seed, mode), strict=True):
-        placed = place(ranked, method, groups, seed, axis, 1, trial)
+    for axis, items in zip(("row", "col"), ranked or ranked_axes(matrix, tie, seed, mode), strict=True):
+        placed = place(items, method, groups, seed, axis, 1, trial)
         made.append(cut(placed.drop("trial"), groups, rule, mode=mode))
     return Partition(*made, groups, method, trial)
 
@@ -85,18 +86,18 @@ def evaluate(matrix: DataFrame, row_grps: DataFrame, col_grps: DataFrame, groups
     return full.select("trial", "m", "n", diagonal(F.col("m"), F.col("n"), groups).alias("diag"), F.coalesce("cost", F.lit(0)).alias("cost"))
 
 
-def trial_etas(matrix: DataFrame, method: str, groups: int, trials: int, seed: int = 7, rule: str = "midpoint") -> DataFrame:
+def trial_etas(matrix: DataFrame, method: str, groups: int, trials: int, seed: int = 7, rule: str = "midpoint", ranked: tuple[DataFrame, DataFrame] | None = None) -> DataFrame:
     """trial, tokens, total_cost, eta."""
     assert method in RANDOM
-    arrays = [trial_groups(r, method, groups, trials, seed, axis, rule) for axis, r in zip(("row", "col"), ranked_axes(matrix), strict=True)]
+    arrays = [trial_groups(r, method, groups, trials, seed, axis, rule) for axis, r in zip(("row", "col"), ranked or ranked_axes(matrix), strict=True)]
     per = evaluate(matrix, *arrays, groups, trials).groupBy("trial", "diag").agg(F.max("cost").alias("c"), F.sum("cost").alias("s"))
     out = per.groupBy("trial").agg(F.sum("s").alias("tokens"), F.sum("c").alias("total_cost"))
     return out.withColumn("eta", F.expr(f"try_divide(cast(tokens as double) / {groups}, total_cost)"))
 
 
-def best_of(matrix: DataFrame, method: str, groups: int, trials: int, seed: int = 7, rule: str = "midpoint") -> DataFrame:
+def best_of(matrix: DataFrame, method: str, groups: int, trials: int, seed: int = 7, rule: str = "midpoint", ranked: tuple[DataFrame, DataFrame] | None = None) -> DataFrame:
     """One row: the trial with the highest eta (ties: the first), its eta, and the mean over all."""
-    return trial_etas(matrix, method, groups, trials, seed, rule).agg(
+    return trial_etas(matrix, method, groups, trials, seed, rule, ranked).agg(
         F.max_by("trial", F.struct("eta", (-F.col("trial")).alias("t"))).alias("trial"),
         F.max("eta").alias("eta"),
         F.round(F.avg("eta"), 9).alias("mean_eta"),
@@ -105,11 +106,12 @@ def best_of(matrix: DataFrame, method: str, groups: int, trials: int, seed: int
 
 
 def compare(matrix: DataFrame, methods: tuple[str, ...], sizes: tuple[int, ...], trials: int = 5, seed: int = 7) -> DataFrame:
-    """method, groups, eta: the comparison table."""
+    """method, groups, eta: the comparison table. Ranks are made once, and written, for all methods and sizes."""
+    ranked = tuple(stored(r, "ranked") for r in ranked_axes(matrix))
     out = None
     for method in methods:
         for p in sizes:
-            row = (best_of(matrix, method, p, trials, seed) if method in RANDOM else eta_of(matrix, method, p)).select(F.lit(method).alias("method"), F.lit(p).alias("groups"), "eta")
+            row = (best_of(matrix, method, p, trials, seed, ranked=ranked) if method in RANDOM else eta_of(matrix, method, p, ranked=ranked)).select(F.lit(method).alias("method"), F.lit(p).alias("groups"), "eta")
             out = row if out is None else out.unionByName(row)
     return out
 
