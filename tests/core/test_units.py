@@ -11,6 +11,8 @@ from topicgrid.functions import positions
 from topicgrid.functions.sql import register
 from topicgrid.functions.stem import stem
 from topicgrid.operators import cost, cut, lengths, permute, tokens, trials
+from topicgrid.plans.corpora import basket
+from topicgrid.plans.queries import QUERIES
 from topicgrid.schema import WorkloadError, check_workload, whole_numbers
 from topicgrid.sources.tables import read_coordinates, read_workload, write_coordinates
 
@@ -289,6 +291,13 @@ def test_models_of_memory_and_barriers():
     assert m == {"diagonal": 960, "replica": 320 + 3 * 640} and cost.barriers(7) == {"diagonal": 7, "replica": 1}
 
 
+def test_memory_follows_the_tables(spark, sf, tmp_path):
+    rows = QUERIES["memory_and_barriers"](spark, sf).orderBy("groups").collect()
+    m = basket(spark, sf)
+    theta, phi = (m.select(c).distinct().count() * 256 * 8 for c in ("row_id", "col_id"))
+    assert [(r.groups, r.diagonal_bytes, r.replica_bytes) for r in rows] == [(p, theta + phi, theta + p * phi) for p in (1, 2, 4, 10, 30)]
+
+
 def test_sql_functions(spark):
     register(spark)
     assert [r.p for r in spark.sql("SELECT interleave_pos(id, 7) AS p FROM range(1, 8)").collect()] == [1, 3, 5, 7, 6, 4, 2]
