@@ -1,5 +1,6 @@
 """Worked examples, list machines, brute force, invariants and edge cases of partitioning."""
 
+import hashlib
 import itertools
 import math
 
@@ -8,9 +9,11 @@ import pytest
 from pyspark.sql import functions as F
 
 from topicgrid.functions import positions
+from topicgrid.functions.digests import Keys
 from topicgrid.functions.sql import register
 from topicgrid.functions.stem import stem
 from topicgrid.operators import cost, cut, lengths, permute, tokens, trials
+from topicgrid.operators.choices import Axis, Choice
 from topicgrid.plans.corpora import basket
 from topicgrid.plans.queries import QUERIES
 from topicgrid.schema import WorkloadError, check_workload, whole_numbers
@@ -270,6 +273,20 @@ def test_trials_in_one_pass_equal_single_trials(spark, small):
         assert best.eta == max(one.values()) and one[best.trial] == best.eta
 
 
+def test_orders_of_many_trials_make_no_rows(spark, small):
+    """One row an item whatever the number of trials, with the groups that each order alone gives, for both rules of tokens and for counts."""
+    ids = np.array([0, 7, -3, 2**62, 123_456])
+    assert Keys(ids).of(7, "row", "deal", 12).tolist() == [int(hashlib.md5(f"7:12:row:deal:{i}".encode()).hexdigest()[:12], 16) for i in ids.tolist()]
+    ranked = trials.ranked_axes(small)[1]
+    choices = [Choice(m, p, t) for m, p, t in (("stratified", 3, 0), ("stratified", 5, 4), ("plain_shuffle", 60, 2), ("mirror", 7, 0), ("interleave", 1, 0), ("mirror_alternate", 4, 0), ("sorted", 4, 0))]
+    for rule in cut.RULES:
+        got = {r.id: list(r.grps) for r in Axis(ranked, choices, 7, "col", rule).frame().collect()}
+        assert len(got) == ranked.count()
+        for k, c in enumerate(choices):
+            alone = cut.cut(permute.place(ranked, c.method, c.groups, 7, "col", 1, c.trial).drop("trial"), c.groups, rule)
+            assert {r.id: r.grp for r in alone.collect()} == {i: g[k] for i, g in got.items()}
+
+
 def test_advise_stops_early(spark, small):
     easy = trials.advise(small, 2, 0.5, 20).first()
     assert easy.reached and easy.tried == 2 and easy.method in ("interleave", "mirror")
