@@ -287,6 +287,11 @@ def test_orders_of_many_trials_make_no_rows(spark, small):
             assert {r.id: r.grp for r in alone.collect()} == {i: g[k] for i, g in got.items()}
 
 
+def test_comparison_plan_does_not_grow(spark, small):
+    plans = [trials.compare(small, ("mirror", "plain_shuffle"), sizes, 2)._jdf.queryExecution().executedPlan().toString().count("Exchange") for sizes in ((1,), (1, 2, 3))]
+    assert plans[0] == plans[1]
+
+
 def test_advise_stops_early(spark, small):
     easy = trials.advise(small, 2, 0.5, 20).first()
     assert easy.reached and easy.tried == 2 and easy.method in ("interleave", "mirror")
