@@ -5,6 +5,7 @@ import itertools
 import math
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -12,8 +13,9 @@ from topicgrid.functions import positions
 from topicgrid.functions.digests import Keys
 from topicgrid.functions.sql import register
 from topicgrid.functions.stem import stem
-from topicgrid.operators import cost, cut, lengths, permute, tokens, trials
+from topicgrid.operators import choices, cost, cut, lengths, permute, postings, tokens, trials, workload
 from topicgrid.operators.choices import Axis, Choice
+from topicgrid.plans import corpora
 from topicgrid.plans.corpora import basket
 from topicgrid.plans.queries import QUERIES
 from topicgrid.schema import WorkloadError, check_workload, whole_numbers
@@ -292,6 +294,41 @@ def test_comparison_plan_does_not_grow(spark, small):
     assert plans[0] == plans[1]
 
 
+def test_texts_are_counted_where_they_are_read(spark):
+    """The matrix that plain counting gives, for any ids, with a record for each word and block of documents instead of one for each cell."""
+    texts = ["b a a c", "", None, "C a d", "e " * 300 + "a", "f"]
+    for ids in ((1, 2, 3, 4, 5, 6), (-(2**62), 9, 10, 2**62, 5, 70_000), (1, 1, 3, 4, 4, 6), (1, None, 3, None, 5, None)):
+        docs = spark.createDataFrame(list(zip(ids, texts, strict=True)), "doc_id bigint, text string").coalesce(1)
+        counts = tokens.word_counts(tokens.tokens(docs))
+        for prune in ((), (2,), (1, 2)):
+            want = sorted(map(str, workload.workload(counts, tokens.vocabulary(counts, *prune)).collect()))
+            assert sorted(map(str, corpora.text_matrix(docs, *prune).collect())) == want
+        if None not in ids:
+            got = postings.postings(tokens.tokens(docs) if len(set(ids)) == 6 else counts.coalesce(1))
+            assert got.count() == got.select("word").distinct().count() == 6
+
+
+def test_blocks_end_where_documents_do():
+    ids, words = np.repeat([5, 6, 2**61, 8], [7, 900, 3, 40]), np.array(["a", "b", "c"])[np.arange(950) % 3]
+    parts = [pa.RecordBatch.from_arrays([pa.array(ids[a : a + 10]), pa.array(words[a : a + 10].tolist())], names=["row_id", "word"]) for a in range(0, 950, 10)]
+    cells = []
+    for b in postings._pack(iter(parts), 30):
+        numbered = pa.RecordBatch.from_arrays([pa.array([ord(w) for w in b.column(0).to_pylist()]), *(b.column(k) for k in (3, 4, 5))], names=["col_id", "base", "kind", "cells"])
+        cells += [x for o in postings._unpack(iter([numbered])) for x in zip(*(o.column(k).to_pylist() for k in range(3)), strict=True)]
+    assert len({x[:2] for x in cells}) == len(cells) == 12 and sum(x[2] for x in cells) == 950
+
+
+def test_cells_travel_many_in_a_record():
+    rng = np.random.default_rng(3)
+    task, row, col, n = rng.integers(0, 3, 5000).astype(np.int32), rng.integers(-(2**62), 2**62, 5000), rng.integers(0, 50, 5000), rng.integers(1, 300, 5000)
+    row[:2], col[:2], n[0] = (-(2**63), 2**63 - 1), (2**63 - 1, -(2**63)), 2**50
+    parts = [pa.RecordBatch.from_arrays([pa.array(x[a : a + 700]) for x in (task, row, col, n)], names=["task", "row_id", "col_id", "n"]) for a in range(0, 5000, 700)]
+    out = [(b.column(0)[k].as_py(), b.column(1).slice(k, 1)) for b in choices._pack(iter(parts)) for k in range(b.num_rows)]
+    assert len(out) <= 5000 // choices.PACKED + 3
+    got = [(t, *x) for t, pack in out for r, c, m in choices._unpack(pack) for x in zip(r.tolist(), c.tolist(), m.tolist(), strict=True)]
+    assert sorted(got) == sorted(zip(task.tolist(), row.tolist(), col.tolist(), n.tolist(), strict=True))
+
+
 def test_advise_stops_early(spark, small):
     easy = trials.advise(small, 2, 0.5, 20).first()
     assert easy.reached and easy.tried == 2 and easy.method in ("interleave", "mirror")
