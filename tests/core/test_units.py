@@ -165,6 +165,32 @@ def test_ranks_agree(spark, small, axis, tie):
     assert lengths.rank_desc(wide, tie, mode="two_level").select("rank").distinct().count() == wide.count()
 
 
+@pytest.mark.parametrize("held", [3, 1 << 18])
+def test_written_ranks_agree(spark, small, monkeypatch, held):
+    """The ranks of ``rank_desc`` with size and total, in one range or in many, with ties, wide ids, nulls and nothing at all."""
+    monkeypatch.setattr(lengths, "RANGE", held)
+    odd = spark.createDataFrame([(2**62, 5), (-(2**62), 5), (None, 5), (7, None), (3, 9), (4, 1), (None, None)], "id bigint, len bigint")
+    for lens in (lengths.lengths(small, "row"), lengths.lengths(small, "col"), odd, odd.filter("id IS NULL"), odd.limit(0)):
+        want, got = lengths.rank_desc(lens), lengths.rank_stored(lens)
+        assert got.columns == want.columns and got.dtypes == want.dtypes
+        assert got.orderBy("rank").collect() == want.orderBy("rank").collect()
+
+
+def test_comparison_reads_the_matrix_once_an_axis_and_once_for_costs(spark, small, tmp_path):
+    """What the driver plans and keeps account of grows with every further pass; ranking used to make six an axis here."""
+
+    def seen(batches):
+        for b in batches:
+            with open(tmp_path / "seen", "a") as f:
+                f.write(f"{b.num_rows}\n")
+            yield b
+
+    told = small.mapInArrow(seen, small.schema)
+    want = {tuple(r) for r in trials.compare(small, ("mirror", "stratified"), (1, 3), 2).collect()}
+    assert {tuple(r) for r in trials.compare(told, ("mirror", "stratified"), (1, 3), 2).collect()} == want
+    assert sum(map(int, (tmp_path / "seen").read_text().split())) == 3 * small.count()
+
+
 def test_hashed_ids_fall_into_even_buckets(spark):
     """However ids are spread, buckets follow their order and are few; ranks agree with a sort."""
     for ids in (F.xxhash64("id"), F.col("id") + (1 << 40), F.col("id") * 1_000_003 - (1 << 50)):
